@@ -6,7 +6,7 @@ import os
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import sentencepiece_codec
+from . import quality_cascade, sentencepiece_codec, stream_dedup, wavelet_shards
 from .common import table
 
 #: Folder of the public tokenizers' files; empty means the installed package's own.
@@ -25,8 +25,25 @@ def op2_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sentencepiece_codec.encode_decode(table(spark, sf_dir, "documents"), tokenizer_file("piece_bpe_32k.model"))
 
 
+def op4_stream_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return stream_dedup.dedup(table(spark, sf_dir, "documents"))
+
+
+def op6_wavelet_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return wavelet_shards.token_output(table(spark, sf_dir, "documents"), tokenizer_file("word_bpe_49k.json"))
+
+
+def op9_quality_cascade(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_cascade.quality_metrics(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict:
-    return {"op2_sentencepiece": op2_sentencepiece}
+    return {
+        "op2_sentencepiece": op2_sentencepiece,
+        "op4_stream_dedup": op4_stream_dedup,
+        "op6_wavelet_shards": op6_wavelet_shards,
+        "op9_quality_cascade": op9_quality_cascade,
+    }
 
 
 def oracle_sql() -> dict:
