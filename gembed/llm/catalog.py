@@ -6,7 +6,7 @@ import os
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import quality_cascade, sentencepiece_codec, stream_dedup, wavelet_shards
+from . import jaccard_join, quality_cascade, sentencepiece_codec, stream_dedup, wavelet_shards
 from .common import table
 
 #: Folder of the public tokenizers' files; empty means the installed package's own.
@@ -37,12 +37,17 @@ def op9_quality_cascade(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_cascade.quality_metrics(table(spark, sf_dir, "documents"))
 
 
+def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.similar_groups(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict:
     return {
         "op2_sentencepiece": op2_sentencepiece,
         "op4_stream_dedup": op4_stream_dedup,
         "op6_wavelet_shards": op6_wavelet_shards,
         "op9_quality_cascade": op9_quality_cascade,
+        "op10_jaccard_join": op10_jaccard_join,
     }
 
 

@@ -101,11 +101,26 @@ class Generations:
 
     def __call__(self, key):
         value = self.young.get(key)
+        return self._add(key) if value is None else value
+
+    def _add(self, key):
+        value = self.old.get(key)
         if value is None:
-            value = self.old.get(key)
-            if value is None:
-                value = self.make(key)
-            if len(self.young) >= self.bound:
-                self.old, self.young = self.young, {}
-            self.young[key] = value
+            value = self.make(key)
+        if len(self.young) >= self.bound:
+            self.old, self.young = self.young, {}
+        self.young[key] = value
         return value
+
+    def many(self, keys: list) -> list:
+        """The values of all keys, in order."""
+        different = set(keys)
+        missing = different.difference(self.young)
+        if len(self.young) + len(missing) > self.bound and self.young:
+            self.old, self.young = self.young, {}
+            missing = different
+        young, old, make = self.young, self.old, self.make
+        for key in missing:
+            value = old.get(key)
+            young[key] = make(key) if value is None else value
+        return [young[key] for key in keys]

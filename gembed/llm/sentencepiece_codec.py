@@ -30,6 +30,8 @@ from .common import Generations, id_and_text, mapped
 SPACE = "▁"
 #: Distinct chunks kept per half of a Python worker's cache.
 CACHE = 250_000
+#: Above every token number and every code point beyond them; two tokens make one dictionary key.
+_TOKENS = 1 << 22
 
 
 class PrefixTable:
@@ -55,9 +57,11 @@ class PrefixTable:
         self.unknown = next(i for i, p in enumerate(proto.pieces) if p.type == kinds.UNKNOWN)
         self.control = {i for i, p in enumerate(proto.pieces) if p.type == kinds.CONTROL}
         self.automaton = ahocorasick.Automaton()
-        for piece in self.ids:
-            self.automaton.add_word(piece, len(piece))
+        for piece, i in self.ids.items():
+            self.automaton.add_word(piece, (len(piece), i))
         self.automaton.make_automaton()
+        self.beyond = len(self.pieces)  # a character outside the vocabulary is this number plus its code point
+        self.special = {*self.byte_of, *self.control, self.unknown}
         self.chunked = not any(SPACE in p.lstrip(SPACE) or (p[:1] == SPACE and p[1:2] == SPACE and p.strip(SPACE)) for p in self.ids)
         self.lines = self.chunked and not any("\n" in p and p != "\n" for p in self.ids)
         self.compatible = Generations(self._compatible, 400_000)
@@ -86,45 +90,60 @@ class PrefixTable:
                     heappush(queue, (-self.score[pair], a, pair))
         return [p for p in parts if p is not None]
 
-    def _compatible(self, pair: tuple[str, str]) -> bool:
-        return self.merged(pair[0] + pair[1]) == [pair[0], pair[1]]
+    def _piece(self, token: int) -> str:
+        return self.pieces[token] if token < self.beyond else chr(token - self.beyond)
 
-    # -- the table
+    def _compatible(self, pair: int) -> bool:
+        a, b = (self._piece(token) for token in divmod(pair, _TOKENS))
+        return self.merged(a + b) == [a, b]
 
-    def last_tokens(self, text: str) -> list[str]:
-        """For each non-empty prefix, its one last token."""
-        ending: list[list[int]] = [[] for _ in text]
-        for end, length in self.automaton.iter(text):
-            ending[end].append(length)
-        table: list[str] = []
-        for end, lengths in enumerate(ending):
-            if 1 not in lengths:
-                lengths.append(1)  # a character outside the vocabulary stands alone
-            for length in sorted(lengths, reverse=True):
-                start = end + 1 - length
-                piece = text[start : end + 1]
-                if start == 0 or self.compatible((table[start - 1], piece)):
-                    table.append(piece)
-                    break
-            else:
-                raise AssertionError(f"no last token for a prefix of {text!r}")
-        return table
+    # -- the table
 
-    def split(self, text: str) -> list[str]:
-        table, out, at = self.last_tokens(text), [], len(text)
-        while at:
-            out.append(table[at - 1])
-            at -= len(out[-1])
-        return out[::-1]
+    def last_tokens(self, text: str) -> tuple[list[int], list[int]]:
+        """For each non-empty prefix, its one last token and that token's length.
+
+        The automaton reports ends in order and at each end the longer pieces first.
+        """
+        n, beyond, known, test = len(text), self.beyond, self.compatible.young, self.compatible
+        table, size, filled = [-1] * n, [1] * n, 0
+        for end, (length, token) in self.automaton.iter(text):
+            while filled < end:
+                if table[filled] < 0:
+                    table[filled] = beyond + ord(text[filled])
+                filled += 1
+            if table[end] >= 0:
+                continue
+            start = end + 1 - length
+            if start:
+                pair = table[start - 1] * _TOKENS + token
+                fits = known.get(pair)
+                if fits is None:
+                    fits = test(pair)
+                    known = test.young
+                if not fits:
+                    continue
+            table[end], size[end] = token, length
+        while filled < n:
+            if table[filled] < 0:
+                table[filled] = beyond + ord(text[filled])
+            filled += 1
+        return table, size
 
     def _ids(self, text: str) -> list[int]:
+        table, size = self.last_tokens(text)
+        back, at = [], len(text)
+        while at:
+            back.append(table[at - 1])
+            at -= size[at - 1]
+        back.reverse()
+        if max(back, default=0) < self.beyond:
+            return back
         out: list[int] = []
-        for piece in self.split(text):
-            known = self.ids.get(piece)
-            if known is not None:
-                out.append(known)
+        for token in back:
+            if token < self.beyond:
+                out.append(token)
             elif self.bytes:
-                out.extend(self.bytes[b] for b in piece.encode("utf-8"))
+                out.extend(self.bytes[b] for b in chr(token - self.beyond).encode("utf-8", "surrogatepass"))
             else:
                 out.append(self.unknown)
         return out
@@ -135,6 +154,8 @@ class PrefixTable:
         return ",".join(map(str, ids)), self._surface(ids)
 
     def _surface(self, ids) -> str:
+        if self.special.isdisjoint(ids):
+            return "".join([self.pieces[i] for i in ids]).replace(SPACE, " ")
         out, run = [], bytearray()
         for i in ids:
             b = self.byte_of.get(i)
@@ -158,7 +179,7 @@ class PrefixTable:
             return []
         if not self.chunked:
             return [self._chunk((SPACE if self.prefix else "") + text.replace(" ", SPACE))]
-        spaced, bare, out = self.spaced, self.bare, []
+        bare, out = self.bare, []
         lines = text.split("\n") if self.lines else [text]
         for k, line in enumerate(lines):
             if k:
@@ -171,7 +192,7 @@ class PrefixTable:
             if "" in words:
                 out.extend(bare(m) for m in re.findall(f"{SPACE}+[^{SPACE}]*", SPACE + SPACE.join(words)))
             else:
-                out.extend(map(spaced, words))
+                out += self.spaced.many(words)
         return out
 
     def encode(self, text: str) -> list[int]:
