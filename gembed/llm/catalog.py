@@ -5,8 +5,9 @@ from __future__ import annotations
 import os
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import jaccard_join, quality_cascade, sentencepiece_codec, stream_dedup, wavelet_shards
+from . import html_text, jaccard_join, mixing, pii, quality_cascade, sentencepiece_codec, stream_dedup, suffix_dedup, warc, wavelet_shards
 from .common import table
 
 #: Folder of the public tokenizers' files; empty means the installed package's own.
@@ -41,13 +42,46 @@ def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.similar_groups(table(spark, sf_dir, "documents"))
 
 
+def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = suffix_dedup.repeated_passages(table(spark, sf_dir, "documents"))
+    return found.withColumn("passage_sha256", F.sha2("passage", 256)).drop("passage")
+
+
+def op3_pii_boosting(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.report(table(spark, sf_dir, "documents"))
+
+
+def op5_warc_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.round_trip(table(spark, sf_dir, "pages"))
+
+
+def op7_soft_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op8_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_text.extract(table(spark, sf_dir, "pages"))
+
+
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
     return {
+        "op1_suffix_dedup": op1_suffix_dedup,
         "op2_sentencepiece": op2_sentencepiece,
+        "op3_pii_boosting": op3_pii_boosting,
         "op4_stream_dedup": op4_stream_dedup,
+        "op5_warc_index": op5_warc_index,
         "op6_wavelet_shards": op6_wavelet_shards,
+        "op7_soft_mixing": op7_soft_mixing,
+        "op8_main_text": op8_main_text,
         "op9_quality_cascade": op9_quality_cascade,
         "op10_jaccard_join": op10_jaccard_join,
+        "pipeline": pipeline,
     }
 
 
