@@ -25,6 +25,12 @@ from .common import id_and_text, scratch, stored
 #: Only runs that change are matched: those that start with another character than a space, or go on.
 _RUNS = r"[\x09-\x0D][\x20\x09-\x0D]*|\x20[\x20\x09-\x0D]+"
 ROCKSDB = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+#: State on disk with a change log per batch; files are not preallocated (4 MB for each of many partitions).
+SETTINGS = {
+    "spark.sql.streaming.stateStore.providerClass": ROCKSDB,
+    "spark.sql.streaming.stateStore.rocksdb.changelogCheckpointing.enabled": "true",
+    "spark.sql.streaming.stateStore.rocksdb.allowFAllocate": "false",
+}
 #: Hit digests up to this number are broadcast (under 100 MB); more go by a shuffle join.
 BROADCAST_DIGESTS = 500_000
 _LAST_ID = (1 << 63) - 1
@@ -55,7 +61,7 @@ class DedupState:
         """Streams all new files of the log through the state and stops."""
         files = max(1, len(log.inputFiles()))
         spark, old = self.spark, {}
-        for k, v in {"spark.sql.streaming.stateStore.providerClass": ROCKSDB, "spark.sql.streaming.stateStore.rocksdb.changelogCheckpointing.enabled": "true"}.items():
+        for k, v in SETTINGS.items():
             old[k] = spark.conf.get(k, None)
             spark.conf.set(k, v)
         try:
