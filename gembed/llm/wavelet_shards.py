@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import json
 import os
+import re
 import struct
 import uuid
 import zlib
@@ -30,12 +31,12 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Generations, file_system, id_and_text, mapped, scratch, stored
+from .common import file_system, id_and_text, mapped, scratch, stored
 
 MAGIC = b"GEWAVE01"
 SHARD_TOKENS = 1 << 22
 BLOCK_BITS = 1 << 17
-CACHE = 250_000
+CACHE = 550_000
 
 
 # -- tokens
@@ -45,7 +46,11 @@ class WordTokens:
     """Ids of whole texts through the tokenizers library, with a cache by word.
 
     The file's normaliser and splitter never look across a space, so a text's ids are those of its
-    space-separated parts in order; this is checked on the file's own settings and else not used.
+    space-separated parts in order; ASCII capitals are lowered and a full stop or comma at a
+    word's end is parted from it before the look-up (where no other sign stands before it), as the file
+    itself does later. All this is checked on
+    the file's settings, and else whole texts are encoded. Words that the cache lacks are encoded in
+    one call, with a special token between them that marks their ends.
     """
 
     def __init__(self, path: str):
@@ -56,32 +61,65 @@ class WordTokens:
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         first = ((spec.get("pre_tokenizer") or {}).get("pretokenizers") or [{}])[0]
-        self.by_word = first.get("behavior") == "Removed" and first.get("invert") is True and not any(t["lstrip"] or t["rstrip"] or t["single_word"] or " " in t["content"] for t in spec.get("added_tokens", []))
+        added = spec.get("added_tokens", [])
+        self.by_word = first.get("behavior") == "Removed" and first.get("invert") is True and bool(added) and not any(t["lstrip"] or t["rstrip"] or t["single_word"] or t["normalized"] or " " in t["content"] for t in added)
+        kinds = [n.get("type") for n in (spec.get("normalizer") or {}).get("normalizers", [])]
+        letters_apart = r"[\p{L}]+" in str((first.get("pattern") or {}).get("Regex", ""))
+        self.lowers = self.by_word and "Lowercase" in kinds and letters_apart and all(t["content"].startswith("<|") for t in added)
+        self.mark, self.mark_id = (added[0]["content"], added[0]["id"]) if added else ("", -1)
         self.kind = np.dtype("<u2") if self.lib.get_vocab_size(with_added_tokens=True) <= 1 << 16 else np.dtype("<u4")
-        self.cache = Generations(None, CACHE)
+        self.young: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+
+    def _learn(self, words: list[str]) -> dict[str, bytes]:
+        """Encodes words, adds them to the cache and returns them."""
+        plain, out = [w for w in words if self.mark not in w], {}
+        for w in words if len(plain) < len(words) else ():
+            if self.mark in w:
+                out[w] = np.array(self.lib.encode(w, add_special_tokens=False).ids, self.kind).tobytes()
+        if plain:
+            ids = np.array(self.lib.encode_batch_fast([self.mark.join(plain)], add_special_tokens=False)[0].ids, np.int64)
+            ends = np.flatnonzero(ids == self.mark_id)
+            size, data = self.kind.itemsize, ids.astype(self.kind).tobytes()
+            starts = np.concatenate([[0], ends + 1]) * size
+            for w, a, b in zip(plain, starts.tolist(), (np.concatenate([ends, [len(ids)]]) * size).tolist(), strict=True):
+                out[w] = data[a:b]
+        self.young.update(out)
+        return out
+
+    def _words(self, text: str) -> list[str]:
+        text = text.replace("\n", " ")
+        if self.lowers and "<|" not in text:
+            text = text.encode("utf-8", "surrogatepass").lower().decode("utf-8", "surrogatepass")
+            if not _GROUPED.search(text):
+                text = text.replace(". ", " . ").replace(", ", " , ")
+        return text.split(" ")
 
     def batch(self, texts: list[str], end: int | None) -> list[np.ndarray]:
         tail = b"" if end is None else np.array([end], self.kind).tobytes()
         if not self.by_word:
             return [np.frombuffer(np.array(e.ids, self.kind).tobytes() + tail, self.kind) for e in self.lib.encode_batch(texts, add_special_tokens=False)]
-        out, cache = [], self.cache
-        young, old = cache.young, cache.old
-        for text in texts:
-            words = text.replace("\n", " ").split(" ")
-            missing = [w for w in set(words) if w not in young]
-            if missing:
-                if len(young) + len(missing) > cache.bound and young:
-                    cache.old, cache.young = young, {}
-                    young, old = cache.young, cache.old
-                    missing = list(set(words))
-                again = [w for w in missing if w in old]
-                for w in again:
-                    young[w] = old[w]
-                fresh = [w for w in missing if w not in old]
-                for w, e in zip(fresh, self.lib.encode_batch(fresh, add_special_tokens=False), strict=True):
-                    young[w] = np.array(e.ids, self.kind).tobytes()
-            out.append(np.frombuffer(b"".join([young[w] for w in words]) + tail, self.kind))
-        return out
+        parts = [self._words(t) for t in texts]
+        different = set().union(*parts)
+        known = self.young.get
+        here = {w: v for w in different if (v := known(w)) is not None}  # small, so every further look-up stays near
+        missing = different.difference(here)
+        if len(self.young) + len(missing) > CACHE and self.young:
+            self.old, self.young = self.young, {}
+        known, fresh = self.old.get, []
+        for w in missing:
+            v = known(w)
+            if v is None:
+                fresh.append(w)
+            else:
+                self.young[w] = here[w] = v
+        for lo in range(0, len(fresh), 4096):
+            here |= self._learn(fresh[lo : lo + 4096])
+        return [np.frombuffer(b"".join([here[w] for w in words]) + tail, self.kind) for words in parts]
+
+
+#: A stop or comma that may belong to a longer group of signs.
+_GROUPED = re.compile(r"(?:[^\w\s]|_)[.,] ")
 
 
 @cache
@@ -105,7 +143,7 @@ def build(ids: np.ndarray, doc_ids: list[int | None], lengths: list[int], bits:
     planes = []
     rest = ids
     for bit in range(bits - 1, -1, -1):
-        ones = (rest >> rest.dtype.type(bit)) & rest.dtype.type(1) != 0
+        ones = (rest & rest.dtype.type(1 << bit)) != 0
         packed = np.packbits(ones, bitorder="little").tobytes()
         blocks, before, at = [], [], 0
         for start in range(0, len(rest), BLOCK_BITS):
