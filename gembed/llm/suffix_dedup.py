@@ -32,6 +32,8 @@ from .wordhash import mix, windows, word_hashes
 MIN_WORDS = 50
 #: Words of a suffix's start that are compared first.
 K = 8
+#: Documents with shared suffixes (about 150 bytes each) up to which their list is broadcast; else both sides are shuffled.
+BROADCAST_DOCS = 300_000
 _WORD = re.compile(r"[^\x20\x09-\x0D]+")
 _BASES = (0x9E3779B97F4A7C15, 0xD1B54A32D192ED03)
 
@@ -105,32 +107,50 @@ def _starts(rows: DataFrame, min_words: int, k: int) -> DataFrame:
     return mapped(rows.select("uid", "text"), run, "uid long, lo int, start long")
 
 
-def _extensions(chosen: DataFrame, min_words: int, k: int) -> DataFrame:
-    """The retained suffixes that have a neighbour, with hashes of their whole extension and of its windows."""
+def _extensions(texts: DataFrame, min_words: int, k: int) -> DataFrame:
+    """The retained suffixes that have a neighbour, with a hash of their whole extension."""
 
     def run(batch: pa.RecordBatch) -> dict:
-        out: dict = {c: [] for c in ("uid", "doc_id", "lo", "hi", "start", "c1", "c2", "wins")}
+        out: dict = {c: [] for c in ("uid", "doc_id", "lo", "hi", "start", "c1", "c2")}
         for uid, doc, text, los in zip(*(batch.column(c).to_pylist() for c in ("uid", "doc_id", "text", "los")), strict=True):
             h = word_hashes(text.encode("utf-8", "surrogatepass").split())
             _, g, lo, hi = anchors(h, min_words, k)
             pick = np.flatnonzero(np.isin(lo, np.array(los)))
             lo, hi, g = lo[pick], hi[pick], g[pick]
-            one, two = Ranges(h, _BASES[0]), Ranges(h, _BASES[1])
-            starts = np.arange(len(h) - min_words + 1)
-            wins = one(starts, starts + min_words).view(np.int64)
             out["uid"] += [uid] * len(lo)
             out["doc_id"] += [doc] * len(lo)
             out["lo"] += lo.tolist()
             out["hi"] += hi.tolist()
             out["start"].append(g.view(np.int64))
-            out["c1"].append(one(lo, hi + min_words).view(np.int64))
-            out["c2"].append(two(lo, hi + min_words).view(np.int64))
-            out["wins"] += [wins[a : b + 1] for a, b in zip(lo.tolist(), hi.tolist(), strict=True)]
+            out["c1"].append(Ranges(h, _BASES[0])(lo, hi + min_words).view(np.int64))
+            out["c2"].append(Ranges(h, _BASES[1])(lo, hi + min_words).view(np.int64))
         for c in ("start", "c1", "c2"):
             out[c] = np.concatenate(out[c] or [np.zeros(0, np.int64)])
         return out
 
-    return mapped(chosen.select("uid", "doc_id", "text", "los"), run, "uid long, doc_id long, lo int, hi int, start long, c1 long, c2 long, wins array<long>")
+    return mapped(texts.select("uid", "doc_id", "text", "los"), run, "uid long, doc_id long, lo int, hi int, start long, c1 long, c2 long")
+
+
+def _windows_of(texts: DataFrame, owners: DataFrame, min_words: int) -> DataFrame:
+    """(start, c1, c2, a, b, first, offset, win): the windows of some suffixes (uid, lo, hi and those columns)."""
+    asked = owners.groupBy("uid").agg(F.collect_list(F.struct("start", "c1", "c2", "a", "b", "first", "lo", "hi")).alias("asked"))
+
+    def run(batch: pa.RecordBatch) -> dict:
+        out: dict = {c: [] for c in ("start", "c1", "c2", "a", "b", "first", "offset", "win")}
+        for text, asked in zip(batch.column("text").to_pylist(), batch.column("asked").to_pylist(), strict=True):
+            hashes = Ranges(word_hashes(text.encode("utf-8", "surrogatepass").split()), _BASES[0])
+            for r in asked:
+                at = np.arange(r["lo"], r["hi"] + 1)
+                for c in ("start", "c1", "c2", "a", "b", "first"):
+                    out[c] += [r[c]] * len(at)
+                out["offset"].append(at - r["lo"])
+                out["win"].append(hashes(at, at + min_words).view(np.int64))
+        for c in ("offset", "win"):
+            out[c] = np.concatenate(out[c] or [np.zeros(0, np.int64)])
+        out["offset"] = out["offset"].astype(np.int32)
+        return out
+
+    return mapped(texts.join(asked, "uid").select("text", "asked"), run, "start long, c1 long, c2 long, a long, b long, first long, offset int, win long")
 
 
 def _spans(rows: DataFrame, min_words: int) -> DataFrame:
@@ -162,25 +182,28 @@ def repeated_passages(docs: DataFrame, min_words: int = MIN_WORDS, k: int = K) -
     rows = _keyed(docs)
     starts = stored(_starts(rows, min_words, k), "suffix-starts")
     shared = starts.groupBy("start").agg(F.min("uid").alias("a"), F.max("uid").alias("b")).where("a != b").select("start")
-    chosen = starts.join(shared, "start").groupBy("uid").agg(F.collect_set("lo").alias("los"))
-    texts = rows.join(chosen, "uid")
+    chosen = stored(starts.join(shared, "start").groupBy("uid").agg(F.collect_set("lo").alias("los")), "suffix-chosen")
+    few = chosen.count() <= BROADCAST_DOCS
+    texts = stored(rows.join(F.broadcast(chosen) if few else chosen, "uid"), "suffix-texts")
+    held = texts.agg(F.count("uid").alias("n"), F.count_distinct("uid").alias("different")).first()
+    if held["n"] != held["different"]:
+        texts = stored(texts.dropDuplicates(["uid"]), "suffix-texts-once")
     ext = stored(_extensions(texts, min_words, k), "suffix-extensions")
 
     key = ["start", "c1", "c2"]
     whole = ext.groupBy(*key).agg(F.min("uid").alias("a"), F.max("uid").alias("b"), F.min("doc_id").alias("first"))
     whole = stored(whole, "suffix-contexts")
     several = whole.groupBy("start").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("start")
-    # one row per different extension of a start that has several; its windows are compared with the others'
+    # one suffix per different extension of a start that has several; its windows are compared with the others'
     apart = whole.join(several, "start")
-    owner = apart.join(ext.select(*key, F.col("uid").alias("a"), "lo", "wins"), [*key, "a"]).dropDuplicates(key)
-    each = owner.select(*key, "a", "b", "first", F.posexplode("wins").alias("offset", "win"))
+    owners = apart.join(ext.select(*key, F.col("uid").alias("a"), "lo", "hi"), [*key, "a"]).groupBy(*key, "a", "b", "first").agg(F.min(F.struct("lo", "hi")).alias("at")).select(*key, "a", "b", "first", F.col("a").alias("uid"), "at.lo", "at.hi")
+    each = stored(_windows_of(texts, owners, min_words), "suffix-windows")
     common = each.groupBy("start", "win").agg(F.min("a").alias("u"), F.max("b").alias("v"), F.min("first").alias("least")).where("u != v").select("start", "win", "least")
     partly = each.where("a = b").join(common, ["start", "win"]).groupBy(*key).agg(F.collect_list(F.struct("offset", "least")).alias("offsets"))
     fully = whole.where("a != b").select(*key, "first")
 
     at = ext.select("uid", "lo", "hi", *key)
-    runs = at.join(fully, key).select("uid", "lo", "hi", "first").union(
-        at.join(partly, key).select("uid", "lo", F.explode("offsets").alias("o")).select("uid", (F.col("lo") + F.col("o.offset")).cast("int"), (F.col("lo") + F.col("o.offset")).cast("int"), "o.least")
-    )
+    one = (F.col("lo") + F.col("o.offset")).cast("int")
+    runs = at.join(fully, key).select("uid", "lo", "hi", "first").union(at.join(partly, key).select("uid", "lo", F.explode("offsets").alias("o")).select("uid", one, one, "o.least"))
     of_doc = runs.groupBy("uid").agg(F.collect_list(F.struct("lo", "hi", "first")).alias("runs"))
-    return _spans(rows.join(of_doc, "uid"), min_words).dropDuplicates(["doc_id", "start_word", "passage"])
+    return _spans(texts.join(of_doc, "uid"), min_words)
