@@ -45,6 +45,13 @@ SPARE = 1
 COUNT_FRAGMENTS = 8
 
 
+#: Rows of ids up to which a list of copies or of cluster members is broadcast (under 50 MB); else a shuffle join.
+BROADCAST_ROWS = 500_000
+#: Keys that a task sorts at a time, and ranges of keys at most.
+RANGE_KEYS = 1_500_000
+MOST_RANGES = 20_000
+
+
 class Measure:
     """Jaccard threshold num/den over distinct n-grams of n words."""
 
@@ -74,6 +81,10 @@ class Measure:
     def level(self, size: int) -> int:
         return int(np.searchsorted(self.starts, size, "right")) - 1
 
+    def keys_per_gram(self) -> float:
+        """About how many keys a set sends per n-gram."""
+        return (self.den - self.num) / self.num * (1 + self.den / self.num)
+
     def fragments(self, level: int) -> int:
         """Fragments for pairs whose smaller set is of this level: one more than they can differ by, and the spare."""
         most = self.starts[level + 1] - 1
@@ -102,48 +113,95 @@ class Measure:
         return np.concatenate(out)
 
 
-def profiles(docs: DataFrame, measure: Measure) -> DataFrame:
-    """doc_id, number of n-grams, 128-bit hash of the set, and the keys."""
+def _keyed(docs: DataFrame) -> DataFrame:
+    return id_and_text(docs).withColumn("t", F.xxhash64("text"))
+
+
+def profiles(rows: DataFrame, measure: Measure) -> DataFrame:
+    """doc_id, hash of the text, number of n-grams and 128-bit hash of their set."""
 
     def run(batch: pa.RecordBatch) -> dict:
-        n, h1, h2, keys = [], [], [], []
+        n, h1, h2 = [], [], []
         for text in batch.column("text").to_pylist():
             s = measure.shingles(text)
             n.append(len(s))
             h1.append(int(mix(s).sum(dtype=np.uint64).astype(np.int64)) if len(s) else 0)
             h2.append(int((mix(s ^ np.uint64(0x5851F42D4C957F2D)) * np.uint64(0x9E3779B97F4A7C15)).sum(dtype=np.uint64).astype(np.int64)) if len(s) else 0)
-            keys.append(measure.keys(s).view(np.int64))
-        offsets = np.concatenate([[0], np.cumsum([len(k) for k in keys])]).astype(np.int32)
-        flat = pa.array(np.concatenate(keys) if keys else np.zeros(0, np.int64))
-        return {"doc_id": batch.column("doc_id"), "n": n, "h1": h1, "h2": h2, "keys": pa.ListArray.from_arrays(pa.array(offsets), flat)}
+        return {"doc_id": batch.column("doc_id"), "t": batch.column("t"), "n": n, "h1": h1, "h2": h2}
 
-    return mapped(id_and_text(docs), run, "doc_id long, n long, h1 long, h2 long, keys array<long>")
+    return mapped(rows.select("doc_id", "t", "text"), run, "doc_id long, t long, n long, h1 long, h2 long")
 
 
-def _stars(keyed: DataFrame) -> DataFrame:
-    """Rows (key, doc) sorted by key: each document that shares a key with a smaller one, and the smallest."""
-    ordered = keyed.repartition("key").sortWithinPartitions("key", "doc")
+def _pack(a: np.ndarray) -> bytes:
+    """64-bit values, byte by byte in planes, compressed: keys of one range share their upper bytes, ids theirs."""
+    import zstandard
+
+    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(a.astype("<i8").view(np.uint8).reshape(-1, 8).T).tobytes())
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last_key, last_doc = None, None
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            key, doc = batch.column("key").to_numpy(), batch.column("doc").to_numpy()
-            new = np.concatenate([[True], key[1:] != key[:-1]])
-            lead = doc[np.maximum.accumulate(np.where(new, np.arange(len(key)), 0))]
-            if last_key is not None and key[0] == last_key:
-                end = np.flatnonzero(new[1:])
-                lead[: end[0] + 1 if len(end) else len(key)] = last_doc
-            last_key, last_doc = key[-1], lead[-1]
-            pairs = np.unique(np.stack([doc, lead])[:, doc != lead], axis=1)
-            yield pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], names=["doc", "lead"])
 
-    return ordered.mapInArrow(run, "doc long, lead long").distinct()
+def _unpack(data: bytes) -> np.ndarray:
+    import zstandard
 
+    return np.ascontiguousarray(np.frombuffer(zstandard.ZstdDecompressor().decompress(data), np.uint8).reshape(8, -1).T).view("<i8").ravel()
 
-def link_block(ids: list[int], sets: list[np.ndarray], left: np.ndarray | None, measure: Measure) -> list[tuple[int, int]]:
-    """Links that join all linked documents of a block (with ``left``, of two blocks) into trees."""
+
+def _lead(key: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sorted by key and document: the keys and the least document of each, and per row its key's least."""
+    order = np.lexsort((doc, key))
+    key, doc = key[order], doc[order]
+    new = np.concatenate([[True], key[1:] != key[:-1]])
+    lead = doc[np.maximum.accumulate(np.where(new, np.arange(len(key)), 0))]
+    apart = doc != lead
+    return np.stack([key[new], doc[new]]), np.unique(np.stack([doc[apart], lead[apart]]), axis=1), new
+
+
+def _stars(rows: DataFrame, measure: Measure, ranges: int) -> DataFrame:
+    """Each document that shares a key with a smaller one, and the smallest.
+
+    A batch settles its own shared keys and sends one document per key, packed by range of keys; so a
+    key of very many documents arrives once per batch. A task takes the ranges one by one.
+    """
+
+    def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            docs, texts = batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()
+            keys = [measure.keys(measure.shingles(t)).view(np.int64) for t in texts]
+            size = [len(k) for k in keys]
+            if not sum(size):
+                continue
+            own, edges, _ = _lead(np.concatenate(keys), np.repeat(np.array([d or 0 for d in docs], np.int64), size))
+            part = ((own[0].view(np.uint64) >> np.uint64(32)) * np.uint64(ranges) >> np.uint64(32)).astype(np.int64)
+            order = np.argsort(part, kind="stable")
+            ends = np.searchsorted(part[order], np.arange(ranges + 1))
+            rows = [(r, False, _pack(own[0][order[a:b]]), _pack(own[1][order[a:b]])) for r, (a, b) in enumerate(zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)) if b > a]
+            if edges.size:
+                rows.append((int(edges[0, 0]) % ranges, True, _pack(edges[0]), _pack(edges[1])))
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate((pa.int32(), pa.bool_(), pa.binary(), pa.binary()))], names=["part", "edges", "x", "y"])
+
+    def settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def out(pairs):
+            return pa.RecordBatch.from_arrays([pa.array(pairs[0], pa.int64()), pa.array(pairs[1], pa.int64())], names=["doc", "lead"])
+
+        now, held = None, []
+        for batch in batches:
+            for part, edges, x, y in zip(*(batch.column(c).to_pylist() for c in ("part", "edges", "x", "y")), strict=True):
+                if edges:
+                    yield out((_unpack(x), _unpack(y)))
+                    continue
+                if part != now:
+                    if held:
+                        yield out(_lead(*(np.concatenate(v) for v in zip(*held, strict=True)))[1])
+                    now, held = part, []
+                held.append((_unpack(x), _unpack(y)))
+        if held:
+            yield out(_lead(*(np.concatenate(v) for v in zip(*held, strict=True)))[1])
+
+    sent = rows.select("doc_id", "text").mapInArrow(send, "part int, edges boolean, x binary, y binary")
+    return sent.repartition("part").sortWithinPartitions("part").mapInArrow(settle, "doc long, lead long").distinct()
+
+
+def link_block(ids: list[int], sets: list[np.ndarray], measure: Measure) -> list[tuple[int, int]]:
+    """Links that join all linked documents of a block into trees."""
     n = len(ids)
     sizes = np.array([len(s) for s in sets], np.int64)
     flat = np.concatenate(sets)
@@ -203,7 +261,9 @@ def _links(docs: DataFrame, members: DataFrame, measure: Measure, block: int) ->
     size = members.groupBy("root").agg(F.sum("n").alias("total"))
     placed = members.join(size, "root").withColumn("blocks", F.ceil(F.col("total") / F.lit(block)).cast("int"))
     placed = placed.withColumn("own", F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int"))
-    texts = id_and_text(docs).join(placed, F.col("doc_id") == F.col("doc")).select("doc", "text", "root", "own", "blocks").dropDuplicates(["doc"])
+    placed = stored(placed.select("doc", "root", "own", "blocks"), "jaccard-members")
+    few = placed.count() <= BROADCAST_ROWS
+    texts = id_and_text(docs).join(F.broadcast(placed) if few else placed, F.col("doc_id") == F.col("doc")).select("doc", "text", "root", "own", "blocks")
 
     def cut(batch: pa.RecordBatch) -> dict:
         sets = [measure.shingles(t).tobytes() for t in batch.column("text").to_pylist()]
@@ -216,7 +276,7 @@ def _links(docs: DataFrame, members: DataFrame, measure: Measure, block: int) ->
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def emit(group):
-            pairs = link_block([r[0] for r in group], [r[1] for r in group], None, measure) if len(group) > 1 else []
+            pairs = link_block([r[0] for r in group], [r[1] for r in group], measure) if len(group) > 1 else []
             return pa.RecordBatch.from_arrays([pa.array([p[0] for p in pairs], pa.int64()), pa.array([p[1] for p in pairs], pa.int64())], names=["a", "b"])
 
         now, group = None, []
@@ -237,12 +297,19 @@ def _links(docs: DataFrame, members: DataFrame, measure: Measure, block: int) ->
 def similar_groups(docs: DataFrame, measure: Measure | None = None, block: int = BLOCK_NGRAMS) -> DataFrame:
     """doc_id, n_shingles, component_id of every row."""
     measure = measure or Measure()
-    rows = stored(profiles(docs, measure), "jaccard-profiles")
+    keyed = _keyed(docs)
+    rows = stored(profiles(keyed, measure), "jaccard-profiles")
     plain = rows.select("doc_id", "n", "h1", "h2")
     known = rows.where("n > 0 and doc_id is not null")
-    reps = stored(known.groupBy("n", "h1", "h2").agg(F.min("doc_id").alias("doc")), "jaccard-reps")
-    lone = rows.join(reps.select(F.col("doc").alias("doc_id"), "n", "h1", "h2"), ["doc_id", "n", "h1", "h2"], "left_semi").dropDuplicates(["doc_id", "n", "h1", "h2"])
-    stars = stored(_stars(lone.select(F.explode("keys").alias("key"), F.col("doc_id").alias("doc"))), "jaccard-stars")
+    first = known.groupBy("n", "h1", "h2").agg(F.min(F.struct("doc_id", "t")).alias("f"))
+    reps = stored(first.select("n", "h1", "h2", F.col("f.doc_id").alias("doc"), F.col("f.t").alias("t")), "jaccard-reps")
+    spare = stored(rows.join(reps.select(F.col("doc").alias("doc_id"), "t"), ["doc_id", "t"], "left_anti").select(F.col("doc_id").alias("_d"), F.col("t").alias("_t")).distinct(), "jaccard-copies")
+    few = spare.count() <= BROADCAST_ROWS
+    spare = F.broadcast(spare) if few else spare
+    lone = keyed.join(spare, keyed["doc_id"].eqNullSafe(spare["_d"]) & (keyed["t"] == spare["_t"]), "left_anti").where("doc_id is not null") if few else keyed.join(reps.select(F.col("doc").alias("doc_id"), "t"), ["doc_id", "t"], "left_semi")
+    total = reps.agg(F.sum("n")).first()[0] or 0
+    ranges = int(max(2, min(MOST_RANGES, total * measure.keys_per_gram() // RANGE_KEYS + 1)))
+    stars = stored(_stars(lone, measure, ranges), "jaccard-stars")
     clusters = components(stars, "doc", "lead")
     roots = clusters.select(F.col("root").alias("doc"), "root").distinct()
     members = clusters.select(F.col("node").alias("doc"), "root").union(roots).join(reps.groupBy("doc").agg(F.max("n").alias("n")), "doc")
@@ -258,5 +325,9 @@ def similar_groups(docs: DataFrame, measure: Measure | None = None, block: int =
 
 def one_of_each(docs: DataFrame, measure: Measure | None = None) -> DataFrame:
     """The rows of ``docs`` whose id leads its group: one document of each group stays."""
-    leaders = similar_groups(docs, measure).where("doc_id <=> component_id").select(F.col("doc_id").alias("_lead")).distinct()
-    return docs.join(leaders, docs["doc_id"].cast("long").eqNullSafe(F.col("_lead")), "left_semi")
+    told = stored(similar_groups(docs, measure).select(F.col("doc_id").alias("_id"), F.expr("doc_id <=> component_id").alias("leads")).distinct(), "jaccard-told")
+    own = docs["doc_id"].cast("long")
+    lost = told.where("not leads").select("_id")
+    if lost.count() <= BROADCAST_ROWS:
+        return docs.join(F.broadcast(lost), own.eqNullSafe(F.col("_id")), "left_anti")
+    return docs.join(told.where("leads").select("_id"), own.eqNullSafe(F.col("_id")), "left_semi")

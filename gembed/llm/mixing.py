@@ -31,6 +31,8 @@ TARGETS = {"good": 0.92, "poor": 0.04, "toxic": 0.04}
 LABELLED_ROWS = 4000
 LEXICON = 30
 STEPS = 24
+#: Rows of (id, copies) up to which the list of documents that do not stay once is broadcast.
+BROADCAST_ROWS = 500_000
 _NUMBERS = ("distinct", "caps", "symbols", "shouts", "long", *[f"lex_{d}" for d in DOMAINS])
 _SPLIT = r"[\s.,;:!?]+"
 
@@ -197,6 +199,9 @@ def apply_rates(docs: DataFrame, labels: DataFrame, targets: dict[str, float] |
     held = members.agg(F.sum(F.col("tokens") * F.col(f"p_{lead}")).alias("n")).first()["n"] or 0.0
     rate, _ = solve(members, targets, float(held) * growth / (targets[lead] / sum(targets.values())) or None)
     chance = F.pmod(F.xxhash64(F.col("doc_id"), F.lit("mix")), F.lit(1 << 20)) / float(1 << 20)
-    copies = members.select(F.col("doc_id").alias("_id"), F.floor(rate + chance).cast("int").alias("_copies")).groupBy("_id").agg(F.max("_copies").alias("_copies")).where("_copies > 0")
-    kept = docs.join(copies, F.col("doc_id").cast("long").eqNullSafe(F.col("_id")))
-    return kept.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).drop("_id", "_copies", "_copy")
+    copies = members.select(F.col("doc_id").alias("_id"), F.floor(rate + chance).cast("int").alias("_copies")).groupBy("_id").agg(F.max("_copies").alias("_copies"))
+    other = stored(copies.where("_copies != 1"), "mix-copies")  # documents that stay once are not listed
+    if other.count() <= BROADCAST_ROWS:
+        other = F.broadcast(other)
+    rows = docs.join(other, docs["doc_id"].cast("long").eqNullSafe(F.col("_id")), "left").where("coalesce(_copies, 1) > 0")
+    return rows.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.coalesce("_copies", F.lit(1))))).drop("_id", "_copies", "_copy")

@@ -123,8 +123,16 @@ def _by_bytes(docs: DataFrame, rows: DataFrame, clashing: DataFrame, digest_of)
 
 
 def keep_first(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` that stay, all columns unchanged."""
-    kept = dedup(docs).where("kept").select(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_digest")).distinct()
-    rows = docs.withColumn("_digest", digest(normalised(F.col("text"))))
-    match = rows.join(kept, rows["doc_id"].cast("long").eqNullSafe(kept["_id"]) & (rows["_digest"] == kept["_digest"]), "left_semi")
-    return match.dropDuplicates(["doc_id", "_digest"]).drop("_digest")
+    """The rows of ``docs`` that stay, all columns unchanged.
+
+    The list of those that go is broadcast while it is short; a longer one, and a table that repeats
+    whole rows, goes by a shuffle join.
+    """
+    told = stored(dedup(docs).select(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_digest"), "kept").distinct(), "dedup-kept")
+    kept, lost = told.where("kept").drop("kept"), told.where("not kept").drop("kept")
+    rows = docs.withColumn("_own", digest(normalised(F.col("text").cast("string"))))
+    same = lambda other: rows["doc_id"].cast("long").eqNullSafe(other["_id"]) & (rows["_own"] == other["_digest"])
+    if lost.count() <= BROADCAST_DIGESTS and kept.intersect(lost).isEmpty():
+        lost = F.broadcast(lost)
+        return rows.join(lost, same(lost), "left_anti").drop("_own")
+    return rows.join(kept, same(kept), "left_semi").dropDuplicates(["doc_id", "_own"]).drop("_own")
