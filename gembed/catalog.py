@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
+from .operators import experiments
+from .queries import graph_queries, model_queries, operator_queries  # noqa: F401  (registration)
+from .queries.base import QUERIES, SQL
+
 
 def flagship(spark, sf_dir):
-    raise NotImplementedError
+    return experiments.flagship(spark, sf_dir)
 
 
 def queries() -> dict:
-    return {}
+    return dict(QUERIES)
 
 
 def oracle_sql() -> dict:
-    return {}
+    return dict(SQL)
