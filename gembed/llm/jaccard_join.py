@@ -325,9 +325,9 @@ def similar_groups(docs: DataFrame, measure: Measure | None = None, block: int =
 
 def one_of_each(docs: DataFrame, measure: Measure | None = None) -> DataFrame:
     """The rows of ``docs`` whose id leads its group: one document of each group stays."""
-    told = stored(similar_groups(docs, measure).select(F.col("doc_id").alias("_id"), F.expr("doc_id <=> component_id").alias("leads")).distinct(), "jaccard-told")
+    told = stored(similar_groups(docs, measure).select(F.col("doc_id").alias("__gembed_id"), F.expr("doc_id <=> component_id").alias("leads")).distinct(), "jaccard-told")
     own = docs["doc_id"].cast("long")
-    lost = told.where("not leads").select("_id")
+    lost = told.where("not leads").select("__gembed_id")
     if lost.count() <= BROADCAST_ROWS:
-        return docs.join(F.broadcast(lost), own.eqNullSafe(F.col("_id")), "left_anti")
-    return docs.join(told.where("leads").select("_id"), own.eqNullSafe(F.col("_id")), "left_semi")
+        return docs.join(F.broadcast(lost), own.eqNullSafe(F.col("__gembed_id")), "left_anti")
+    return docs.join(told.where("leads").select("__gembed_id"), own.eqNullSafe(F.col("__gembed_id")), "left_semi")

@@ -128,11 +128,11 @@ def keep_first(docs: DataFrame) -> DataFrame:
     The list of those that go is broadcast while it is short; a longer one, and a table that repeats
     whole rows, goes by a shuffle join.
     """
-    told = stored(dedup(docs).select(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_digest"), "kept").distinct(), "dedup-kept")
+    told = stored(dedup(docs).select(F.col("doc_id").alias("__gembed_id"), F.col("text_sha256").alias("__gembed_digest"), "kept").distinct(), "dedup-kept")
     kept, lost = told.where("kept").drop("kept"), told.where("not kept").drop("kept")
-    rows = docs.withColumn("_own", digest(normalised(F.col("text").cast("string"))))
-    same = lambda other: rows["doc_id"].cast("long").eqNullSafe(other["_id"]) & (rows["_own"] == other["_digest"])
+    rows = docs.withColumn("__gembed_own", digest(normalised(F.col("text").cast("string"))))
+    same = lambda other: rows["doc_id"].cast("long").eqNullSafe(other["__gembed_id"]) & (rows["__gembed_own"] == other["__gembed_digest"])
     if lost.count() <= BROADCAST_DIGESTS and kept.intersect(lost).isEmpty():
         lost = F.broadcast(lost)
-        return rows.join(lost, same(lost), "left_anti").drop("_own")
-    return rows.join(kept, same(kept), "left_semi").dropDuplicates(["doc_id", "_own"]).drop("_own")
+        return rows.join(lost, same(lost), "left_anti").drop("__gembed_own")
+    return rows.join(kept, same(kept), "left_semi").dropDuplicates(["doc_id", "__gembed_own"]).drop("__gembed_own")

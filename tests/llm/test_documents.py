@@ -1,0 +1,316 @@
+"""The corpus operators on documents, against brute force, libraries and exact round trips."""
+
+import collections
+import hashlib
+import re
+import zlib
+
+import numpy as np
+import pytest
+from helpers import documents, texts
+from pyspark.sql import functions as F
+
+from gembed.llm import jaccard_join, mixing, pii, quality_cascade, sentencepiece_codec, stream_dedup, suffix_dedup, wavelet_shards
+from gembed.llm.catalog import tokenizer_file
+from gembed.llm.components import components
+
+WS = re.compile(r"[\x20\x09-\x0D]+")
+
+
+def words(t):
+    return re.findall(r"[^\x20\x09-\x0D]+", t or "")
+
+
+@pytest.fixture(scope="module")
+def docs(spark):
+    return documents(spark).repartition(3)
+
+
+@pytest.fixture(scope="module")
+def none(spark):
+    return documents(spark, [], repeat=False)
+
+
+ALL = texts() + [r for r in texts() if r[0] in (9, 12)]
+
+
+# -- 1
+
+
+def passages(rows, n):
+    owners = collections.defaultdict(set)
+    once = dict(rows)
+    for i, t in once.items():
+        w = words(t)
+        for k in range(len(w) - n + 1):
+            owners[tuple(w[k : k + n])].add(i)
+    out = set()
+    for i, t in once.items():
+        w, cur = words(t), None
+        for k in range(len(w) - n + 2):
+            hit = k + n <= len(w) and len(owners[tuple(w[k : k + n])]) > 1
+            if hit:
+                cur = (cur[0] if cur else k, k)
+            elif cur:
+                out.add((i, cur[0], cur[1] - cur[0] + n))
+                cur = None
+    return out
+
+
+@pytest.mark.parametrize("broadcast", [True, False])
+def test_suffix_dedup_equals_brute_force(docs, none, broadcast, monkeypatch):
+    if not broadcast:
+        monkeypatch.setattr(suffix_dedup, "BROADCAST_DOCS", -1)
+    got = suffix_dedup.repeated_passages(docs).collect()
+    assert {(r["doc_id"], r["start_word"], r["n_words"]) for r in got} == passages(ALL, 50) and len(got) == len(passages(ALL, 50))
+    by = dict(ALL)
+    assert all(by[r["doc_id"]][r["start"] : r["end"]] == r["passage"] for r in got)
+    assert {12, 13, 14} <= {r["doc_id"] for r in got}
+    assert suffix_dedup.repeated_passages(none).count() == 0
+
+
+def test_suffix_dedup_short_windows(docs):
+    got = {(r["doc_id"], r["start_word"], r["n_words"]) for r in suffix_dedup.repeated_passages(docs, min_words=12, k=3).collect()}
+    assert got == passages(ALL, 12)
+
+
+# -- 2
+
+
+def test_sentencepiece_equals_the_library(docs, none):
+    import sentencepiece
+
+    sp = sentencepiece.SentencePieceProcessor(model_file=tokenizer_file("piece_bpe_32k.model"))
+    sha = lambda s: hashlib.sha256(s.encode()).hexdigest()
+    want = sorted((i, len(ids := sp.encode(t or "")), sha(",".join(map(str, ids))), sha(sp.decode(ids))) for i, t in ALL)
+    got = sorted(map(tuple, sentencepiece_codec.encode_decode(docs, tokenizer_file("piece_bpe_32k.model")).collect()))
+    assert got == want
+    ids = sentencepiece_codec.encode_ids(docs, tokenizer_file("piece_bpe_32k.model"))
+    assert {(r["doc_id"], r["text"]) for r in sentencepiece_codec.decode_ids(ids, tokenizer_file("piece_bpe_32k.model")).collect()} == {(i, sp.decode(sp.encode(t or ""))) for i, t in ALL}
+    assert sentencepiece_codec.encode_decode(none, tokenizer_file("piece_bpe_32k.model")).count() == 0
+
+
+# -- 3
+
+RX = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
+
+
+def luhn(d):
+    return sum(int(c) if k % 2 == 0 else int(c) * 2 - 9 * (int(c) > 4) for k, c in enumerate(reversed(d))) % 10 == 0
+
+
+def base_spans(t):
+    out = []
+    for k, rx in RX.items():
+        for m in re.finditer(rx, t or ""):
+            d = re.sub("[^0-9]", "", m[0])
+            if {"email": True, "ip": k == "ip" and all(int(p) <= 255 for p in m[0].split(".")), "card": 14 <= len(d) <= 19 and luhn(d), "phone": 10 <= len(d) <= 15}[k]:
+                out.append((m.start(), list(RX).index(k), f"{k}:{m.start()}:{m.end()}"))
+    return [x[2] for x in sorted(out)]
+
+
+def test_pii_base_and_added_spans(spark, docs, none):
+    odd = [(100, "a@b.c_x@d.e 1.2.3.4.5.6.7.8 x@y.z@w.v"), (101, "4111-1111-1111-1111-1111"), (102, "+" + "1" * 4000), (103, "1 2 " * 6000), (104, "a" * 20_000 + "@b"), (105, "001.002.003.0255 é a@b.co"), (106, "john [at] mail [dot] com")]
+    rows = ALL + odd
+    got = {r["doc_id"]: r for r in pii.report(docs.select("doc_id", "text").union(spark.createDataFrame(odd, "doc_id long, text string"))).collect()}
+    for i, t in rows:
+        b = base_spans(t)
+        assert got[i]["base_sha256"] == hashlib.sha256(",".join(b).encode()).hexdigest(), (i, b, got[i])
+        assert [got[i][f"n_{k}"] for k in RX] == [sum(x.startswith(k) for x in b) for k in RX]
+        assert set(b) <= set(got[i]["spans"].split(",")) | {""}
+    assert "phone:" in got[37]["spans"] and got[37]["n_added"] >= 1  # a number cut short by another, and one without a plus
+    assert got[106]["spans"].startswith("email:") and got[9]["n_added"] == got[32]["n_added"] == 0
+    assert pii.report(none).count() == 0
+    out = {r["doc_id"]: r["text"] for r in pii.redact(docs).collect()}
+    assert "joe" not in out[37] and "[card]" in out[37] and out[9] == dict(ALL)[9]
+
+
+# -- 4
+
+
+def test_exact_dedup_groups(docs, none):
+    groups = collections.defaultdict(list)
+    for i, t in ALL:
+        groups[WS.sub(" ", t or "")].append(i)
+    got = stream_dedup.dedup(docs).collect()
+    assert len(got) == len(ALL)
+    by = dict(ALL)
+    for r in got:
+        g = groups[WS.sub(" ", by[r["doc_id"]] or "")]
+        assert (r["keep_id"], r["group_size"]) == (min(g), len(g))
+        assert r["text_sha256"] == hashlib.sha256(WS.sub(" ", by[r["doc_id"]] or "").encode()).hexdigest()
+    assert sum(r["kept"] for r in got) == len(groups) and all(r["doc_id"] == r["keep_id"] for r in got if r["kept"])
+    assert stream_dedup.dedup(none).count() == 0
+
+
+def test_exact_dedup_checks_bytes_when_digests_collide(docs):
+    weak = lambda c: F.substring(F.sha2(c, 256), 1, 1)
+    a = {(r["doc_id"], r["keep_id"], r["group_size"]) for r in stream_dedup.dedup(docs).collect()}
+    b = {(r["doc_id"], r["keep_id"], r["group_size"]) for r in stream_dedup.dedup(docs, weak).collect()}
+    assert a == b
+
+
+def test_exact_dedup_keeps_rows_once(docs, spark):
+    kept = stream_dedup.keep_first(docs)
+    assert kept.columns == docs.columns and sorted(r["doc_id"] for r in kept.collect()) == sorted({r["doc_id"] for r in stream_dedup.dedup(docs).where("kept").collect()})
+    assert stream_dedup.keep_first(documents(spark, [(1, "a b"), (2, "a  b"), (3, None)], repeat=False)).count() == 2
+
+
+def test_exact_dedup_state_goes_on(spark, tmp_path):
+    state = stream_dedup.DedupState(spark, f"file://{tmp_path}/state")
+    path = f"file://{tmp_path}/log"
+    for rows in ([(5, "x"), (6, "y")], [(3, "x"), (9, "y")]):
+        log = stream_dedup.ingest_log(documents(spark, rows, repeat=False))
+        log.write.mode("append").parquet(path)
+        state.absorb(spark.read.parquet(path), path, batches=1)
+    assert sorted((r["first"]["doc_id"], r["n"]) for r in state.table().collect()) == [(3, 2), (6, 2)]
+
+
+# -- 6
+
+
+def test_token_shards_round_trip(docs, none):
+    from tokenizers import Tokenizer
+
+    lib = Tokenizer.from_file(tokenizer_file("word_bpe_49k.json"))
+    manifest = wavelet_shards.write_shards(docs, tokenizer_file("word_bpe_49k.json"), shard_tokens=3000)
+    assert manifest.count() > 2
+    got = sorted(map(tuple, wavelet_shards.read_shards(manifest).collect()), key=lambda r: r[1])
+    at = 0
+    for (i, t), r in zip(sorted(ALL, key=lambda x: (x[0], x[1] or "")), got, strict=True):
+        ids = np.array([*lib.encode(t or "", add_special_tokens=False).ids, 2], "<u4")
+        assert r == (i, at, len(ids), zlib.crc32(ids.tobytes()))
+        at += len(ids)
+    assert wavelet_shards.token_output(none, tokenizer_file("word_bpe_49k.json")).count() == 0
+
+
+def test_wavelet_access_count_and_locate(monkeypatch):
+    monkeypatch.setattr(wavelet_shards, "BLOCK_BITS", 64)
+    rng = np.random.default_rng(0)
+    for n in (1, 63, 64, 65, 1000):
+        ids = rng.integers(0, 50, n).astype("<u2")
+        s = wavelet_shards.Shard.of_bytes(wavelet_shards.build(ids, [1], [n], 6))
+        assert (s.decode() == ids).all() and [s.access(i) for i in range(0, n, 7)] == ids[::7].tolist()
+        for token in (0, 7, 49, 63, 64):
+            at = np.flatnonzero(ids == token)
+            assert s.count(token) == len(at) and s.count(token, n // 3, n) == (at >= n // 3).sum()
+            assert [s.locate(token, k) for k in range(len(at))] == at.tolist() and s.locate(token, len(at)) == -1
+
+
+# -- 7
+
+
+def test_mixing_meets_targets(spark):
+    d = "/root/testdata/sf0.01"
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    rows = mixing.mix(docs, labels)
+    assert rows.count() == docs.count() and rows.where("rate < 0").isEmpty()
+    total = rows.agg(F.sum("tokens")).first()[0]
+    got = rows.agg(*[F.sum(F.col("rate") * F.col("tokens") * F.col(f"p_{k}")).alias(k) for k in mixing.DOMAINS]).first()
+    for k in mixing.DOMAINS:
+        assert abs(got[k] / total - mixing.TARGETS[k]) < 0.005
+    known = rows.join(labels, "doc_id").withColumn("d", mixing.domain(F.col("quality"), F.col("toxic")))
+    best = F.expr("case greatest(p_good, p_poor, p_toxic) when p_good then 0 when p_poor then 1 else 2 end")
+    assert known.agg(F.avg((best == F.col("d")).cast("int"))).first()[0] > 0.9
+
+
+def test_mixing_on_odd_tables(spark, docs, none):
+    labels = spark.createDataFrame([(9, 1, 0), (34, 0, 0), (36, 0, 1), (None, 1, 0), (9, 1, 0)], "doc_id long, quality int, toxic int")
+    assert mixing.mix(docs, labels).where("rate is null or rate < 0").isEmpty() and mixing.mix(docs, labels).count() == len(ALL)
+    empty = labels.where("false")
+    assert mixing.mix(none, empty).count() == 0
+    assert {r["rate"] for r in mixing.mix(docs, empty).where("tokens = 0").collect()} == {1.0}
+    out = mixing.apply_rates(docs, labels)
+    assert out.columns == docs.columns
+
+
+# -- 9
+
+
+def metrics_of(t):
+    w = words(t)
+    where = collections.defaultdict(list)
+    for k in range(len(w) - 7):
+        where[tuple(w[k : k + 8])].append(k)
+    covered = {k + j for ks in where.values() if len(ks) > 1 for k in ks for j in range(8)}
+    lines = [x for x in (t or "").split("\n") if words(x)]
+    failed = len(w) < 20 or 100 * len(covered) > 30 * len(w)
+    return len(w), sum(map(len, w)), sum(c in "#*$%&|<>" for c in (t or "")), len(lines) - len(set(lines)), len(covered), failed
+
+
+def test_quality_metrics_equal_brute_force(docs, none):
+    got = quality_cascade.quality_metrics(docs).collect()
+    by = dict(ALL)
+    assert len(got) == len(ALL)
+    for r in got:
+        assert (r["n_words"], r["word_chars"], r["n_symbols"], r["n_dup_lines"], r["n_repeat_words"], r["base_failed"]) == metrics_of(by[r["doc_id"]])
+        assert not (r["base_failed"] and r["kept"])
+    kept = {r["doc_id"] for r in got if r["kept"]}
+    assert {9, 12, 20, 32, -5} <= kept and not {1, 4, 33, 34, 36} & kept
+    assert quality_cascade.quality_metrics(none).count() == 0
+
+
+def test_cascade_order_never_changes_the_verdict(docs):
+    a = {(r["doc_id"], r["kept"]) for r in quality_cascade.verdicts(docs, quality_cascade.RULES).collect()}
+    b = {(r["doc_id"], r["kept"]) for r in quality_cascade.verdicts(docs, quality_cascade.RULES[::-1]).collect()}
+    assert a == b == {(r["doc_id"], r["kept"]) for r in quality_cascade.quality_metrics(docs).collect()}
+    plan = quality_cascade.measure_rules(docs, one_in=1)
+    assert sum(r["docs"] > 0 for r in plan) == len(quality_cascade.RULES)
+    kept = quality_cascade.keep_good(docs)
+    assert kept.columns == docs.columns and {r["doc_id"] for r in kept.collect()} == {i for i, k in a if k}
+
+
+# -- 10
+
+
+def linked_components(rows, n, num, den):
+    sets = []
+    for i, t in rows:
+        w = [x.encode().lower() for x in words(t)]
+        sets.append((i, frozenset(tuple(w[k : k + n]) for k in range(max(1, len(w) - n + 1))) if w else frozenset()))
+    root = {i: i for i, _ in sets}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a, (i, s) in enumerate(sets):
+        for j, t in sets[:a]:
+            both = len(s & t)
+            if s and t and den * both >= num * (len(s) + len(t) - both):
+                x, y = find(i), find(j)
+                root[max(x, y)] = min(x, y)
+    return {i: (len(s), find(i)) for i, s in sets}
+
+
+@pytest.mark.parametrize("n,num,broadcast,block", [(3, 90, True, 2_000_000), (3, 90, False, 300), (5, 80, True, 2_000_000), (2, 60, True, 500)])
+def test_jaccard_components_equal_brute_force(docs, none, n, num, broadcast, block, monkeypatch):
+    if not broadcast:
+        monkeypatch.setattr(jaccard_join, "BROADCAST_ROWS", -1)
+    m = jaccard_join.Measure(n, num, 100)
+    want = linked_components(ALL, n, num, 100)
+    got = jaccard_join.similar_groups(docs, m, block).collect()
+    assert len(got) == len(ALL) and {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in got} == want
+    assert jaccard_join.similar_groups(none, m).count() == 0
+    assert sorted({r["doc_id"] for r in jaccard_join.one_of_each(docs, m).collect()}) == sorted({c for _, c in want.values()})
+
+
+def test_similar_sets_always_share_a_key():
+    rng = np.random.default_rng(3)
+    for num in (90, 80, 60):
+        m = jaccard_join.Measure(3, num, 100)
+        for _ in range(400):
+            size = int(rng.integers(1, 400))
+            a = np.unique(rng.integers(0, 2**63, size).astype(np.uint64) * np.uint64(2))
+            drop = int(rng.integers(0, max(1, size // 4) + 1))
+            b = np.unique(np.concatenate([a[drop:], rng.integers(0, 2**63, int(rng.integers(0, max(1, size // 5) + 1))).astype(np.uint64)]))
+            both = len(np.intersect1d(a, b))
+            if len(b) and m.linked(both, len(a), len(b)) and both < max(len(a), len(b)):
+                assert np.intersect1d(m.keys(a), m.keys(b)).size
+
+
+def test_components_of_a_chain_and_a_hub(spark):
+    chain = [(i, i + 1) for i in range(40)] + [(100, k) for k in range(101, 160)] + [(7, 7)]
+    got = {r["node"]: r["root"] for r in components(spark.createDataFrame(chain, "a long, b long"), "a", "b").collect()}
+    assert got == {i: 0 for i in range(1, 41)} | {k: 100 for k in range(101, 160)}
