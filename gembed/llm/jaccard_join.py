@@ -3,9 +3,14 @@
 The n-grams' hashes are the global order. It is cut into as many equal ranges (fragments) as a pair of
 similar sets can differ in elements, plus two: with fewer differences than fragments, two similar sets
 are equal in at least one non-empty fragment. So a document sends one key per fragment (the fragment's
-number and a hash of what the set has in it), and only documents that share a key can be linked. A key
-stands for some eight n-grams, so a passage or word that many documents share gives no candidates by
-itself, and no frequencies are needed.
+number and a hash of what the set has in it), and only documents that share a key can be linked. At a
+threshold of 0.9 a key stands for some eight n-grams, so a passage or word that many documents share
+gives few candidates by itself.
+
+At lower thresholds keys are shorter. There (``spare`` > 0) the sets are cut in more fragments than
+needed, and a document leaves out up to that surplus of keys whose n-grams are all common ones: a
+linked pair agrees on more fragments than either has left out, so one key still meets. Which n-grams
+are common (counted over all documents) changes the number of candidates and never the links.
 
 Documents that share keys, directly or over others, form a cluster. Inside a cluster overlaps are
 counted fragment by fragment and summed per pair, and a pair is dropped as soon as the rest cannot
@@ -39,7 +44,7 @@ from .wordhash import mix, windows, word_hashes
 
 #: n-grams per block of a cluster: bounds what one task holds.
 BLOCK_NGRAMS = 2_000_000
-#: Fragments beyond the least number; sets with more empty fragments also send keys for the empty ones.
+#: Fragments beyond the least number at any threshold: as many may be empty without a key of their own.
 SPARE = 1
 #: Fragments in which overlaps are counted before the sums are compared with the bound.
 COUNT_FRAGMENTS = 8
@@ -49,14 +54,18 @@ COUNT_FRAGMENTS = 8
 BROADCAST_ROWS = 500_000
 #: Keys that a task sorts at a time, and ranges of keys at most.
 RANGE_KEYS = 1_500_000
+#: Bound on the list of common n-grams (8 bytes each), and documents that have one at least.
+COMMON, COMMON_LEAST = 500_000, 6
 MOST_RANGES = 20_000
 
 
 class Measure:
     """Jaccard threshold num/den over distinct n-grams of n words."""
 
-    def __init__(self, n: int = 3, num: int = 90, den: int = 100):
+    def __init__(self, n: int = 3, num: int = 90, den: int = 100, spare: float | None = None):
         self.n, self.num, self.den = n, num, den
+        self.spare = spare if spare is not None else (0.3 if 100 * num < 85 * den else 0.0)
+        self.common = np.zeros(0, np.uint64)  # sorted hashes of common n-grams
         self.starts = [1]
         while self.starts[-1] < 1 << 40:
             self.starts.append(max(self.starts[-1] + 1, -(-self.starts[-1] * den // num)))
@@ -83,20 +92,35 @@ class Measure:
 
     def keys_per_gram(self) -> float:
         """About how many keys a set sends per n-gram."""
-        return (self.den - self.num) / self.num * (1 + self.den / self.num)
+        return (1 + self.spare) * (self.den - self.num) / self.num * (1 + self.den / self.num)
+
+    def differences(self, level: int) -> int:
+        """The most elements by which two linked sets differ of which the smaller is of this level."""
+        return (self.den - self.num) * (self.starts[level + 1] - 1) // self.num
+
+    def surplus(self, level: int) -> int:
+        """Keys that a document may leave out."""
+        return SPARE + int(self.spare * self.differences(level))
 
     def fragments(self, level: int) -> int:
-        """Fragments for pairs whose smaller set is of this level: one more than they can differ by, and the spare."""
-        most = self.starts[level + 1] - 1
-        return (self.den - self.num) * most // self.num + 1 + SPARE
+        """Fragments for pairs whose smaller set is of this level: one more than they can differ by, and the surplus."""
+        return self.differences(level) + 1 + self.surplus(level)
 
     def keys(self, s: np.ndarray) -> np.ndarray:
-        """One key per fragment, for partners that are larger and for partners that are smaller."""
+        """One key per fragment, for partners that are larger and for partners that are smaller.
+
+        Keys of empty fragments, and of fragments with common n-grams only, are left out if they are
+        no more than the surplus; else all are sent.
+        """
         size = len(s)
-        if (self.den - self.num) * size < self.num:  # cannot be linked with any other set
-            if not any(self.linked(size, size, size + k) for k in (1,)):
-                return np.zeros(0, np.uint64)
+        if not size or not self.linked(size, size, size + 1):  # cannot be linked with any other set
+            return np.zeros(0, np.uint64)
         level, out = self.level(size), []
+        mixed = mix(s ^ np.uint64(0xA5A5))
+        rare = None
+        if len(self.common):
+            at = np.minimum(np.searchsorted(self.common, s), len(self.common) - 1)
+            rare = (self.common[at] != s).astype(np.int64)
         for at in (level, level - 1):
             if at < 0:
                 continue
@@ -104,12 +128,15 @@ class Measure:
             place = ((s >> np.uint64(32)) * np.uint64(m)) >> np.uint64(32)
             first = np.flatnonzero(np.concatenate([[True], place[1:] != place[:-1]]))
             filled = place[first]
-            total = np.add.reduceat(mix(s ^ np.uint64(0xA5A5)), first)
-            head = mix(filled * np.uint64(2654435761) + np.uint64(at * 1_000_003 + 17))
-            out.append(mix(total + head))
-            if m - len(filled) > SPARE:
-                empty = np.setdiff1d(np.arange(m, dtype=np.uint64), filled)
-                out.append(mix(mix(empty * np.uint64(2654435761) + np.uint64(at * 1_000_003 + 17)) + np.uint64(1)))
+            head = lambda p: mix(p * np.uint64(2654435761) + np.uint64(at * 1_000_003 + 17))  # noqa: B023, E731
+            key = mix(np.add.reduceat(mixed, first) + head(filled))
+            plain = np.add.reduceat(rare, first) == 0 if rare is not None else np.zeros(len(first), bool)
+            empty, surplus = m - len(filled), self.surplus(at)
+            if empty + int(plain.sum()) <= surplus:
+                key = key[~plain]
+            elif empty:
+                out.append(mix(head(np.setdiff1d(np.arange(m, dtype=np.uint64), filled)) + np.uint64(1)))
+            out.append(key)
         return np.concatenate(out)
 
 
@@ -132,6 +159,22 @@ def profiles(rows: DataFrame, measure: Measure) -> DataFrame:
     return mapped(rows.select("doc_id", "t", "text"), run, "doc_id long, t long, n long, h1 long, h2 long")
 
 
+def common_ngrams(rows: DataFrame, measure: Measure) -> np.ndarray:
+    """The n-grams that most documents have, at most ``COMMON`` of them.
+
+    A batch reports those that it has twice or more, and all reports are summed; the list has a fixed bound.
+    """
+
+    def run(batch: pa.RecordBatch) -> dict:
+        sets = [measure.shingles(t) for t in batch.column("text").to_pylist()]
+        gram, n = np.unique(np.concatenate(sets), return_counts=True) if sets else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+        often = n > 1
+        return {"gram": gram[often].view(np.int64), "n": n[often].astype(np.int64)}
+
+    counted = mapped(rows.select("text"), run, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n")).where(F.col("n") >= COMMON_LEAST)
+    return np.sort(np.array([r["gram"] for r in counted.orderBy(F.desc("n"), "gram").limit(COMMON).select("gram").collect()], np.int64).view(np.uint64))
+
+
 def _pack(a: np.ndarray) -> bytes:
     """64-bit values, byte by byte in planes, compressed: keys of one range share their upper bytes, ids theirs."""
     import zstandard
@@ -307,6 +350,8 @@ def similar_groups(docs: DataFrame, measure: Measure | None = None, block: int =
     few = spare.count() <= BROADCAST_ROWS
     spare = F.broadcast(spare) if few else spare
     lone = keyed.join(spare, keyed["doc_id"].eqNullSafe(spare["_d"]) & (keyed["t"] == spare["_t"]), "left_anti").where("doc_id is not null") if few else keyed.join(reps.select(F.col("doc").alias("doc_id"), "t"), ["doc_id", "t"], "left_semi")
+    if measure.spare:
+        measure.common = common_ngrams(lone, measure)
     total = reps.agg(F.sum("n")).first()[0] or 0
     ranges = int(max(2, min(MOST_RANGES, total * measure.keys_per_gram() // RANGE_KEYS + 1)))
     stars = stored(_stars(lone, measure, ranges), "jaccard-stars")
