@@ -72,12 +72,11 @@ class Measure:
 
     def shingles(self, text: str) -> np.ndarray:
         """Sorted distinct hashes of a text's n-grams."""
-        words = text.encode("utf-8", "surrogatepass").lower().split()
-        if not words:
-            return np.zeros(0, np.uint64)
-        h = word_hashes(words)
-        if len(words) < self.n:
-            return windows(h, len(words), seed=100 + len(words))
+        h = word_hashes(text.encode("utf-8", "surrogatepass").lower())
+        if not len(h):
+            return h
+        if len(h) < self.n:
+            return windows(h, len(h), seed=100 + len(h))
         return np.unique(windows(h, self.n, seed=100 + self.n))
 
     def linked(self, overlap, size_a, size_b):

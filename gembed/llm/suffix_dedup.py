@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import id_and_text, mapped, stored
-from .wordhash import mix, windows, word_hashes
+from .wordhash import Ranges, windows, word_hashes
 
 MIN_WORDS = 50
 #: Words of a suffix's start that are compared first.
@@ -38,34 +38,6 @@ _WORD = re.compile(r"[^\x20\x09-\x0D]+")
 _BASES = (0x9E3779B97F4A7C15, 0xD1B54A32D192ED03)
 
 
-class Ranges:
-    """Hashes of any range of a word sequence, from sums of scaled word hashes."""
-
-    def __init__(self, h: np.ndarray, base: int):
-        inverse = pow(base, -1, 1 << 64)
-        n = len(h) + 1
-        self.back = _powers(inverse, n)
-        self.sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(h * _powers(base, n)[:-1], dtype=np.uint64)])
-
-    def __call__(self, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
-        return mix((self.sums[hi] - self.sums[lo]) * self.back[lo] + (hi - lo).astype(np.uint64))
-
-
-_kept: dict[int, np.ndarray] = {}
-
-
-def _powers(base: int, n: int) -> np.ndarray:
-    have = _kept.get(base)
-    if have is None or len(have) < n:
-        size = max(1024, 1 << (n - 1).bit_length())
-        have = np.ones(size, np.uint64)
-        have[1:] = np.uint64(base)
-        have = np.cumprod(have, dtype=np.uint64)
-        if size <= 1 << 16:
-            _kept[base] = have
-    return have[:n]
-
-
 def anchors(h: np.ndarray, min_words: int = MIN_WORDS, k: int = K) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Retained suffixes of a text: start, hash of its first k words, first and last window that chose it."""
     n_windows = len(h) - min_words + 1
@@ -96,7 +68,7 @@ def _keyed(docs: DataFrame) -> DataFrame:
 
 def _starts(rows: DataFrame, min_words: int, k: int) -> DataFrame:
     def run(batch: pa.RecordBatch) -> dict:
-        found = [anchors(word_hashes(t.encode("utf-8", "surrogatepass").split()), min_words, k) for t in batch.column("text").to_pylist()]
+        found = [anchors(word_hashes(t.encode("utf-8", "surrogatepass")), min_words, k) for t in batch.column("text").to_pylist()]
         n = [len(f[0]) for f in found]
         return {
             "uid": np.repeat(batch.column("uid").to_numpy(), n),
@@ -113,7 +85,7 @@ def _extensions(texts: DataFrame, min_words: int, k: int) -> DataFrame:
     def run(batch: pa.RecordBatch) -> dict:
         out: dict = {c: [] for c in ("uid", "doc_id", "lo", "hi", "start", "c1", "c2")}
         for uid, doc, text, los in zip(*(batch.column(c).to_pylist() for c in ("uid", "doc_id", "text", "los")), strict=True):
-            h = word_hashes(text.encode("utf-8", "surrogatepass").split())
+            h = word_hashes(text.encode("utf-8", "surrogatepass"))
             _, g, lo, hi = anchors(h, min_words, k)
             pick = np.flatnonzero(np.isin(lo, np.array(los)))
             lo, hi, g = lo[pick], hi[pick], g[pick]
@@ -132,16 +104,16 @@ def _extensions(texts: DataFrame, min_words: int, k: int) -> DataFrame:
 
 
 def _windows_of(texts: DataFrame, owners: DataFrame, min_words: int) -> DataFrame:
-    """(start, c1, c2, a, b, first, offset, win): the windows of some suffixes (uid, lo, hi and those columns)."""
-    asked = owners.groupBy("uid").agg(F.collect_list(F.struct("start", "c1", "c2", "a", "b", "first", "lo", "hi")).alias("asked"))
+    """(start, ctx, a, b, first, offset, win): the windows of some suffixes (uid, lo, hi and those columns)."""
+    asked = owners.groupBy("uid").agg(F.collect_list(F.struct("start", "ctx", "a", "b", "first", "lo", "hi")).alias("asked"))
 
     def run(batch: pa.RecordBatch) -> dict:
-        out: dict = {c: [] for c in ("start", "c1", "c2", "a", "b", "first", "offset", "win")}
+        out: dict = {c: [] for c in ("start", "ctx", "a", "b", "first", "offset", "win")}
         for text, asked in zip(batch.column("text").to_pylist(), batch.column("asked").to_pylist(), strict=True):
-            hashes = Ranges(word_hashes(text.encode("utf-8", "surrogatepass").split()), _BASES[0])
+            hashes = Ranges(word_hashes(text.encode("utf-8", "surrogatepass")), _BASES[0])
             for r in asked:
                 at = np.arange(r["lo"], r["hi"] + 1)
-                for c in ("start", "c1", "c2", "a", "b", "first"):
+                for c in ("start", "ctx", "a", "b", "first"):
                     out[c] += [r[c]] * len(at)
                 out["offset"].append(at - r["lo"])
                 out["win"].append(hashes(at, at + min_words).view(np.int64))
@@ -150,7 +122,7 @@ def _windows_of(texts: DataFrame, owners: DataFrame, min_words: int) -> DataFram
         out["offset"] = out["offset"].astype(np.int32)
         return out
 
-    return mapped(texts.join(asked, "uid").select("text", "asked"), run, "start long, c1 long, c2 long, a long, b long, first long, offset int, win long")
+    return mapped(texts.join(asked, "uid").select("text", "asked"), run, "start long, ctx long, a long, b long, first long, offset int, win long")
 
 
 def _spans(rows: DataFrame, min_words: int) -> DataFrame:
@@ -191,19 +163,19 @@ def repeated_passages(docs: DataFrame, min_words: int = MIN_WORDS, k: int = K) -
     ext = stored(_extensions(texts, min_words, k), "suffix-extensions")
 
     key = ["start", "c1", "c2"]
-    whole = ext.groupBy(*key).agg(F.min("uid").alias("a"), F.max("uid").alias("b"), F.min("doc_id").alias("first"))
-    whole = stored(whole, "suffix-contexts")
+    owner = F.min(F.struct("uid", "lo", "hi")).alias("f")
+    whole = stored(ext.groupBy(*key).agg(owner, F.max("uid").alias("b"), F.min("doc_id").alias("first")).withColumn("ctx", F.xxhash64("c1", "c2")), "suffix-contexts")
     several = whole.groupBy("start").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("start")
     # one suffix per different extension of a start that has several; its windows are compared with the others'
-    apart = whole.join(several, "start")
-    owners = apart.join(ext.select(*key, F.col("uid").alias("a"), "lo", "hi"), [*key, "a"]).groupBy(*key, "a", "b", "first").agg(F.min(F.struct("lo", "hi")).alias("at")).select(*key, "a", "b", "first", F.col("a").alias("uid"), "at.lo", "at.hi")
+    owners = whole.join(several, "start").select("start", "ctx", F.col("f.uid").alias("a"), "b", "first", F.col("f.uid").alias("uid"), "f.lo", "f.hi")
     each = stored(_windows_of(texts, owners, min_words), "suffix-windows")
     common = each.groupBy("start", "win").agg(F.min("a").alias("u"), F.max("b").alias("v"), F.min("first").alias("least")).where("u != v").select("start", "win", "least")
-    partly = each.where("a = b").join(common, ["start", "win"]).groupBy(*key).agg(F.collect_list(F.struct("offset", "least")).alias("offsets"))
-    fully = whole.where("a != b").select(*key, "first")
-
-    at = ext.select("uid", "lo", "hi", *key)
-    one = (F.col("lo") + F.col("o.offset")).cast("int")
-    runs = at.join(fully, key).select("uid", "lo", "hi", "first").union(at.join(partly, key).select("uid", "lo", F.explode("offsets").alias("o")).select("uid", one, one, "o.least"))
-    of_doc = runs.groupBy("uid").agg(F.collect_list(F.struct("lo", "hi", "first")).alias("runs"))
+    partly = each.where("a = b").select("start", "win", "ctx", "offset").join(common, ["start", "win"]).groupBy("start", "ctx").agg(F.collect_list(F.struct("offset", "least")).alias("offsets"))
+    none = F.lit(None).cast("array<struct<offset:int,least:bigint>>")
+    told = whole.where("f.uid != b").select("start", "ctx", "first", none.alias("offsets")).unionByName(partly.select("start", "ctx", F.lit(None).cast("long").alias("first"), "offsets"))
+
+    at = ext.select("uid", "lo", "hi", "start", F.xxhash64("c1", "c2").alias("ctx")).join(told, ["start", "ctx"])
+    ranges = F.when(F.col("offsets").isNull(), F.array(F.struct("lo", "hi", "first"))).otherwise(F.transform("offsets", lambda o: F.struct((F.col("lo") + o["offset"]).cast("int").alias("lo"), (F.col("lo") + o["offset"]).cast("int").alias("hi"), o["least"].alias("first"))))
+    runs = at.select("uid", F.explode(ranges).alias("r"))
+    of_doc = runs.groupBy("uid").agg(F.collect_list("r").alias("runs"))
     return _spans(texts.join(of_doc, "uid"), min_words)
