@@ -68,19 +68,40 @@ class WordTokens:
         self.lowers = self.by_word and "Lowercase" in kinds and letters_apart and all(t["content"].startswith("<|") for t in added)
         self.mark, self.mark_id = (added[0]["content"], added[0]["id"]) if added else ("", -1)
         self.kind = np.dtype("<u2") if self.lib.get_vocab_size(with_added_tokens=True) <= 1 << 16 else np.dtype("<u4")
+        close = (spec.get("model") or {}).get("end_of_word_suffix")
+        self.closes = None
+        if self.lowers and close:
+            self.closes = np.zeros(self.lib.get_vocab_size(with_added_tokens=True), bool)
+            for token, i in self.lib.get_vocab(with_added_tokens=False).items():
+                self.closes[i] = token.endswith(close)
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
 
     def _learn(self, words: list[str]) -> dict[str, bytes]:
-        """Encodes words, adds them to the cache and returns them."""
-        plain, out = [w for w in words if self.mark not in w], {}
-        for w in words if len(plain) < len(words) else ():
+        """Encodes words, adds them to the cache and returns them.
+
+        Words of plain Latin letters are one piece each, so with spaces between them every id that
+        closes a word ends one; others are parted by the special token.
+        """
+        out: dict[str, bytes] = {}
+        letters = [w for w in words if self.closes is not None and _LATIN.fullmatch(w)]
+        apart = words if not letters else [w for w in words if not _LATIN.fullmatch(w)]
+        size = self.kind.itemsize
+        if letters:
+            ids = np.array(self.lib.encode_batch_fast([" ".join(letters)], add_special_tokens=False)[0].ids, self.kind)
+            ends = (np.flatnonzero(self.closes[ids]) + 1) * size
+            data, at = ids.tobytes(), 0
+            for w, end in zip(letters, ends.tolist(), strict=True):
+                out[w] = data[at:end]
+                at = end
+        plain = [w for w in apart if self.mark not in w]
+        for w in apart if len(plain) < len(apart) else ():
             if self.mark in w:
                 out[w] = np.array(self.lib.encode(w, add_special_tokens=False).ids, self.kind).tobytes()
         if plain:
             ids = np.array(self.lib.encode_batch_fast([self.mark.join(plain)], add_special_tokens=False)[0].ids, np.int64)
             ends = np.flatnonzero(ids == self.mark_id)
-            size, data = self.kind.itemsize, ids.astype(self.kind).tobytes()
+            data = ids.astype(self.kind).tobytes()
             starts = np.concatenate([[0], ends + 1]) * size
             for w, a, b in zip(plain, starts.tolist(), (np.concatenate([ends, [len(ids)]]) * size).tolist(), strict=True):
                 out[w] = data[a:b]
@@ -118,7 +139,8 @@ class WordTokens:
         return [np.frombuffer(b"".join([here[w] for w in words]) + tail, self.kind) for words in parts]
 
 
-#: A stop or comma that may belong to a longer group of signs.
+#: Words that are one run of letters, and a stop or comma that may belong to a longer group of signs.
+_LATIN = re.compile(r"[a-zà-öø-ÿ]+")
 _GROUPED = re.compile(r"(?:[^\w\s]|_)[.,] ")
 
 
