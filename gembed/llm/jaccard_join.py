@@ -59,6 +59,11 @@ COMMON, COMMON_LEAST = 500_000, 6
 MOST_RANGES = 20_000
 
 
+_SLICES = np.array([k << 60 for k in range(16)] + [2**64 - 1], np.uint64)
+#: Characters whose keys a task holds at a time before it settles and sends them.
+SEND_CHARS = 6_000_000
+
+
 class Measure:
     """Jaccard threshold num/den over distinct n-grams of n words."""
 
@@ -166,9 +171,14 @@ def common_ngrams(rows: DataFrame, measure: Measure) -> np.ndarray:
 
     def run(batch: pa.RecordBatch) -> dict:
         sets = [measure.shingles(t) for t in batch.column("text").to_pylist()]
-        gram, n = np.unique(np.concatenate(sets), return_counts=True) if sets else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
-        often = n > 1
-        return {"gram": gram[often].view(np.int64), "n": n[often].astype(np.int64)}
+        grams, counts = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)]
+        cuts = [np.searchsorted(x, _SLICES) for x in sets]
+        for k in range(len(_SLICES) - 1):  # a slice of the order at a time, for memory
+            part = [x[c[k] : c[k + 1]] for x, c in zip(sets, cuts, strict=True)]
+            gram, n = np.unique(np.concatenate(part), return_counts=True) if part else (grams[0], counts[0])
+            grams.append(gram[n > 1])
+            counts.append(n[n > 1].astype(np.int64))
+        return {"gram": np.concatenate(grams).view(np.int64), "n": np.concatenate(counts)}
 
     counted = mapped(rows.select("text"), run, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n")).where(F.col("n") >= COMMON_LEAST)
     return np.sort(np.array([r["gram"] for r in counted.orderBy(F.desc("n"), "gram").limit(COMMON).select("gram").collect()], np.int64).view(np.uint64))
@@ -205,12 +215,11 @@ def _stars(rows: DataFrame, measure: Measure, ranges: int) -> DataFrame:
     """
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            docs, texts = batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()
+        def settled(docs: list, texts: list) -> pa.RecordBatch | None:
             keys = [measure.keys(measure.shingles(t)).view(np.int64) for t in texts]
             size = [len(k) for k in keys]
             if not sum(size):
-                continue
+                return None
             own, edges, _ = _lead(np.concatenate(keys), np.repeat(np.array([d or 0 for d in docs], np.int64), size))
             part = ((own[0].view(np.uint64) >> np.uint64(32)) * np.uint64(ranges) >> np.uint64(32)).astype(np.int64)
             order = np.argsort(part, kind="stable")
@@ -218,7 +227,18 @@ def _stars(rows: DataFrame, measure: Measure, ranges: int) -> DataFrame:
             rows = [(r, False, _pack(own[0][order[a:b]]), _pack(own[1][order[a:b]])) for r, (a, b) in enumerate(zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)) if b > a]
             if edges.size:
                 rows.append((int(edges[0, 0]) % ranges, True, _pack(edges[0]), _pack(edges[1])))
-            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate((pa.int32(), pa.bool_(), pa.binary(), pa.binary()))], names=["part", "edges", "x", "y"])
+            return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate((pa.int32(), pa.bool_(), pa.binary(), pa.binary()))], names=["part", "edges", "x", "y"])
+
+        for batch in batches:
+            docs, texts = batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()
+            lo = held = 0
+            for hi, text in enumerate(texts, 1):
+                held += len(text)
+                if held >= SEND_CHARS or hi == len(texts):
+                    out = settled(docs[lo:hi], texts[lo:hi])
+                    if out is not None:
+                        yield out
+                    lo, held = hi, 0
 
     def settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def out(pairs):
