@@ -42,8 +42,8 @@ from .common import id_and_text, mapped, stored
 from .components import components
 from .wordhash import mix, windows, word_hashes
 
-#: n-grams per block of a cluster: bounds what one task holds.
-BLOCK_NGRAMS = 2_000_000
+#: n-grams per block of a cluster; a task holds two blocks at most.
+BLOCK_NGRAMS = 600_000
 #: Fragments beyond the least number at any threshold: as many may be empty without a key of their own.
 SPARE = 1
 #: Fragments in which overlaps are counted before the sums are compared with the bound.
