@@ -57,16 +57,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def mapped(df: DataFrame, fn: Callable[[pa.RecordBatch], dict], schema: str) -> DataFrame:
-    """``mapInArrow`` for a function that turns one batch into a dict of columns."""
+def mapped(df: DataFrame, fn: Callable[[pa.RecordBatch], dict], schema: str, rows: int = 10_000) -> DataFrame:
+    """``mapInArrow`` for a function that turns at most ``rows`` rows of a batch into a dict of columns."""
     from pyspark.sql.types import StructType
 
     arrow = _arrow_schema(StructType.fromDDL(schema))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = fn(batch)
-            yield pa.RecordBatch.from_arrays([_column(out[f.name], f.type) for f in arrow], schema=arrow)
+            for lo in range(0, batch.num_rows, rows):
+                out = fn(batch.slice(lo, rows))
+                yield pa.RecordBatch.from_arrays([_column(out[f.name], f.type) for f in arrow], schema=arrow)
 
     return df.mapInArrow(run, schema)
 

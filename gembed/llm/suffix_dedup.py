@@ -34,6 +34,8 @@ MIN_WORDS = 50
 K = 8
 #: Documents with shared suffixes (about 150 bytes each) up to which their list is broadcast; else both sides are shuffled.
 BROADCAST_DOCS = 300_000
+#: Documents whose suffixes and windows a task holds at a time.
+ROWS = 400
 _WORD = re.compile(r"[^\x20\x09-\x0D]+")
 _BASES = (0x9E3779B97F4A7C15, 0xD1B54A32D192ED03)
 
@@ -76,7 +78,7 @@ def _starts(rows: DataFrame, min_words: int, k: int) -> DataFrame:
             "start": np.concatenate([f[1] for f in found] or [np.zeros(0, np.uint64)]).view(np.int64),
         }
 
-    return mapped(rows.select("uid", "text"), run, "uid long, lo int, start long")
+    return mapped(rows.select("uid", "text"), run, "uid long, lo int, start long", ROWS)
 
 
 def _extensions(texts: DataFrame, min_words: int, k: int) -> DataFrame:
@@ -100,7 +102,7 @@ def _extensions(texts: DataFrame, min_words: int, k: int) -> DataFrame:
             out[c] = np.concatenate(out[c] or [np.zeros(0, np.int64)])
         return out
 
-    return mapped(texts.select("uid", "doc_id", "text", "los"), run, "uid long, doc_id long, lo int, hi int, start long, c1 long, c2 long")
+    return mapped(texts.select("uid", "doc_id", "text", "los"), run, "uid long, doc_id long, lo int, hi int, start long, c1 long, c2 long", ROWS)
 
 
 def _windows_of(texts: DataFrame, owners: DataFrame, min_words: int) -> DataFrame:
@@ -108,21 +110,24 @@ def _windows_of(texts: DataFrame, owners: DataFrame, min_words: int) -> DataFram
     asked = owners.groupBy("uid").agg(F.collect_list(F.struct("start", "ctx", "a", "b", "first", "lo", "hi")).alias("asked"))
 
     def run(batch: pa.RecordBatch) -> dict:
-        out: dict = {c: [] for c in ("start", "ctx", "a", "b", "first", "offset", "win")}
+        out: dict = {c: [np.zeros(0, np.int64)] for c in ("start", "ctx", "a", "b", "first", "offset", "win")}
+        known: list = []
         for text, asked in zip(batch.column("text").to_pylist(), batch.column("asked").to_pylist(), strict=True):
             hashes = Ranges(word_hashes(text.encode("utf-8", "surrogatepass")), _BASES[0])
             for r in asked:
                 at = np.arange(r["lo"], r["hi"] + 1)
-                for c in ("start", "ctx", "a", "b", "first"):
-                    out[c] += [r[c]] * len(at)
+                for c in ("start", "ctx", "a", "b"):
+                    out[c].append(np.full(len(at), r[c], np.int64))
+                out["first"].append(np.full(len(at), r["first"] or 0, np.int64))
+                known.append(np.full(len(at), r["first"] is None))
                 out["offset"].append(at - r["lo"])
                 out["win"].append(hashes(at, at + min_words).view(np.int64))
-        for c in ("offset", "win"):
-            out[c] = np.concatenate(out[c] or [np.zeros(0, np.int64)])
+        out = {c: np.concatenate(v) for c, v in out.items()}
         out["offset"] = out["offset"].astype(np.int32)
+        out["first"] = pa.array(out["first"], pa.int64(), mask=np.concatenate([np.zeros(0, bool), *known]))
         return out
 
-    return mapped(texts.join(asked, "uid").select("text", "asked"), run, "start long, ctx long, a long, b long, first long, offset int, win long")
+    return mapped(texts.join(asked, "uid").select("text", "asked"), run, "start long, ctx long, a long, b long, first long, offset int, win long", ROWS)
 
 
 def _spans(rows: DataFrame, min_words: int) -> DataFrame:
@@ -145,7 +150,7 @@ def _spans(rows: DataFrame, min_words: int) -> DataFrame:
                     out[c].append(v)
         return out
 
-    return mapped(rows.select("doc_id", "text", "runs"), run, "doc_id long, start_word long, n_words long, start long, end long, first_doc_id long, passage string")
+    return mapped(rows.select("doc_id", "text", "runs"), run, "doc_id long, start_word long, n_words long, start long, end long, first_doc_id long, passage string", ROWS)
 
 
 def repeated_passages(docs: DataFrame, min_words: int = MIN_WORDS, k: int = K) -> DataFrame:
