@@ -32,11 +32,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import file_system, id_and_text, mapped, scratch, stored
+from .wordhash import _BASE, _BYTES, Ranges
 
 MAGIC = b"GEWAVE01"
 SHARD_TOKENS = 1 << 22
 BLOCK_BITS = 1 << 17
-CACHE = 550_000
+CACHE = 400_000
 
 
 # -- tokens
@@ -74,18 +75,19 @@ class WordTokens:
             self.closes = np.zeros(self.lib.get_vocab_size(with_added_tokens=True), bool)
             for token, i in self.lib.get_vocab(with_added_tokens=False).items():
                 self.closes[i] = token.endswith(close)
-        self.young: dict[str, bytes] = {}
-        self.old: dict[str, bytes] = {}
+        self.hashed: dict[int, tuple[bytes, bytes]] = {}
+        self.hashed_old: dict[int, tuple[bytes, bytes]] = {}
 
     def _learn(self, words: list[str]) -> dict[str, bytes]:
-        """Encodes words, adds them to the cache and returns them.
+        """Encodes different words, in their order.
 
         Words of plain Latin letters are one piece each, so with spaces between them every id that
         closes a word ends one; others are parted by the special token.
         """
         out: dict[str, bytes] = {}
-        letters = [w for w in words if self.closes is not None and _LATIN.fullmatch(w)]
-        apart = words if not letters else [w for w in words if not _LATIN.fullmatch(w)]
+        letters, apart, plain_word = [], [], _LATIN.fullmatch
+        for w in words:
+            (letters if self.closes is not None and plain_word(w) else apart).append(w)
         size = self.kind.itemsize
         if letters:
             ids = np.array(self.lib.encode_batch_fast([" ".join(letters)], add_special_tokens=False)[0].ids, self.kind)
@@ -105,43 +107,96 @@ class WordTokens:
             starts = np.concatenate([[0], ends + 1]) * size
             for w, a, b in zip(plain, starts.tolist(), (np.concatenate([ends, [len(ids)]]) * size).tolist(), strict=True):
                 out[w] = data[a:b]
-        self.young.update(out)
-        return out
-
-    def _words(self, text: str) -> list[str]:
-        text = text.replace("\n", " ")
-        if self.lowers and "<|" not in text:
-            text = text.encode("utf-8", "surrogatepass").lower().decode("utf-8", "surrogatepass")
-            if not _GROUPED.search(text):
-                text = text.replace(". ", " . ").replace(", ", " , ")
-        return text.split(" ")
+        return {w: out[w] for w in words}
 
     def batch(self, texts: list[str], end: int | None) -> list[np.ndarray]:
-        tail = b"" if end is None else np.array([end], self.kind).tobytes()
-        if not self.by_word:
-            return [np.frombuffer(np.array(e.ids, self.kind).tobytes() + tail, self.kind) for e in self.lib.encode_batch(texts, add_special_tokens=False)]
-        parts = [self._words(t) for t in texts]
-        different = set().union(*parts)
-        known = self.young.get
-        here = {w: v for w in different if (v := known(w)) is not None}  # small, so every further look-up stays near
-        missing = different.difference(here)
-        if len(self.young) + len(missing) > CACHE and self.young:
-            self.old, self.young = self.young, {}
-        known, fresh = self.old.get, []
-        for w in missing:
-            v = known(w)
-            if v is None:
-                fresh.append(w)
+        """The ids of each text, with the end id."""
+        tail = np.array([] if end is None else [end], self.kind)
+        out: list[np.ndarray | None] = [None] * len(texts)
+        group, size = [], 0
+        for i, text in enumerate(texts):
+            if not self.by_word:
+                out[i] = np.concatenate([np.array(self.lib.encode(text, add_special_tokens=False).ids, self.kind), tail])
+            elif not self.lowers or "<|" in text:
+                out[i] = np.concatenate([self._plainly(text), tail])
             else:
-                self.young[w] = here[w] = v
-        for lo in range(0, len(fresh), 4096):
-            here |= self._learn(fresh[lo : lo + 4096])
-        return [np.frombuffer(b"".join([here[w] for w in words]) + tail, self.kind) for words in parts]
+                group.append(i)
+                size += len(text)
+            if group and (size > 200_000 or i == len(texts) - 1):
+                for k, ids in zip(group, self._together([texts[k] for k in group]), strict=True):
+                    out[k] = np.concatenate([ids, tail])
+                group, size = [], 0
+        if group:
+            for k, ids in zip(group, self._together([texts[k] for k in group]), strict=True):
+                out[k] = np.concatenate([ids, tail])
+        return out
 
+    def _plainly(self, text: str) -> np.ndarray:
+        words = text.replace("\n", " ").split(" ")
+        known = self._learn(list(set(words)))
+        return np.frombuffer(b"".join([known[w] for w in words]), self.kind)
 
-#: Words that are one run of letters, and a stop or comma that may belong to a longer group of signs.
+    def _together(self, texts: list[str]) -> list[np.ndarray]:
+        """Ids of some texts at once: their words are hashed as arrays, and each different word is looked up once.
+
+        A look-up compares the word itself, so equal hashes of different words do no harm.
+        """
+        raws = [t.encode("utf-8", "surrogatepass").lower() for t in texts]
+        raw = b"\n".join(raws)
+        b = np.frombuffer(raw, np.uint8)
+        solid = np.zeros(len(b) + 2, np.int8)
+        solid[1:-1] = (b != 32) & (b != 10)
+        edges = np.flatnonzero(solid[1:] != solid[:-1])
+        lo, hi = edges[0::2], edges[1::2]
+        # a stop or comma after a letter or digit at a word's end is a word of its own
+        last, before, lead = b[hi - 1], b[np.maximum(hi - 2, 0)], b[np.maximum(hi - 3, 0)]
+        letter = _ALNUM[before] | ((before >= 128) & (before < 192) & (lead == 0xC3) & (before != 0x97) & (before != 0xB7) & (hi - lo > 2))
+        parted = ((last == 46) | (last == 44)) & letter & (hi - lo > 1)
+        at = np.flatnonzero(parted)
+        lo = np.insert(lo, at + 1, hi[at] - 1)
+        ends = hi.copy()
+        ends[at] -= 1
+        hi = np.insert(ends, at + 1, hi[at])
+        key, first, inverse = np.unique(Ranges(_BYTES[b], _BASE)(lo, hi), return_index=True, return_inverse=True)
+        starts, stops = lo[first].tolist(), hi[first].tolist()
+        cache, old = self.hashed, self.hashed_old
+        got: list[bytes | None] = []
+        fresh: list[int] = []
+        for i, (k, x, y) in enumerate(zip(key.tolist(), starts, stops, strict=True)):
+            entry = cache.get(k)
+            if entry is None:
+                entry = old.get(k)
+                if entry is not None:
+                    cache[k] = entry
+            if entry is not None and entry[0] == raw[x:y]:
+                got.append(entry[1])
+            else:
+                got.append(None)
+                fresh.append(i)
+        for at_once in range(0, len(fresh), 4096):
+            part = fresh[at_once : at_once + 4096]
+            words = [raw[starts[i] : stops[i]] for i in part]
+            told = self._learn([w.decode("utf-8", "surrogatepass") for w in words])
+            keys = key[part].tolist()
+            for i, k, w, ids in zip(part, keys, words, told.values(), strict=True):
+                got[i] = ids
+                cache[k] = (w, ids)
+        if len(cache) > CACHE:
+            self.hashed_old, self.hashed = cache, {}
+        flat = np.frombuffer(b"".join(got), self.kind)
+        length = np.array([len(g) for g in got], np.int64) // self.kind.itemsize
+        begin = np.cumsum(length) - length
+        n = length[inverse]
+        total = np.concatenate([[0], np.cumsum(n)])
+        ids = flat[np.repeat(begin[inverse] - total[:-1], n) + np.arange(total[-1])] if len(n) else flat
+        cuts = np.cumsum([0] + [len(r) + 1 for r in raws])
+        words_before = np.searchsorted(lo, cuts)
+        return [ids[total[x] : total[y]] for x, y in zip(words_before[:-1].tolist(), words_before[1:].tolist(), strict=True)]
+
+
+#: Words that are one run of letters; bytes that are ASCII letters or digits.
 _LATIN = re.compile(r"[a-zà-öø-ÿ]+")
-_GROUPED = re.compile(r"(?:[^\w\s]|_)[.,] ")
+_ALNUM = np.array([chr(i).isalnum() and i < 128 for i in range(256)])
 
 
 @cache
@@ -174,7 +229,7 @@ def build(ids: np.ndarray, doc_ids: list[int | None], lengths: list[int], bits:
             sections.append(pack.compress(packed[start // 8 : (start + BLOCK_BITS) // 8]))
             blocks.append(len(sections) - 1)
         planes.append({"bit": bit, "zeros": len(rest) - at, "blocks": blocks, "ones_before": before})
-        rest = np.concatenate([rest[~ones], rest[ones]])
+        rest = np.concatenate([rest.take(np.flatnonzero(~ones)), rest.take(np.flatnonzero(ones))])
     at, spans = 0, []
     for s in sections:
         spans.append([at, len(s)])
@@ -319,8 +374,8 @@ def write_shards(docs: DataFrame, tokenizer: str, end: int | None = 2, shard_tok
         total = 0
         for batch in batches:
             keys, texts = batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()
-            for lo in range(0, len(texts), 64):
-                for key, got in zip(keys[lo : lo + 64], tokens.batch(texts[lo : lo + 64], end), strict=True):
+            for lo in range(0, len(texts), 192):
+                for key, got in zip(keys[lo : lo + 192], tokens.batch(texts[lo : lo + 192], end), strict=True):
                     if ids and total + len(got) > shard_tokens:
                         yield flush()
                         total = 0
