@@ -57,8 +57,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def mapped(df: DataFrame, fn: Callable[[pa.RecordBatch], dict], schema: str, rows: int = 10_000) -> DataFrame:
-    """``mapInArrow`` for a function that turns at most ``rows`` rows of a batch into a dict of columns."""
+def mapped(df: DataFrame, fn: Callable[[pa.RecordBatch], dict], schema: str, rows: int = 10_000, after: Callable[[], None] | None = None) -> DataFrame:
+    """``mapInArrow`` for a function that turns at most ``rows`` rows of a batch into a dict of columns.
+
+    ``after`` runs when a task has no more rows, to give back what the worker would else keep.
+    """
     from pyspark.sql.types import StructType
 
     arrow = _arrow_schema(StructType.fromDDL(schema))
@@ -68,6 +71,8 @@ def mapped(df: DataFrame, fn: Callable[[pa.RecordBatch], dict], schema: str, row
             for lo in range(0, batch.num_rows, rows):
                 out = fn(batch.slice(lo, rows))
                 yield pa.RecordBatch.from_arrays([_column(out[f.name], f.type) for f in arrow], schema=arrow)
+        if after is not None:
+            after()
 
     return df.mapInArrow(run, schema)
 

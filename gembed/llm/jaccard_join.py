@@ -53,7 +53,7 @@ COUNT_FRAGMENTS = 8
 #: Rows of ids up to which a list of copies or of cluster members is broadcast (under 50 MB); else a shuffle join.
 BROADCAST_ROWS = 500_000
 #: Keys that a task sorts at a time, and ranges of keys at most.
-RANGE_KEYS = 1_500_000
+RANGE_KEYS = 700_000
 #: Bound on the list of common n-grams (8 bytes each), and documents that have one at least.
 COMMON, COMMON_LEAST = 500_000, 6
 MOST_RANGES = 20_000
@@ -61,7 +61,7 @@ MOST_RANGES = 20_000
 
 _SLICES = np.array([k << 60 for k in range(16)] + [2**64 - 1], np.uint64)
 #: Characters whose keys a task holds at a time before it settles and sends them.
-SEND_CHARS = 6_000_000
+SEND_CHARS = 3_000_000
 
 
 class Measure:

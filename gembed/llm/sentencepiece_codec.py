@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from .common import Generations, id_and_text, mapped
 
 SPACE = "▁"
-#: Distinct chunks kept per half of a Python worker's cache.
+#: Distinct chunks kept per half of a task's cache.
 CACHE = 150_000
 #: Above every token number and every code point beyond them; two tokens make one dictionary key.
 _TOKENS = 1 << 22
@@ -65,6 +65,10 @@ class PrefixTable:
         self.chunked = not any(SPACE in p.lstrip(SPACE) or (p[:1] == SPACE and p[1:2] == SPACE and p.strip(SPACE)) for p in self.ids)
         self.lines = self.chunked and not any("\n" in p and p != "\n" for p in self.ids)
         self.compatible = Generations(self._compatible, 250_000)
+        self.forget()
+
+    def forget(self) -> None:
+        """Gives back the chunk caches."""
         self.spaced = Generations(lambda w: self._chunk(SPACE + w), CACHE)
         self.bare = Generations(self._chunk, CACHE)
 
@@ -228,7 +232,7 @@ def encode_decode(docs: DataFrame, model_file: str) -> DataFrame:
         rows = [table.digest(t) for t in batch.column("text").to_pylist()]
         return {"doc_id": batch.column("doc_id"), "n_tokens": [r[0] for r in rows], "ids_sha256": [r[1] for r in rows], "decoded_sha256": [r[2] for r in rows]}
 
-    return mapped(id_and_text(docs), run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return mapped(id_and_text(docs), run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string", after=lambda: codec(model_file).forget())
 
 
 def encode_ids(docs: DataFrame, model_file: str) -> DataFrame:
@@ -238,7 +242,7 @@ def encode_ids(docs: DataFrame, model_file: str) -> DataFrame:
         table = codec(model_file)
         return {"doc_id": batch.column("doc_id"), "ids": [table.encode(t) for t in batch.column("text").to_pylist()]}
 
-    return mapped(id_and_text(docs), run, "doc_id long, ids array<int>")
+    return mapped(id_and_text(docs), run, "doc_id long, ids array<int>", after=lambda: codec(model_file).forget())
 
 
 def decode_ids(rows: DataFrame, model_file: str) -> DataFrame:
