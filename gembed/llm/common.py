@@ -73,10 +73,23 @@ def mapped(df: DataFrame, fn: Callable[[pa.RecordBatch], dict], schema: str, row
                 yield pa.RecordBatch.from_arrays([_column(out[f.name], f.type) for f in arrow], schema=arrow)
         if after is not None:
             after()
+        give_back()
 
     return df.mapInArrow(run, schema)
 
 
+def give_back() -> None:
+    """Returns memory that a Python worker has freed to the system; workers stay alive between stages."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 def _column(values, kind):
     return values if isinstance(values, pa.Array) and values.type == kind else pa.array(values, kind)
 

@@ -38,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_and_text, mapped, stored
+from .common import give_back, id_and_text, mapped, stored
 from .components import components
 from .wordhash import mix, windows, word_hashes
 
@@ -239,6 +239,7 @@ def _stars(rows: DataFrame, measure: Measure, ranges: int) -> DataFrame:
                     if out is not None:
                         yield out
                     lo, held = hi, 0
+        give_back()
 
     def settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def out(pairs):
@@ -257,6 +258,8 @@ def _stars(rows: DataFrame, measure: Measure, ranges: int) -> DataFrame:
                 held.append((_unpack(x), _unpack(y)))
         if held:
             yield out(_lead(*(np.concatenate(v) for v in zip(*held, strict=True)))[1])
+        held = []
+        give_back()
 
     sent = rows.select("doc_id", "text").mapInArrow(send, "part int, edges boolean, x binary, y binary")
     return sent.repartition("part").sortWithinPartitions("part").mapInArrow(settle, "doc long, lead long").distinct()
@@ -352,6 +355,8 @@ def _links(docs: DataFrame, members: DataFrame, measure: Measure, block: int) ->
                 group.append((doc, np.frombuffer(grams, np.uint64)))
         if len(group) > 1:
             yield emit(group)
+        group = []
+        give_back()
 
     return tasks.mapInArrow(run, "a long, b long")
 

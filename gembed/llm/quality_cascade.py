@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_and_text, mapped
+from .common import give_back, id_and_text, mapped
 
 WINDOW = 8
 _WS, _SYMBOLS = b" \t\n\x0b\x0c\r", b"#*$%&|<>"
@@ -214,5 +214,6 @@ def keep_good(docs: DataFrame, cascade: tuple[Rule, ...] | None = None) -> DataF
         for batch in batches:
             keep = [first_rejection(Text(t), cascade) is None for t in batch.column("text").to_pylist()]
             yield batch.filter(pa.array(keep, pa.bool_())) if not pc.all(pa.array(keep, pa.bool_())).as_py() else batch
+        give_back()
 
     return docs.mapInArrow(run, docs.schema)

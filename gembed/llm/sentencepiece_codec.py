@@ -29,7 +29,7 @@ from .common import Generations, id_and_text, mapped
 
 SPACE = "▁"
 #: Distinct chunks kept per half of a task's cache.
-CACHE = 150_000
+CACHE = 100_000
 #: Above every token number and every code point beyond them; two tokens make one dictionary key.
 _TOKENS = 1 << 22
 
@@ -64,7 +64,7 @@ class PrefixTable:
         self.special = {*self.byte_of, *self.control, self.unknown}
         self.chunked = not any(SPACE in p.lstrip(SPACE) or (p[:1] == SPACE and p[1:2] == SPACE and p.strip(SPACE)) for p in self.ids)
         self.lines = self.chunked and not any("\n" in p and p != "\n" for p in self.ids)
-        self.compatible = Generations(self._compatible, 250_000)
+        self.compatible = Generations(self._compatible, 150_000)
         self.forget()
 
     def forget(self) -> None:
