@@ -125,6 +125,26 @@ def test_pii_base_and_added_spans(spark, docs, none):
     assert "joe" not in out[37] and "[card]" in out[37] and out[9] == dict(ALL)[9]
 
 
+def test_pii_cards_and_plain_addresses_are_added(spark):
+    yes = [
+        ("paid 4111 1111 1111 1111 12/27 ok", "card", "4111 1111 1111 1111"),
+        ("see 4111111111111111 1227 ok", "card", "4111111111111111"),
+        ("my 1234 4111 1111 1111 1111 ok", "card", "4111 1111 1111 1111"),
+        ("no. 5500.0000.0000.0004, thanks", "card", "5500.0000.0000.0004"),
+        ("it is 4222222222222 here", "card", "4222222222222"),
+        ("with 3782 822463 10005 09/28 x", "card", "3782 822463 10005"),
+        ("write to jenny at fastmail dot com please", "email", "jenny at fastmail dot com"),
+        ("ask jo dot smith at mail dot co dot uk.", "email", "jo dot smith at mail dot co dot uk"),
+        ("or jane [at] shop [dot] museum", "email", "jane [at] shop [dot] museum"),
+    ]
+    no = ["paid 4111 1111 1111 1112 12/27", "no. 5500.0000.0000.0005,", "it is 4222222222223 here", "key 4111-1111-1111-1111-1417", "id=4111.1111.1111.1111x", "look at this dot matrix printer", "visit us at example dot com today", "point at the dot in it"]
+    rows = [(i, t) for i, t in enumerate([y[0] for y in yes] + no)]
+    got = {r["doc_id"]: r for r in pii.report(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    for i, (t, kind, part) in enumerate(yes):
+        assert (got[i]["spans"], got[i]["n_added"]) == (f"{kind}:{t.index(part)}:{t.index(part) + len(part)}", 1), (t, got[i])
+    assert [(t, got[i]["spans"]) for i, t in rows[len(yes) :] if got[i]["n_added"]] == []
+
+
 # -- 4
 
 
