@@ -4,8 +4,9 @@ A page is a line of tokens: words score positive, words in links and every tag n
 stands in menus, headers, footers, side columns, notices, adverts, forms or comments more so. One
 linear scan finds the contiguous run with the largest sum. The weights are fitted on labelled pages,
 which are made by rule (``labelled_pages``). The run's container (the smallest element around its
-blocks, if that is not the whole body) then gives all of its content blocks, so that a one-word
-paragraph at the end of an article isn't lost to the tags around it.
+blocks) then gives all of its content blocks, so that a one-word paragraph at the end of an article
+isn't lost to the tags around it. If that is the whole body, its text elements that are not mostly
+links, the containers that the run touches, and sections like those give theirs.
 
 Character references are decoded, white space inside a block becomes one space, blocks are joined by
 one line feed. Defined results: null or empty html, and pages without words of content, give the empty
@@ -37,6 +38,8 @@ ASIDE_WORDS = frozenset(
     "gdpr header login masthead menu menus modal nav navbar navigation newsletter notice notices notification overlay pager pagination paywall popup promo promotion recommended related "
     "reply replies respond share sharing sidebar sidebars signup skip social sponsor sponsored subscribe subscription tags toolbar topbar widget widgets".split()
 )
+#: Elements that hold an article's text when they stand directly in the body.
+TEXT_TAGS = frozenset("p h1 h2 h3 h4 h5 h6 ul ol dl li dt dd blockquote pre table figure figcaption hgroup center address".split())
 KEEP_TAGS = frozenset(("html", "body", "article", "main"))
 #: A block element that opens inside one of these closes it.
 _CLOSED_BY_BLOCK = frozenset(("p",))
@@ -191,6 +194,33 @@ def best_run(blocks: list[Block], w: Weights) -> tuple[int, int]:
     return where
 
 
+def _in_body(blocks: list[Block], names: dict[int, str], body: int, lo: int, hi: int) -> list[Block]:
+    """The content blocks of a page whose run ``lo`` to ``hi`` has only ``body`` around it."""
+    child = lambda b: b.path[b.path.index(body) + 1] if b.path[-1] != body else body
+    words: dict[int, int] = {}
+    for b in blocks:
+        if body in b.path and not b.aside:
+            words[child(b)] = words.get(child(b), 0) + b.words - 2 * b.link_words
+    run = [b for b in blocks[lo : hi + 1] if not b.aside]
+    touched = {child(b) for b in run if body in b.path}
+    leaves = {names[b.path[-1]] for b in run if b.path[-1] == child(b)}
+    sections = {names[c] for c in touched} & {"section", "article"}
+
+    def taken(i: int, b: Block) -> bool:
+        if b.aside or body not in b.path:
+            return False
+        if lo <= i <= hi:
+            return True
+        c = child(b)
+        if c == body:
+            return b.words >= 2 * b.link_words
+        if c in touched or names[c] in sections:
+            return b.words >= 2 * b.link_words
+        return words[c] >= 0 and (names[c] in TEXT_TAGS or (b.path[-1] == c and names[c] in leaves))
+
+    return [b for i, b in enumerate(blocks) if taken(i, b)]
+
+
 def main_text(page: str | None, w: Weights | None = None) -> str:
     """The content blocks of a page, joined by line feeds."""
     blocks, names = blocks_of(page or "")
@@ -207,8 +237,12 @@ def main_text(page: str | None, w: Weights | None = None) -> str:
     inside = next((e for e in path if names[e] in ("article", "main")), path[-1])
     if names[inside] in ("p", "h1", "h2", "h3", "h4", "h5", "h6", "li", "blockquote", "pre") and len(path) > 1:
         inside = path[path.index(inside) - 1]
+    while names[inside] in TEXT_TAGS and names[path[path.index(inside) - 1]] in ("#root", "html", "body"):
+        inside = path[path.index(inside) - 1]
     if names[inside] not in ("#root", "html", "body"):
         chosen = [b for b in blocks if not b.aside and inside in b.path]
+    else:
+        chosen = _in_body(blocks, names, inside, lo, hi)
     return "\n".join(b.text for b in chosen)
 
 
@@ -221,12 +255,18 @@ def labelled_pages() -> list[tuple[str, str]]:
         "<html><body><nav><ul>{links}</ul></nav><div class='ad'>{ad}</div><article>{content}</article><footer>{foot}</footer></body></html>",
         "<html><body><div><ul>{links}</ul></div><div><div>{content}</div></div><div><ul>{links}</ul></div><p><a href='/x'>{foot}</a></p></body></html>",
         "<body><header><h2>{ad}</h2></header><main>{content}</main><aside>{ad}</aside><div id='comments'><p>{ad}</p></div><form>{foot}</form></body>",
+        "<body><ul>{links}</ul>{content}<div class='ad'>{ad}</div><ul>{links}</ul></body>",
+        "<body><nav><ul>{links}</ul></nav>{content}<footer>{foot}</footer></body>",
     ]
     out = []
     for frame in frames:
         for body in bodies:
             content = f"<h1>{body[0]}</h1>" + "".join(f"<p>{b}</p>" for b in body[1:])
             out.append((frame.format(links=links(8), ad=word(70, 14), content=content, foot=word(80, 7)), "\n".join(body)))
+    for body in ([word(1, 1), word(2, 60), word(3, 2)], [word(4, 1), word(5, 40), word(6, 45), word(7, 1)]):
+        parts = [f"<p>{b}</p>" for b in body[1:]]
+        parts.insert(1, f"<aside><p>{word(60, 90)}</p></aside>")
+        out.append((f"<body><h1>{body[0]}</h1>{''.join(parts)}<ul>{links(8)}</ul></body>", "\n".join(body)))
     return out
 
 

@@ -77,6 +77,21 @@ def test_main_text(page, text):
     assert html_text.main_text(page) == text
 
 
+@pytest.mark.parametrize(
+    "page,text",
+    [
+        (f"<body><h1>Title</h1><p>{LONG}</p><p>End.</p></body>", f"Title\n{LONG}\nEnd."),
+        (f"<h1>Title</h1><p>Short.</p><p>{LONG}</p><p>The end.</p>", f"Title\nShort.\n{LONG}\nThe end."),
+        (f"<html><body><ul><li><a href='/'>home page</a><li><a href='/x'>news</a></ul><h1>Title</h1><p>{LONG}</p><aside><p>{LONG} {LONG}</p></aside><p>{LONG} z</p><p>End.</p><footer>f</footer></body></html>", f"Title\n{LONG}\n{LONG} z\nEnd."),
+        (f"<body><p>{LONG}</p><div class='ad'>{LONG} {LONG}</div><ul><li>one<li>two</ul><p><a href='/'>all links here</a></p></body>", f"{LONG}\none\ntwo"),
+        (f"<body><ul><li>{LONG}</ul><div class='advert'>{LONG} {LONG}</div><p>End.</p></body>", f"{LONG}\nEnd."),
+        (f"<body><section><h2>A</h2><p>{LONG}</p></section><section><h2>B</h2><p>{LONG}</p></section><section><p>C</p></section></body>", f"A\n{LONG}\nB\n{LONG}\nC"),
+    ],
+)
+def test_main_text_directly_in_the_body(page, text):
+    assert html_text.main_text(page) == text
+
+
 def test_given_pages(spark):
     pages = spark.read.parquet("/root/testdata/sf0.001/pages.parquet")
     got = html_text.extract(pages.withColumn("text", F.lit("clash")))
