@@ -155,3 +155,13 @@ def test_speed_hardly_depends_on_batched_negatives(spark):
     assert rows["batched", 100]["rows_per_edge"] == rows["batched", 10]["rows_per_edge"] == 4
     assert rows["unbatched", 100]["rows_per_edge"] > 150
     assert rows["batched", 100]["edges_per_second"] > 2 * rows["unbatched", 100]["edges_per_second"]
+
+
+def test_multi_level_keeps_every_node(spark):
+    pairs = [(f"p{i}", f"q{i}") for i in range(20)]
+    paths = [(f"r{i}x{k}", f"r{i}x{k + 1}") for i in range(6) for k in range(4)]
+    edges = spark.createDataFrame([("near", a, b, 1.0) for a, b in [*pairs, *paths, ("alone", "alone")]], "rel string, src string, dst string, weight double")
+    nodes = {x for e in [*pairs, *paths] for x in e} | {"alone"}
+    v = {r["key"]: r["vec"] for r in coarsen.mile(edges, levels=2, dim=8, base="block", epochs=1).collect()}
+    assert set(v) == nodes and all(len(x) == 8 for x in v.values())
+    assert v["p0"] == v["q0"] != v["p1"]
