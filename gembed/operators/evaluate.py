@@ -58,14 +58,17 @@ def rank_edges(model: Model, test: DataFrame, train: DataFrame, k: int = 500, mo
 
     A candidate equal to the true endpoint does not count; ``filtered`` also leaves out those that
     form an edge of ``known``. Vectors are joined to the edges by key; the pool of k candidates per
-    relation goes to the tasks.
+    relation goes to the tasks. An edge with an endpoint that training has not seen is kept: the model
+    cannot tell its candidates apart, so all of them tie.
     """
     spec = model.spec
     vec = model.vectors()
     types = [(r.name, i, spec.type_no(r.src_type), spec.type_no(r.dst_type)) for i, r in enumerate(spec.relations)]
     rel = test.sparkSession.createDataFrame(types, "rel string, rel_no int, _st int, _dt int")
     rows = test.select("rel", "src", "dst").join(F.broadcast(rel), "rel")
-    rows = rows.join(vec.select(F.col("etype").alias("_st"), F.col("key").alias("src"), F.col("vec").alias("sv")), ["_st", "src"]).join(vec.select(F.col("etype").alias("_dt"), F.col("key").alias("dst"), F.col("vec").alias("dv")), ["_dt", "dst"])
+    rows = rows.join(vec.select(F.col("etype").alias("_st"), F.col("key").alias("src"), F.col("vec").alias("sv")), ["_st", "src"], "left").join(vec.select(F.col("etype").alias("_dt"), F.col("key").alias("dst"), F.col("vec").alias("dv")), ["_dt", "dst"], "left")
+    none = F.array_repeat(F.lit(0.0).cast("float"), spec.dim)
+    rows = rows.withColumn("seen", F.col("sv").isNotNull() & F.col("dv").isNotNull()).withColumn("sv", F.coalesce("sv", none)).withColumn("dv", F.coalesce("dv", none))
     out = None
     for side in sides:
         kept = "dst" if side == "src" else "src"
@@ -78,7 +81,7 @@ def rank_edges(model: Model, test: DataFrame, train: DataFrame, k: int = 500, mo
             part = part.join(drop, ["rel", kept], "left")
         else:
             part = part.withColumn("drop", F.lit(None).cast("array<string>"))
-        ranked = part.select("rel", "rel_no", "src", "dst", "sv", "dv", "drop").mapInArrow(_ranker(spec, model.params, pool, side), "rel string, src string, dst string, better long, ties long").withColumn("side", F.lit(side))
+        ranked = part.select("rel", "rel_no", "src", "dst", "sv", "dv", "seen", "drop").mapInArrow(_ranker(spec, model.params, pool, side), "rel string, src string, dst string, better long, ties long").withColumn("side", F.lit(side))
         out = ranked if out is None else out.unionByName(ranked)
     return out.select("rel", "src", "dst", "side", "better", "ties")
 
@@ -89,7 +92,7 @@ def _ranker(spec: GraphSpec, params, pool, side: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ready: dict = {}
         for b in batches:
-            cols = {c: b.column(c).to_pylist() for c in ("rel", "rel_no", "src", "dst", "drop")}
+            cols = {c: b.column(c).to_pylist() for c in ("rel", "rel_no", "src", "dst", "seen", "drop")}
             sv, dv = (np.array(b.column(c).to_pylist(), np.float32).reshape(b.num_rows, -1) for c in ("sv", "dv"))
             better, ties = np.zeros(b.num_rows, np.int64), np.zeros(b.num_rows, np.int64)
             for r in set(cols["rel"]):
@@ -126,6 +129,8 @@ def _ranker(spec: GraphSpec, params, pool, side: str):
                             gone = gone + index.get(key, [])
                         if gone:
                             s[i, gone] = -np.inf
+                        if not cols["seen"][row]:
+                            s[i, s[i] > -np.inf] = p[i]
                     near = np.abs(s - p) <= 1e-6 * np.maximum(1, np.abs(p))
                     better[at[lo : lo + 256]] = ((s > p) & ~near).sum(1)
                     ties[at[lo : lo + 256]] = near.sum(1)

@@ -130,11 +130,12 @@ def negative_ablation(spark: SparkSession, edges: DataFrame, epochs: int = 3) ->
 def candidate_sampling(spark: SparkSession, edges: DataFrame, epochs: int = 3, k: int = 500) -> DataFrame:
     _, train, test = _halves(edges)
     model = fit(prepare(train, one_type_spec(train), 1), epochs=epochs)
+    both = lambda ranks, mode: evaluate.metrics(ranks(test, train, k, mode, "src").unionByName(ranks(test, train, k, mode, "dst"))).first()
     out = []
     for mode in ("data", "uniform"):
         out.append(("learned", mode, float(evaluate.evaluate(model, test, train, k=k, mode=mode)["mrr"])))
-        out.append(("degree", mode, float(evaluate.metrics(evaluate.degree_ranks(test, train, k, mode)).first()["mrr"])))
-        out.append(("random", mode, float(evaluate.metrics(evaluate.random_ranks(test, train, k, mode)).first()["mrr"])))
+        out.append(("degree", mode, float(both(evaluate.degree_ranks, mode)["mrr"])))
+        out.append(("random", mode, float(both(evaluate.random_ranks, mode)["mrr"])))
     return spark.createDataFrame(out, "scorer string, candidates string, mrr double")
 
 
@@ -166,13 +167,13 @@ def large_graph_preparation(spark: SparkSession, edges: DataFrame) -> DataFrame:
 
 
 def vector_ranks(vectors: DataFrame, test: DataFrame, train: DataFrame, k: int = 200) -> DataFrame:
-    """Ranks under plain vectors (key, vec) by dot product, candidates by prevalence."""
-    cand = evaluate.candidate_keys(train, "dst", k).groupBy("rel", "key").agg(F.count(F.lit(1)).alias("times")).join(vectors, "key").select("rel", "key", "times", F.col("vec").alias("cv"))
-    own = test.join(vectors.select(F.col("key").alias("src"), F.col("vec").alias("sv")), "src").join(vectors.select(F.col("key").alias("dst"), F.col("vec").alias("dv")), "dst")
+    """Ranks under plain vectors (key, vec) by dot product, candidates by prevalence; where a vector is missing, candidates tie."""
+    cand = evaluate.candidate_keys(train, "dst", k).groupBy("rel", "key").agg(F.count(F.lit(1)).alias("times")).join(vectors, "key", "left").select("rel", "key", "times", F.col("vec").alias("cv"))
+    own = test.join(vectors.select(F.col("key").alias("src"), F.col("vec").alias("sv")), "src", "left").join(vectors.select(F.col("key").alias("dst"), F.col("vec").alias("dv")), "dst", "left")
     from ..functions.vectors import dot
 
     x = own.join(F.broadcast(cand), "rel").where("key != dst").withColumn("pos", dot(F.col("sv"), F.col("dv"))).withColumn("neg", dot(F.col("sv"), F.col("cv")))
-    return x.groupBy("rel", "src", "dst").agg(F.sum(F.when(F.col("neg") > F.col("pos"), F.col("times")).otherwise(0)).alias("better"), F.sum(F.when(F.col("neg") == F.col("pos"), F.col("times")).otherwise(0)).alias("ties"))
+    return x.groupBy("rel", "src", "dst").agg(F.sum(F.when(F.col("neg") > F.col("pos"), F.col("times")).otherwise(0)).alias("better"), F.sum(F.when(F.coalesce(F.col("neg") == F.col("pos"), F.lit(True)), F.col("times")).otherwise(0)).alias("ties"))
 
 
 def baseline_metrics(spark: SparkSession, edges: DataFrame, kind: str, levels: int = 1, dim: int = 16) -> DataFrame:

@@ -165,3 +165,20 @@ def test_multi_level_keeps_every_node(spark):
     v = {r["key"]: r["vec"] for r in coarsen.mile(edges, levels=2, dim=8, base="block", epochs=1).collect()}
     assert set(v) == nodes and all(len(x) == 8 for x in v.values())
     assert v["p0"] == v["q0"] != v["p1"]
+
+
+def test_edges_with_unseen_endpoints_are_ranked(spark, community):
+    model = train_block.fit(train_block.prepare(community, spec_of(), 1), epochs=1)
+    rel = community.first()["rel"]
+    some = community.select("src", "dst").first()
+    test = spark.createDataFrame([(rel, some["src"], "new"), (rel, "new", some["dst"]), (rel, "new", "newer"), (rel, some["src"], some["dst"])], "rel string, src string, dst string")
+    ranks = evaluate.rank_edges(model, test, community, k=30, mode="uniform")
+    for side in ("src", "dst"):
+        candidates = {r["key"] for r in evaluate.candidate_keys(community, side, 30, "uniform").collect()}
+        got = {(r["src"], r["dst"]): r for r in ranks.where(F.col("side") == side).collect()}
+        assert len(got) == 4
+        for (s, d), r in got.items():
+            if "new" in (s, d):
+                assert (r["better"], r["ties"]) == (0, len(candidates - {s if side == "src" else d}))
+    plain = experiments.vector_ranks(model.vectors().select("key", "vec"), test, community, 30).collect()
+    assert len(plain) == 4 and all(r["better"] == 0 and r["ties"] > 0 for r in plain if "new" in (r["src"], r["dst"]))
