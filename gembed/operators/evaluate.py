@@ -16,6 +16,8 @@ from .train_block import Model
 
 #: A shared candidate pool larger than this is not broadcast; ``rank_all`` counts by blocks instead.
 POOL_BYTES = 256 << 20
+#: ``rank_all``: bytes of candidate vectors, and number of edges, that meet in one task.
+BLOCK_BYTES, BLOCK_EDGES = 32 << 20, 16384
 
 
 def candidate_keys(train: DataFrame, side: str, k: int, mode: str = "data", seed: int = 1, alpha: float = 0.5) -> DataFrame:
@@ -39,26 +41,57 @@ def candidate_keys(train: DataFrame, side: str, k: int, mode: str = "data", seed
     raise ValueError(mode)
 
 
-def _pool(model: Model, keys: DataFrame, side: str) -> dict[str, tuple[np.ndarray, np.ndarray]]:
-    """Candidate keys and vectors per relation, on the driver: k vectors a relation, checked."""
+def _with_types(model: Model, keys: DataFrame, side: str) -> DataFrame:
+    """rel, etype, key, times of the candidates."""
     spec = model.spec
     types = model.prepared.entities.sparkSession.createDataFrame([(r.name, spec.type_no(r.src_type if side == "src" else r.dst_type)) for r in spec.relations], "rel string, etype int")
-    rows = keys.join(F.broadcast(types), "rel").groupBy("rel", "etype", "key").agg(F.count(F.lit(1)).alias("times"))
-    size = rows.count()
-    if size * spec.dim * 4 > POOL_BYTES:
-        raise ValueError("candidate pool is too large to broadcast; sample fewer candidates or use rank_all")
+    return keys.join(F.broadcast(types), "rel").groupBy("rel", "etype", "key").agg(F.count(F.lit(1)).alias("times"))
+
+
+def _pool(model: Model, rows: DataFrame) -> dict[str, tuple[np.ndarray, np.ndarray]]:
+    """Candidate keys and vectors per relation, on the driver: few enough for it."""
     out: dict = {}
     for r in rows.join(model.vectors(), ["etype", "key"]).orderBy("rel", "key").toLocalIterator():
         out.setdefault(r["rel"], []).extend([(r["key"], r["vec"])] * r["times"])
     return {k: (np.array([x[0] for x in v], object), np.array([x[1] for x in v], np.float32)) for k, v in out.items()}
 
 
+def rank_all(model: Model, part: DataFrame, candidates: DataFrame, size: int, side: str) -> DataFrame:
+    """rel, src, dst, better, ties against any number of candidates: each block of edges meets each block
+    of its relation's candidates in a task, and an edge's counts are summed over the blocks.
+
+    ``part`` has the edges with their vectors, ``candidates`` rel, etype, key, times (``size`` rows).
+    """
+    spec, params = model.spec, model.params
+    block = max(1, BLOCK_BYTES // (4 * spec.dim))
+    cut = max(1, -(-size // block))
+    edges = part.groupBy("rel", "rel_no", "src", "dst").agg(F.count(F.lit(1)).alias("copies"), *[F.first(c).alias(c) for c in ("sv", "dv", "seen", "drop")])
+    edge_cut = max(1, -(-edges.count() // BLOCK_EDGES))
+    number = lambda n, *key: F.pmod(F.xxhash64(*key), F.lit(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    left = edges.withColumn("eb", number(edge_cut, "src", "dst")).withColumn("cb", every(cut))
+    right = candidates.join(model.vectors(), ["etype", "key"]).select(F.col("rel").alias("of"), "key", "times", "vec", number(cut, "key").alias("c")).withColumn("e", every(edge_cut))
+
+    def run(x: pa.Table, y: pa.Table) -> pa.Table:
+        pool = {}
+        if y.num_rows:
+            times = y.column("times").to_numpy()
+            pool[y.column("of")[0].as_py()] = (np.repeat(np.array(y.column("key").to_pylist(), object), times), np.repeat(np.array(y.column("vec").to_pylist(), np.float32), times, axis=0))
+        ranked = [pa.Table.from_batches([b]).append_column("copies", pa.array(c.column("copies").to_pylist(), pa.int64())) for c in x.to_batches(max_chunksize=4096) for b in _ranker(spec, params, pool, side)([c])]
+        schema = pa.schema([("rel", pa.string()), ("src", pa.string()), ("dst", pa.string()), ("better", pa.int64()), ("ties", pa.int64()), ("copies", pa.int64())])
+        return pa.concat_tables(ranked).cast(schema) if ranked else schema.empty_table()
+
+    counted = left.groupBy("rel", "eb", "cb").cogroup(right.groupBy("of", "e", "c")).applyInArrow(run, "rel string, src string, dst string, better long, ties long, copies long")
+    summed = counted.groupBy("rel", "src", "dst").agg(F.sum("better").alias("better"), F.sum("ties").alias("ties"), F.first("copies").alias("copies"))
+    return summed.withColumn("copies", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).drop("copies")
+
+
 def rank_edges(model: Model, test: DataFrame, train: DataFrame, k: int = 500, mode: str = "data", sides: tuple[str, ...] = ("src", "dst"), filtered: bool = False, known: DataFrame | None = None, seed: int = 1) -> DataFrame:
     """rel, src, dst, side, better, ties of every tested edge and side.
 
     A candidate equal to the true endpoint does not count; ``filtered`` also leaves out those that
     form an edge of ``known``. Vectors are joined to the edges by key; the pool of k candidates per
-    relation goes to the tasks. An edge with an endpoint that training has not seen is kept: the model
+    relation goes to the tasks, or meets the edges by blocks (``rank_all``) above ``POOL_BYTES``. An edge with an endpoint that training has not seen is kept: the model
     cannot tell its candidates apart, so all of them tie.
     """
     spec = model.spec
@@ -73,7 +106,8 @@ def rank_edges(model: Model, test: DataFrame, train: DataFrame, k: int = 500, mo
     for side in sides:
         kept = "dst" if side == "src" else "src"
         keys = candidate_keys(train, side, k, mode, seed)
-        pool = _pool(model, keys, side)
+        candidates = _with_types(model, keys, side)
+        size = candidates.agg(F.count(F.lit(1)).alias("rows"), F.sum("times").alias("all")).first()
         part = rows
         if filtered:
             pairs = (known if known is not None else train).select("rel", kept, F.col(side).alias("_c")).join(keys.select("rel", F.col("key").alias("_c")).distinct(), ["rel", "_c"], "left_semi")
@@ -81,7 +115,12 @@ def rank_edges(model: Model, test: DataFrame, train: DataFrame, k: int = 500, mo
             part = part.join(drop, ["rel", kept], "left")
         else:
             part = part.withColumn("drop", F.lit(None).cast("array<string>"))
-        ranked = part.select("rel", "rel_no", "src", "dst", "sv", "dv", "seen", "drop").mapInArrow(_ranker(spec, model.params, pool, side), "rel string, src string, dst string, better long, ties long").withColumn("side", F.lit(side))
+        if (size["all"] or 0) * spec.dim * 4 > POOL_BYTES:
+            ranked = rank_all(model, part, candidates, size["rows"], side)
+        else:
+            pool = _pool(model, candidates)
+            ranked = part.select("rel", "rel_no", "src", "dst", "sv", "dv", "seen", "drop").mapInArrow(_ranker(spec, model.params, pool, side), "rel string, src string, dst string, better long, ties long")
+        ranked = ranked.withColumn("side", F.lit(side))
         out = ranked if out is None else out.unionByName(ranked)
     return out.select("rel", "src", "dst", "side", "better", "ties")
 

@@ -182,3 +182,15 @@ def test_edges_with_unseen_endpoints_are_ranked(spark, community):
                 assert (r["better"], r["ties"]) == (0, len(candidates - {s if side == "src" else d}))
     plain = experiments.vector_ranks(model.vectors().select("key", "vec"), test, community, 30).collect()
     assert len(plain) == 4 and all(r["better"] == 0 and r["ties"] > 0 for r in plain if "new" in (r["src"], r["dst"]))
+
+
+def test_ranks_by_blocks_equal_those_of_a_pool(spark, community, monkeypatch):
+    model = train_block.fit(train_block.prepare(community, spec_of(sim="cos"), 1), epochs=1)
+    test = community.unionByName(community.limit(3))
+    for kind in ({"mode": "all"}, {"mode": "data", "filtered": True, "k": 40}):
+        monkeypatch.undo()
+        pool = sorted(map(tuple, evaluate.rank_edges(model, test, community, **kind).collect()))
+        monkeypatch.setattr(evaluate, "POOL_BYTES", 0)
+        monkeypatch.setattr(evaluate, "BLOCK_BYTES", 4 * 8 * 16)
+        monkeypatch.setattr(evaluate, "BLOCK_EDGES", 50)
+        assert sorted(map(tuple, evaluate.rank_edges(model, test, community, **kind).collect())) == pool
