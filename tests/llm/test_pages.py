@@ -92,6 +92,67 @@ def test_main_text_directly_in_the_body(page, text):
     assert html_text.main_text(page) == text
 
 
+def test_best_run_equals_all_runs():
+    import random
+
+    r = random.Random(3)
+    for _ in range(300):
+        blocks = [html_text.Block("x", n := r.randrange(1, 9), r.randrange(n + 1), r.random() < 0.2, 0, r.randrange(4), r.randrange(4)) for _ in range(r.randrange(12))]
+        w = html_text.Weights(1.0, r.choice((0.0, -1.0, -2.0)), -2.0, r.choice((-1.0, -2.0, -4.0)), r.choice((0.0, -0.5, -1.0)))
+
+        def total(a, b, blocks=blocks, w=w):
+            return sum(html_text.gain(x, w) + (html_text.cost(x, w) if i else 0) for i, x in enumerate(blocks[a : b + 1]))
+
+        every = {(a, b): total(a, b) for a in range(len(blocks)) for b in range(a, len(blocks))}
+        lo, hi = html_text.best_run(blocks, w)
+        best = max(every.values(), default=0.0)
+        assert (hi < lo and best <= 0) or every[lo, hi] == best
+
+
+def test_the_weights_decide_on_held_out_pages():
+    held = [(*html_text.blocks_of(p), t) for p, t in html_text.labelled_pages(seed=7)]
+    best = html_text.quality(html_text.fitted(), held)
+    assert best > 0.97
+    for other in (html_text.Weights(1, 0, 0, 0, 0), html_text.Weights(1, 1, 1, 1, 1), html_text.Weights(1, 0, -2, 0, 0)):
+        assert html_text.quality(other, held) < best - 0.02, other
+
+
+@pytest.mark.parametrize(
+    "page",
+    ['<a "' * 400_000, "<div>x" * 100_000, "<head>" * 200_000, '<a x=">" ' * 200_000, "<div>" * 600 + "<dt></dt>" * 100_000, "<svg>a" * 200_000, "<" * 1_000_000, "<!--" * 400_000, "<div>" * 1000 + "</section>" * 150_000, "<p>" + "word " * 400_000],
+    ids=["quotes", "deep", "head", "values", "lists", "svg", "angles", "comments", "ends", "words"],
+)
+def test_long_and_hostile_pages_take_linear_time(page):
+    import time
+
+    at = time.process_time()
+    text = html_text.main_text(page)
+    assert time.process_time() - at < 8
+    if page.startswith("<p>"):
+        assert text.count("word") == 400_000
+
+
+@pytest.mark.parametrize(
+    "page,text",
+    [
+        ("<p>one two three</p><svg><path></p><p>four five six seven</p>", "one two three\nfour five six seven"),
+        (f"<article><p>{LONG}</p><iframe src=x><p>five six</p><noscript><p>six</p><object><p>seven</p></article>", f"{LONG}\nfive six\nsix\nseven"),
+        (f"<article><p>{LONG}</p><svg><text>no</text></svg><object>no<p>no</p></object><p>yes</p><select><option>no</select></article>", f"{LONG}\nyes"),
+        (f"<article><div class='social-science'>{LONG}</div><div id='tags-content'>ten</div><div class='ad-box'>no</div><div class='site-footer'>no</div></article>", f"{LONG}\nten"),
+        (f"<article><header><h1>Title</h1><p>by me</p></header><p>{LONG}</p></article>", f"Title\n{LONG}"),
+        (f"<article><p>a </> b </ c> d < e <1> {LONG}</p><p title='it\"s'>f</p></article>", f"a b d < e <1> {LONG}\nf"),
+    ],
+)
+def test_nothing_is_lost_after_unclosed_elements(page, text):
+    assert html_text.main_text(page) == text
+
+
+def test_repeated_rows_each_give_a_row(spark, pages):
+    twice = pages.union(pages)
+    assert html_text.extract(twice).count() == twice.count()
+    assert warc.round_trip(twice).count() == twice.count()
+
+
 def test_given_pages(spark):
     pages = spark.read.parquet("/root/testdata/sf0.001/pages.parquet")
     got = html_text.extract(pages.withColumn("text", F.lit("clash")))
