@@ -3,10 +3,14 @@
 A classifier fitted on the labelled table predicts, for every document, the posterior of each domain
 (``good``: quality 1 and not toxic, ``poor``: quality 0, ``toxic``). Documents then get nonnegative
 rates, so that the expected tokens of each domain, sum of rate x tokens x posterior, meet the targets
-in least squares. The fit is projected gradient descent with a diagonal metric (a document's tokens)
-and the domains' own second moments as preconditioner, for which the step one is safe; a step needs
-one sum per domain from all documents and nothing else, and a document's rate is a closed expression
-in those sums. So no state is kept between steps, and any step may be repeated after a loss.
+in least squares. The fit is projected gradient descent: a rate is the projection on the nonnegative
+numbers of its start (one) less the sum of all gradient steps so far, which is a closed expression in
+one number per domain. The metric is diagonal (a document's tokens), the preconditioner the second
+moments of the domains over the documents whose rate is not at its bound; a step that would raise the
+miss is halved. Each step needs a few sums over all documents and no state between steps, so any step
+may be repeated after a loss. Steps go on until every domain meets its target within ``TOLERANCE``; a
+target outside what the posteriors can reach ends them when the miss stops falling, with the least
+miss found, and the log's last entry says ``met`` false.
 
 Only DataFrame functions and the JVM's logistic regression run. Fitting uses at most ``LABELLED_ROWS``
 labelled documents (those with the smallest hash); every count, feature, sum and rate is over all.
@@ -30,10 +34,13 @@ TARGETS = {"good": 0.92, "poor": 0.04, "toxic": 0.04}
 #: Bound on the labelled rows that the classifier is fitted on, and words per domain in its lexicon.
 LABELLED_ROWS = 4000
 LEXICON = 30
-STEPS = 24
+#: Largest miss of a target, as a share of it, at which the fit ends; and steps without a fall of the miss by 1 % after which it gives up.
+TOLERANCE = 1e-6
+PATIENCE = 12
 #: Rows of (id, copies) up to which the list of documents that do not stay once is broadcast.
 BROADCAST_ROWS = 500_000
 _NUMBERS = ("distinct", "caps", "symbols", "shouts", "long", *[f"lex_{d}" for d in DOMAINS])
+DOMAIN_COLUMNS = tuple(f"p_{d}" for d in DOMAINS)
 _SPLIT = r"[\s.,;:!?]+"
 
 
@@ -88,19 +95,16 @@ class Classifier:
         return [out.get(k, F.lit(0.0)) for k in range(len(DOMAINS))]
 
 
-def _lexicon_hits(rows: DataFrame, lexicon: list[tuple[str, int]], key: str) -> DataFrame:
-    """Share of each domain's listed words among a document's tokens: a join with a list of bounded size."""
-    spark = rows.sparkSession
-    names = [F.col(f"lex_{d}") for d in DOMAINS]
-    if not lexicon:
-        return rows.drop("_words").select("*", *[F.lit(0.0).alias(f"lex_{d}") for d in DOMAINS])
-    # an array of a few dozen words is looked up per word by a hash join on its own broadcast (LEXICON x domains rows)
-    listed = spark.createDataFrame([(w, int(d)) for w, d in lexicon], "word string, domain int")
-    each = rows.select(key, F.explode("_words").alias("word")).join(F.broadcast(listed), "word")
-    hits = each.groupBy(key).agg(*[F.count_if(F.col("domain") == k).cast("double").alias(f"lex_{d}") for k, d in enumerate(DOMAINS)])
+def _lexicon_hits(rows: DataFrame, lexicon: list[tuple[str, int]]) -> DataFrame:
+    """Share of each domain's listed words among a document's tokens, in the same scan: look-ups in small literal sets."""
+    listed = {k: [w for w, d in lexicon if d == k] for k in range(len(DOMAINS))}
+    every = [w for w, _ in lexicon]
+    kept = [c for c in rows.columns if c != "_words"]
+    hit = F.filter("_words", lambda w: w.isin(every)) if every else F.array().cast("array<string>")
+    found = rows.select(*kept, hit.alias("_hits"))
     n = F.greatest(F.col("tokens"), F.lit(1)).cast("double")
-    joined = rows.drop("_words").join(hits, key, "left")
-    return joined.select(*[c for c in rows.columns if c != "_words"], *[F.log1p(F.coalesce(c, F.lit(0.0)) * 1000 / n).alias(f"lex_{d}") for c, d in zip(names, DOMAINS, strict=True)])
+    share = lambda words: F.log1p(F.size(F.filter("_hits", lambda w: w.isin(words))) * F.lit(1000.0) / n) if words else F.lit(0.0)
+    return found.select(*kept, *[share(listed[k]).alias(f"lex_{d}") for k, d in enumerate(DOMAINS)])
 
 
 def fit(docs: DataFrame, labels: DataFrame, rows: int = LABELLED_ROWS) -> Classifier:
@@ -124,7 +128,7 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = LABELLED_ROWS) -> Classi
         best = seen.select("word", ((inside - outside) * F.log(inside / outside)).alias("gain"), (inside > outside).alias("up")).where("up").orderBy(F.desc("gain"), "word").limit(LEXICON)
         lexicon += [(r["word"], k) for r in best.collect()]
     lexicon = list(dict(reversed(lexicon)).items())
-    features = _lexicon_hits(known, lexicon, "_key")
+    features = _lexicon_hits(known, lexicon)
     data = VectorAssembler(inputCols=list(_NUMBERS), outputCol="features").transform(features.select(F.col("label").cast("double").alias("label"), *_NUMBERS)).select("label", "features").coalesce(2).cache()
     model = LogisticRegression(maxIter=40, regParam=1e-4, family="multinomial").fit(data)
     data.unpersist()
@@ -136,12 +140,11 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = LABELLED_ROWS) -> Classi
 
 
 def memberships(docs: DataFrame, model: Classifier) -> DataFrame:
-    """doc_id, row key, tokens and posterior of each domain (p_good, p_poor, p_toxic) of every row."""
-    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text"), F.monotonically_increasing_id().alias("_row"))
-    shaped = _shape(keyed, "doc_id", "_row")
-    features = _lexicon_hits(shaped, model.lexicon, "_row")
+    """doc_id, tokens and posterior of each domain (p_good, p_poor, p_toxic) of every row; one scan, no shuffle."""
+    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text"))
+    features = _lexicon_hits(_shape(keyed, "doc_id"), model.lexicon)
     post = model.posteriors([F.col(c) for c in _NUMBERS])
-    return features.select("doc_id", "_row", "tokens", *[p.alias(f"p_{d}") for p, d in zip(post, DOMAINS, strict=True)])
+    return features.select("doc_id", "tokens", *[p.alias(f"p_{d}") for p, d in zip(post, DOMAINS, strict=True)])
 
 
 def _inverse(m: list[list[float]]) -> list[list[float]]:
@@ -151,61 +154,84 @@ def _inverse(m: list[list[float]]) -> list[list[float]]:
     return np.linalg.pinv(a + 1e-9 * max(1e-12, float(np.trace(a))) * np.eye(len(a))).tolist()
 
 
-def solve(members: DataFrame, targets: dict[str, float] | None = None, budget: float | None = None, steps: int = STEPS) -> tuple[Column, list[dict]]:
-    """The rate of a row as an expression, and what each step measured.
+def solve(members: DataFrame, targets: dict[str, float] | None = None, budget: float | None = None, tolerance: float = TOLERANCE) -> tuple[Column, list[dict]]:
+    """The rate of a row as an expression, and what each step measured (``off``: largest miss as a share of its target).
 
     ``targets`` are shares; ``budget`` is the total of expected tokens (default: all tokens once). With
-    targets 0.9, 0.08 and 0.02 and a budget of 100, the expected tokens become 90, 8 and 2.
+    targets 0.9, 0.08 and 0.02 and a budget of 100, the expected tokens become 90, 8 and 2. A domain
+    without a target is left free.
     """
     targets = targets or TARGETS
-    k = len(DOMAINS)
-    p = [F.col(f"p_{d}") for d in DOMAINS]
+    aimed = [d for d in DOMAINS if d in targets]
+    k = len(aimed)
+    p = [F.col(f"p_{d}") for d in aimed]
     n = F.col("tokens").cast("double")
-    sums = members.agg(F.sum(n).alias("n"), *[F.sum(n * p[i] * p[j]).alias(f"g{i}{j}") for i in range(k) for j in range(i, k)]).first()
-    total = float(sums["n"] or 0.0)
+    total = float(members.agg(F.sum(n)).first()[0] or 0.0)
     if not total:
         return F.lit(1.0), []
     share = sum(targets.values())
-    want = [(budget or total) * targets[d] / share for d in DOMAINS]
-    gram = _inverse([[float(sums[f"g{min(i, j)}{max(i, j)}"]) for j in range(k)] for i in range(k)])
-    rate, log = F.lit(1.0), []
-    for step in range(steps):
-        got = members.agg(*[F.sum(n * rate * x).alias(d) for x, d in zip(p, DOMAINS, strict=True)]).first()
-        off = [float(got[d]) - w for d, w in zip(DOMAINS, want, strict=True)]
-        log.append({"step": step, "off": max(abs(x) for x in off) / total} | {d: float(got[d]) for d in DOMAINS})
-        move = [sum(gram[i][j] * off[j] for j in range(k)) for i in range(k)]
-        if log[-1]["off"] < 1e-9 or (step and abs(log[-1]["off"] - log[-2]["off"]) < 1e-12):
-            break
-        shift = sum((F.lit(m) * x for m, x in zip(move[1:], p[1:], strict=True)), F.lit(move[0]) * p[0])
-        rate = F.greatest(F.lit(0.0), rate - shift)
-    return F.when(n > 0, rate).otherwise(F.lit(1.0)), log
+    want = [(budget or total) * targets[d] / share for d in aimed]
+    scale = [max(w, 1e-6 * total) for w in want]
+
+    def rate_of(moved: list[float]) -> Column:
+        return F.greatest(F.lit(0.0), F.lit(1.0) - sum((F.lit(m) * x for m, x in zip(moved[1:], p[1:], strict=True)), F.lit(moved[0]) * p[0]))
+
+    def measure(moved: list[float]) -> tuple[list[float], list[list[float]]]:
+        rows = members.select(n.alias("n"), *DOMAIN_COLUMNS, rate_of(moved).alias("r"))
+        free = F.when(F.col("r") > 0, F.col("n")).otherwise(0.0)
+        got = rows.agg(*[F.sum(F.col("n") * F.col("r") * x).alias(d) for x, d in zip(p, aimed, strict=True)], *[F.sum(free * p[i] * p[j]).alias(f"g{i}{j}") for i in range(k) for j in range(i, k)]).first()
+        return [float(got[d]) for d in aimed], [[float(got[f"g{min(i, j)}{max(i, j)}"]) for j in range(k)] for i in range(k)]
+
+    moved, size, log, stale = [0.0] * k, 1.0, [], 0
+    best, best_at, move = float("inf"), moved, [0.0] * k
+    at = moved
+    while True:
+        got, gram = measure(at)
+        off = [g - w for g, w in zip(got, want, strict=True)]
+        miss = max(abs(x) / s for x, s in zip(off, scale, strict=True))
+        log.append({"step": len(log), "off": miss, "met": miss <= tolerance} | dict(zip(aimed, got, strict=True)))
+        stale = 0 if miss < 0.99 * best else stale + 1
+        if miss < best or size < 1e-3:  # the step is taken, and the next one starts here
+            if miss < best:
+                best, best_at = miss, at
+            inverse = _inverse(gram)
+            move = [sum(inverse[i][j] * off[j] for j in range(k)) for i in range(k)]
+            moved, size = at, 1.0
+        else:
+            size /= 2
+        if miss <= tolerance or stale >= PATIENCE:
+            log[-1]["met"] = best <= tolerance
+            return F.when(n > 0, rate_of(best_at)).otherwise(F.lit(1.0)), log
+        at = [m + size * x for m, x in zip(moved, move, strict=True)]
 
 
 def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = None, budget: float | None = None) -> DataFrame:
     """doc_id, tokens, posteriors and rate of every document."""
     members = stored(memberships(docs, fit(docs, labels)), "mix-members")
     rate, _ = solve(members, targets, budget)
-    return members.select("doc_id", "tokens", *[f"p_{d}" for d in DOMAINS], rate.alias("rate"))
+    return members.select("doc_id", "tokens", *DOMAIN_COLUMNS, rate.alias("rate"))
 
 
 def apply_rates(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = None, growth: float = 1.1) -> DataFrame:
     """The corpus after mixing: each row as often as its rate says, the fraction decided by a hash of its id.
 
     The budget is set so that the largest target's domain is repeated ``growth`` times; its documents
-    therefore all stay. The other domains are thinned to their targets, and never repeated to reach them.
+    therefore all stay. The other domains are thinned, or repeated, to their shares of that budget.
     """
     targets = targets or TARGETS
-    lead = max(DOMAINS, key=lambda d: targets[d])
+    lead = max(targets, key=lambda d: targets[d])
     members = stored(memberships(docs, fit(docs, labels)), "mix-members")
-    held = members.agg(*[F.sum(F.col("tokens") * F.col(f"p_{d}")).alias(d) for d in DOMAINS]).first()
-    held = {d: float(held[d] or 0.0) for d in DOMAINS}
-    budget = held[lead] * growth / (targets[lead] / sum(targets.values()))
-    want = {d: held[d] * growth if d == lead else min(held[d], budget * targets[d] / sum(targets.values())) for d in DOMAINS}
-    rate = solve(members, want, sum(want.values()))[0] if held[lead] else F.lit(1.0)
-    chance = F.pmod(F.xxhash64(F.col("doc_id"), F.lit("mix")), F.lit(1 << 20)) / float(1 << 20)
-    copies = members.select(F.col("doc_id").alias("__gembed_id"), F.floor(rate + chance).cast("int").alias("__gembed_copies")).groupBy("__gembed_id").agg(F.max("__gembed_copies").alias("__gembed_copies"))
+    held = members.agg(F.sum(F.col("tokens") * F.col(f"p_{lead}"))).first()[0] or 0.0
+    rate = solve(members, targets, float(held) * growth / (targets[lead] / sum(targets.values())))[0] if held else F.lit(1.0)
+    copies = members.select(F.col("doc_id").alias("__gembed_id"), copies_of(F.col("doc_id"), rate).alias("__gembed_copies")).groupBy("__gembed_id").agg(F.max("__gembed_copies").alias("__gembed_copies"))
     other = stored(copies.where("__gembed_copies != 1"), "mix-copies")  # documents that stay once are not listed
     if other.count() <= BROADCAST_ROWS:
         other = F.broadcast(other)
     rows = docs.join(other, docs["doc_id"].cast("long").eqNullSafe(F.col("__gembed_id")), "left").where("coalesce(__gembed_copies, 1) > 0")
     return rows.withColumn("__gembed_copy", F.explode(F.sequence(F.lit(1), F.coalesce("__gembed_copies", F.lit(1))))).drop("__gembed_id", "__gembed_copies", "__gembed_copy")
+
+
+def copies_of(doc_id: Column, rate: Column) -> Column:
+    """How often a row stands in the mixture: its rate, rounded up or down by a hash of its id."""
+    chance = F.pmod(F.xxhash64(doc_id, F.lit("mix")), F.lit(1 << 20)) / float(1 << 20)
+    return F.floor(rate + chance).cast("int")
