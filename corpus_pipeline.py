@@ -2,6 +2,11 @@
 
 STAGES lists (name, function); a function takes (spark, docs, sf_dir) and returns a DataFrame, which is
 written as Parquet and read again as the next one's documents.
+
+Defined results, for every stage: null text counts as empty (the quality rules drop it); of rows with equal
+text, or of near copies, the smallest id stays (null ids last); rows that repeat id and text count once
+after ``exact_dedup``; very long texts are read whole; an empty table gives an empty table of the same
+columns; other columns of ``documents`` pass through unchanged, whatever their names.
 """
 
 from __future__ import annotations
@@ -13,6 +18,10 @@ from gembed.llm.catalog import tokenizer_file
 from gembed.llm.common import scratch, table
 
 
+#: Shares of expected tokens after mixing; poor text has nearly gone by then and is left as it is.
+MIX_TARGETS = {"good": 0.95, "toxic": 0.05}
+
+
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return quality_cascade.keep_good(docs)
 
@@ -26,7 +35,7 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return mixing.apply_rates(docs, table(spark, sf_dir, "labels"))
+    return mixing.apply_rates(docs, table(spark, sf_dir, "labels"), MIX_TARGETS)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
