@@ -12,12 +12,19 @@ needed, and a document leaves out up to that surplus of keys whose n-grams are a
 linked pair agrees on more fragments than either has left out, so one key still meets. Which n-grams
 are common (counted over all documents) changes the number of candidates and never the links.
 
-Documents that share keys, directly or over others, form a cluster. Inside a cluster overlaps are
-counted fragment by fragment and summed per pair, and a pair is dropped as soon as the rest cannot
-make up for what is missing. A document is compared with those only that no link has reached yet; so
-a group of n near copies costs about n comparisons and yields n - 1 links, yet no link between
-different components is lost. A cluster beyond a task's bound is cut into blocks, and each pair of
-blocks is a task of its own.
+Every document that shares a key is a candidate of the smallest document that it shares one with. For
+these pairs the n-gram order is cut again, into fragments of some ``FRAGMENT_GRAMS`` n-grams; both
+documents send each fragment of their sets to the task of that fragment, which counts the partial
+overlap and nothing else, and the partial counts are summed per pair. A document that leads very many
+others has its fragments dealt to several tasks, each with some of its candidates, so a group that
+holds a third of all rows stays linear.
+
+Documents that share keys, directly or over others, form a cluster. Where the summed pairs leave a
+cluster in one piece it is settled. Else its largest piece stays as it is, and only the documents
+outside that piece are compared with the others: a cluster beyond a task's bound is cut into blocks, and
+the documents outside the largest piece meet every block. A comparison counts overlaps fragment by
+fragment and stops as soon as the rest cannot make up for what is missing, and it leaves out documents
+that a link has reached already. No link between different components is lost.
 
 Equal sets are collapsed first; they never meet as pairs. Small sets: those under nine n-grams cannot
 be linked with a different set at 0.9 and send no keys.
@@ -46,8 +53,10 @@ from .wordhash import mix, windows, word_hashes
 BLOCK_NGRAMS = 600_000
 #: Fragments beyond the least number at any threshold: as many may be empty without a key of their own.
 SPARE = 1
-#: Fragments in which overlaps are counted before the sums are compared with the bound.
+#: Parts of a set after which a comparison inside a cluster looks whether it can still reach the bound.
 COUNT_FRAGMENTS = 8
+#: n-grams of a leading set in one fragment of the order, and candidates that meet in one task for each fragment.
+FRAGMENT_GRAMS, FRAGMENT_DOCS = 512, 400
 
 
 #: Rows of ids up to which a list of copies or of cluster members is broadcast (under 50 MB); else a shuffle join.
@@ -56,7 +65,6 @@ BROADCAST_ROWS = 500_000
 RANGE_KEYS = 700_000
 #: Bound on the list of common n-grams (8 bytes each), and documents that have one at least.
 COMMON, COMMON_LEAST = 500_000, 6
-MOST_RANGES = 20_000
 
 
 _SLICES = np.array([k << 60 for k in range(16)] + [2**64 - 1], np.uint64)
@@ -262,12 +270,72 @@ def _stars(rows: DataFrame, measure: Measure, ranges: int) -> DataFrame:
         give_back()
 
     sent = rows.select("doc_id", "text").mapInArrow(send, "part int, edges boolean, x binary, y binary")
-    return sent.repartition("part").sortWithinPartitions("part").mapInArrow(settle, "doc long, lead long").distinct()
+    tasks = max(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), ranges // 4)
+    return sent.repartition(tasks, "part").sortWithinPartitions("part").mapInArrow(settle, "doc long, lead long").distinct()
 
 
-def link_block(ids: list[int], sets: list[np.ndarray], measure: Measure) -> list[tuple[int, int]]:
-    """Links that join all linked documents of a block into trees."""
+def summed_links(lone: DataFrame, pairs: DataFrame, sizes: DataFrame, measure: Measure) -> DataFrame:
+    """The linked ones of ``pairs`` (doc, lead; one lead a doc): overlaps counted per fragment, summed per pair.
+
+    ``sizes`` has doc and n of documents whose id stands for one set; ``lone`` a text of each.
+    """
+    known = pairs.join(sizes, "doc").join(sizes.select(F.col("doc").alias("lead"), F.col("n").alias("n_lead")), "lead")
+    known = stored(known, "jaccard-pairs")
+    leads = known.groupBy("lead").agg(F.count(F.lit(1)).alias("docs"), F.first("n_lead").alias("n_lead"))
+    leads = leads.select("lead", F.ceil(F.col("docs") / F.lit(FRAGMENT_DOCS)).cast("int").alias("deals"), F.greatest(F.lit(1), F.ceil(F.col("n_lead") / F.lit(FRAGMENT_GRAMS))).cast("int").alias("cuts"))
+    deal = F.pmod(F.xxhash64("doc"), F.col("deals")).cast("int")
+    asked = known.join(leads, "lead").select("doc", F.struct("lead", F.lit(False).alias("leads"), deal.alias("deal"), "cuts").alias("a"))
+    asked = asked.union(leads.select(F.col("lead").alias("doc"), F.struct("lead", F.lit(True).alias("leads"), F.col("deals").alias("deal"), "cuts").alias("a")))
+    asked = stored(asked.groupBy("doc").agg(F.collect_list("a").alias("asked")), "jaccard-asked")  # one as candidate, one as lead
+    few = asked.count() <= BROADCAST_ROWS
+    texts = lone.select("doc_id", "text").join(F.broadcast(asked) if few else asked, F.col("doc_id") == F.col("doc")).select("doc", "text", "asked")
+
+    def cut(batch: pa.RecordBatch) -> dict:
+        out: dict = {c: [] for c in ("lead", "deal", "fragment", "other", "doc", "grams")}
+        for doc, text, asked in zip(*(batch.column(c).to_pylist() for c in ("doc", "text", "asked")), strict=True):
+            s = measure.shingles(text)
+            for a in asked:
+                place = ((s >> np.uint64(32)) * np.uint64(a["cuts"])) >> np.uint64(32)
+                first = np.flatnonzero(np.concatenate([[True], place[1:] != place[:-1]])).tolist()
+                for lo, hi in zip(first, [*first[1:], len(s)], strict=True):
+                    for deal in range(a["deal"]) if a["leads"] else (a["deal"],):
+                        for c, v in zip(out, (a["lead"], deal, int(place[lo]), not a["leads"], doc, s[lo:hi].tobytes()), strict=True):
+                            out[c].append(v)
+        return out
+
+    parts = mapped(texts, cut, "lead long, deal int, fragment int, other boolean, doc long, grams binary", 400)
+    parts = parts.repartition("lead", "deal", "fragment").sortWithinPartitions("lead", "deal", "fragment", "other", "doc")
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, own, before = None, np.zeros(0, np.uint64), None
+        for batch in batches:
+            found: list[tuple[int, int, int]] = []
+            for lead, deal, fragment, other, doc, grams in zip(*(batch.column(c).to_pylist() for c in ("lead", "deal", "fragment", "other", "doc", "grams")), strict=True):
+                if (lead, deal, fragment) != now:
+                    now, own, before = (lead, deal, fragment), np.zeros(0, np.uint64), None
+                if not other:
+                    own = np.frombuffer(grams, np.uint64)
+                elif len(own) and doc != before:  # a row that is there twice counts once
+                    before = doc
+                    s = np.frombuffer(grams, np.uint64)
+                    same = own[np.minimum(np.searchsorted(own, s), len(own) - 1)] == s
+                    found.append((doc, lead, int(same.sum())))
+            yield pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in range(3)], names=["doc", "lead", "overlap"])
+        give_back()
+
+    summed = parts.mapInArrow(count, "doc long, lead long, overlap long").groupBy("doc", "lead").agg(F.sum("overlap").alias("overlap"))
+    linked = F.lit(measure.den) * F.col("overlap") >= F.lit(measure.num) * (F.col("n") + F.col("n_lead") - F.col("overlap"))
+    return summed.join(known, ["doc", "lead"]).where(linked).select(F.col("doc").alias("a"), F.col("lead").alias("b"))
+
+
+def link_block(ids: list[int], sets: list[np.ndarray], measure: Measure, piece: list[int] | None = None, late: list[bool] | None = None) -> list[tuple[int, int]]:
+    """Links that join the block's documents as far as links reach, beyond the pieces known already.
+
+    ``piece`` numbers the known pieces; only documents that are ``late`` are compared with the others.
+    """
     n = len(ids)
+    comp = np.unique(np.array(piece), return_inverse=True)[1] if piece is not None else np.arange(n)
+    late_docs = np.array(late) if late is not None else np.ones(n, bool)
     sizes = np.array([len(s) for s in sets], np.int64)
     flat = np.concatenate(sets)
     owner = np.repeat(np.arange(n), sizes)
@@ -275,35 +343,40 @@ def link_block(ids: list[int], sets: list[np.ndarray], measure: Measure) -> list
     start = np.concatenate([[0], np.cumsum(sizes)])
     cuts = [np.linspace(0, int(k), COUNT_FRAGMENTS + 1).astype(int) for k in sizes]
 
-    def index(alive: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Documents of each n-gram, of those still waiting."""
+    def index(alive: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
+        """Documents of each n-gram, of those alive, and how many those are."""
         keep = alive[owner]
         g, o = gram[keep], owner[keep]
         order = np.argsort(g, kind="stable")
-        return np.searchsorted(g[order], np.arange(gram.max() + 2)), o[order]
+        return np.searchsorted(g[order], np.arange(gram.max() + 2)), o[order], int(alive.sum())
 
-    waiting = np.ones(n, bool)
-    at, posts = index(waiting)
-    held = n
+    alive, done = np.ones(n, bool), np.zeros(n, bool)
+    base = index(alive)
     out: list[tuple[int, int]] = []
-    for seed in range(n):
-        if not waiting[seed]:
+    for seed in np.flatnonzero(late_docs).tolist():
+        if done[seed]:
             continue
-        waiting[seed] = False
-        stack = [seed]
+        if int(alive.sum()) * 2 < base[2]:
+            base = index(alive)
+        at, posts, held = base
+        own = comp == comp[seed]
+        waiting = alive & ~own
+        stack = np.flatnonzero(own & late_docs).tolist()
         while stack:
             x = stack.pop()
+            done[x] = True
             left_over = int(waiting.sum())
             if not left_over:
-                break
+                continue
             if left_over * 2 < held:
-                at, posts = index(waiting)
-                held = left_over
+                at, posts, held = index(waiting)
             able = waiting & (measure.den * np.minimum(sizes, sizes[x]) >= measure.num * np.maximum(sizes, sizes[x]))
             need = measure.least_overlap(sizes, sizes[x])
             count = np.zeros(n, np.int64)
             grams = gram[start[x] : start[x + 1]]
             for lo, hi in zip(cuts[x][:-1], cuts[x][1:], strict=True):
+                if not able.any():
+                    break
                 part = grams[lo:hi]
                 lengths = at[part + 1] - at[part]
                 total = int(lengths.sum())
@@ -311,48 +384,53 @@ def link_block(ids: list[int], sets: list[np.ndarray], measure: Measure) -> list
                     first = np.repeat(at[part] - np.concatenate([[0], np.cumsum(lengths)[:-1]]), lengths)
                     count += np.bincount(posts[first + np.arange(total)], minlength=n)
                 able &= count + (sizes[x] - hi) >= need
-                if not able.any():
-                    break
-            near = np.flatnonzero(able & (count >= need))
-            for y in near.tolist():
-                waiting[y] = False
-                out.append((ids[x], ids[y]))
-                stack.append(y)
+            for y in np.flatnonzero(able & (count >= need)).tolist():
+                if waiting[y]:
+                    joined = comp == comp[y]
+                    out.append((ids[x], ids[y]))
+                    comp[joined] = comp[x]
+                    waiting &= ~joined
+                    stack += np.flatnonzero(joined & late_docs & ~done).tolist()
+        alive &= ~((comp == comp[seed]) & late_docs)
     return out
 
 
 def _links(docs: DataFrame, members: DataFrame, measure: Measure, block: int) -> DataFrame:
-    """Verified links (a, b) inside the clusters. members: doc, n, root."""
-    size = members.groupBy("root").agg(F.sum("n").alias("total"))
-    placed = members.join(size, "root").withColumn("blocks", F.ceil(F.col("total") / F.lit(block)).cast("int"))
-    placed = placed.withColumn("own", F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int"))
-    placed = stored(placed.select("doc", "root", "own", "blocks"), "jaccard-members")
+    """Further links (a, b) inside the clusters. members: doc, n, root, piece, late."""
+    bits = F.col("n").cast("long")
+    size = members.groupBy("root").agg(F.sum(bits).alias("total"), F.sum(F.when(F.col("late"), bits).otherwise(0)).alias("outside"))
+    cut = lambda c: F.greatest(F.lit(1), F.ceil(F.col(c) / F.lit(block))).cast("int")
+    own = lambda c: F.pmod(F.xxhash64("doc"), F.col(c)).cast("int")
+    placed = members.join(size, "root").withColumn("blocks", cut("total")).withColumn("lates", cut("outside"))
+    placed = stored(placed.select("doc", "root", "piece", "late", "blocks", "lates", own("blocks").alias("i"), own("lates").alias("j")), "jaccard-members")
     few = placed.count() <= BROADCAST_ROWS
-    texts = id_and_text(docs).join(F.broadcast(placed) if few else placed, F.col("doc_id") == F.col("doc")).select("doc", "text", "root", "own", "blocks")
+    texts = id_and_text(docs).join(F.broadcast(placed) if few else placed, F.col("doc_id") == F.col("doc")).drop("doc_id")
 
-    def cut(batch: pa.RecordBatch) -> dict:
+    def grams(batch: pa.RecordBatch) -> dict:
         sets = [measure.shingles(t).tobytes() for t in batch.column("text").to_pylist()]
-        return {"doc": batch.column("doc"), "root": batch.column("root"), "own": batch.column("own"), "blocks": batch.column("blocks"), "grams": sets}
+        return {c: batch.column(c) for c in ("doc", "root", "piece", "late", "blocks", "lates", "i", "j")} | {"grams": sets}
 
-    sets = mapped(texts, cut, "doc long, root long, own int, blocks int, grams binary")
-    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    tasks = sets.select("doc", "root", "own", "grams", other.alias("other")).select("doc", "root", "grams", "own", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
-    tasks = tasks.repartition("root", "i", "j").sortWithinPartitions("root", "i", "j", "doc")
+    sets = mapped(texts, grams, "doc long, root long, piece long, late boolean, blocks int, lates int, i int, j int, grams binary")
+    # block i of all documents meets block j of the late ones: everyone once per j, the late also once per i
+    once = sets.withColumn("to", F.explode(F.sequence(F.lit(0), F.col("lates") - 1))).select("root", F.col("i").alias("bi"), F.col("to").alias("bj"), "doc", "piece", "late", "grams", (F.col("late") & (F.col("to") == F.col("j"))).alias("asks"))
+    again = sets.where("late and blocks > 1").withColumn("to", F.explode(F.filter(F.sequence(F.lit(0), F.col("blocks") - 1), lambda b: b != F.col("i")))).select("root", F.col("to").alias("bi"), F.col("j").alias("bj"), "doc", "piece", "late", "grams", F.lit(True).alias("asks"))
+    tasks = once.unionByName(again)
+    tasks = tasks.repartition("root", "bi", "bj").sortWithinPartitions("root", "bi", "bj", "doc")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def emit(group):
-            pairs = link_block([r[0] for r in group], [r[1] for r in group], measure) if len(group) > 1 else []
+            pairs = link_block([r[0] for r in group], [r[1] for r in group], measure, [r[2] for r in group], [r[3] for r in group])
             return pa.RecordBatch.from_arrays([pa.array([p[0] for p in pairs], pa.int64()), pa.array([p[1] for p in pairs], pa.int64())], names=["a", "b"])
 
         now, group = None, []
         for batch in batches:
-            cols = [batch.column(c).to_pylist() for c in ("root", "i", "j", "doc", "grams")]
-            for root, i, j, doc, grams in zip(*cols, strict=True):
+            cols = [batch.column(c).to_pylist() for c in ("root", "bi", "bj", "doc", "grams", "piece", "asks")]
+            for root, i, j, doc, grams, piece, asks in zip(*cols, strict=True):
                 if (root, i, j) != now:
                     if len(group) > 1:
                         yield emit(group)
                     now, group = (root, i, j), []
-                group.append((doc, np.frombuffer(grams, np.uint64)))
+                group.append((doc, np.frombuffer(grams, np.uint64), piece, asks))
         if len(group) > 1:
             yield emit(group)
         group = []
@@ -361,6 +439,20 @@ def _links(docs: DataFrame, members: DataFrame, measure: Measure, block: int) ->
     return tasks.mapInArrow(run, "a long, b long")
 
 
+def _unsettled(members: DataFrame, links: DataFrame) -> DataFrame:
+    """The members (doc, n, root, sets) of clusters that the summed links leave in several pieces, with the
+    piece of each and whether it is outside the largest."""
+    pieces = components(links, "a", "b")
+    told = members.join(pieces.select(F.col("node").alias("doc"), F.col("root").alias("of")), "doc", "left").withColumn("piece", F.coalesce("of", "doc"))
+    told = stored(told.select("doc", "n", "root", "sets", "piece"), "jaccard-pieces")
+    each = told.groupBy("root", "piece").agg(F.sum("sets").alias("sets"))
+    # an id that stands for several sets may link with itself in each of them, so it is never part of a settled piece
+    several = each.groupBy("root").agg(F.count(F.lit(1)).alias("pieces"), F.max_by("piece", F.struct("sets", F.col("piece"))).alias("main")).where("pieces > 1")
+    odd = told.where("sets > 1").select("root").distinct()
+    open_roots = several.join(odd.withColumn("odd", F.lit(True)), "root", "full").select("root", "main")
+    return told.join(open_roots, "root").select("doc", "n", "root", "piece", (F.col("main").isNull() | (F.col("piece") != F.col("main")) | (F.col("sets") > 1)).alias("late"))
+
+
 def similar_groups(docs: DataFrame, measure: Measure | None = None, block: int = BLOCK_NGRAMS) -> DataFrame:
     """doc_id, n_shingles, component_id of every row."""
     measure = measure or Measure()
@@ -377,12 +469,15 @@ def similar_groups(docs: DataFrame, measure: Measure | None = None, block: int =
     if measure.spare:
         measure.common = common_ngrams(lone, measure)
     total = reps.agg(F.sum("n")).first()[0] or 0
-    ranges = int(max(2, min(MOST_RANGES, total * measure.keys_per_gram() // RANGE_KEYS + 1)))
+    ranges = int(max(2, total * measure.keys_per_gram() // RANGE_KEYS + 1))
     stars = stored(_stars(lone, measure, ranges), "jaccard-stars")
     clusters = components(stars, "doc", "lead")
     roots = clusters.select(F.col("root").alias("doc"), "root").distinct()
-    members = clusters.select(F.col("node").alias("doc"), "root").union(roots).join(reps.groupBy("doc").agg(F.max("n").alias("n")), "doc")
-    links = stored(_links(docs, members, measure, block), "jaccard-links")
+    by_doc = reps.groupBy("doc").agg(F.max("n").alias("n"), F.count(F.lit(1)).alias("sets"))
+    members = clusters.select(F.col("node").alias("doc"), "root").union(roots).join(by_doc, "doc")
+    pairs = stars.groupBy("doc").agg(F.min("lead").alias("lead"))
+    summed = stored(summed_links(lone, pairs, members.where("sets = 1").select("doc", "n"), measure), "jaccard-summed")
+    links = stored(_links(docs, _unsettled(members, summed), measure, block), "jaccard-links").union(summed)
     # an id that stands on rows with different texts links all of their sets
     same_id = known.join(reps, ["n", "h1", "h2"]).where("doc != doc_id").select(F.col("doc").alias("a"), F.col("doc_id").alias("b"))
     same_id = same_id.join(reps.select(F.col("doc").alias("b")), "b", "left_semi").select("a", "b")

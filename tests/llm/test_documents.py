@@ -389,6 +389,8 @@ def linked_components(rows, n, num, den):
 def test_jaccard_components_equal_brute_force(docs, none, n, num, broadcast, block, monkeypatch):
     if not broadcast:
         monkeypatch.setattr(jaccard_join, "BROADCAST_ROWS", -1)
+        monkeypatch.setattr(jaccard_join, "FRAGMENT_GRAMS", 16)
+        monkeypatch.setattr(jaccard_join, "FRAGMENT_DOCS", 3)
     m = jaccard_join.Measure(n, num, 100)
     want = linked_components(ALL, n, num, 100)
     got = jaccard_join.similar_groups(docs, m, block).collect()
@@ -397,6 +399,31 @@ def test_jaccard_components_equal_brute_force(docs, none, n, num, broadcast, blo
     assert sorted({r["doc_id"] for r in jaccard_join.one_of_each(docs, m).collect()}) == sorted({c for _, c in want.values()})
 
 
+def test_links_beyond_known_pieces_equal_brute_force():
+    rng = np.random.default_rng(4)
+    m = jaccard_join.Measure(3, 60, 100)
+    for _ in range(60):
+        n = int(rng.integers(2, 30))
+        pool = np.sort(rng.integers(0, 2**63, 40).astype(np.uint64))
+        sets = [np.sort(rng.choice(pool, int(rng.integers(5, 30)), replace=False)) for _ in range(n)]
+        linked = {(a, b) for a in range(n) for b in range(a) if m.linked(len(np.intersect1d(sets[a], sets[b])), len(sets[a]), len(sets[b]))}
+        main = set(range(int(rng.integers(1, n))))
+        known = {(a, b) for a, b in linked if a in main and b in main}
+
+        def roots(pairs, n=n):
+            root = list(range(n))
+            for _ in range(n):
+                for a, b in pairs:
+                    root[a] = root[b] = min(root[a], root[b])
+            return root
+
+        piece = roots(known | {(a, 0) for a in main})  # the main piece holds together by what is known
+        got = jaccard_join.link_block(list(range(n)), sets, m, piece, [i not in main for i in range(n)])
+        assert set(map(tuple, map(sorted, got))) <= set(map(tuple, map(sorted, linked)))
+        glue = {(a, 0) for a in main}
+        assert roots(glue | set(got)) == roots(glue | linked)
+
+
 def test_similar_sets_always_share_a_key():
     rng = np.random.default_rng(3)
     for num in (90, 80, 60):
