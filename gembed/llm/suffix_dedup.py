@@ -3,12 +3,18 @@
 Of all suffixes of the corpus only those are retained that start at a minimiser: the word run of
 ``K`` words with the smallest hash in some window of ``min_words`` words. The choice depends on the
 window's words alone, so two copies of a passage of ``min_words`` words retain a suffix at the same
-place in it. Suffixes are brought together by their first K words and those without an equal
-neighbour in another document are dropped; the rest are extended left and right over the windows that
-chose them. First whole extensions are compared (a passage in very many documents has one, and it is
+place in it. The suffixes are sorted over the whole corpus (by ranges, in the order of the hashes of
+their first K words, then by document, so that a start that a third of all documents have fills many
+ranges) and each is compared with its neighbours; those without an equal neighbour in another document
+are dropped, and what a range's edge leaves open is settled by the edges of the ranges beside it. The
+rest are extended left and right over the windows that chose them. First whole extensions are compared (a passage in very many documents has one, and it is
 pre-aggregated before the shuffle); only where a start has several different extensions are the
 windows between compared one by one. The union of repeated windows gives the maximal passages.
 
+Words are compared by hashes, 64 bits of the start and 128 bits of an extension (64 of the start and
+64 of a window where windows are compared), which stand for the words with a chance of error of about
+2^-64 a pair.
+
 A passage counts as repeated when it stands in two different documents. Words are runs of characters
 other than space and U+0009..U+000D, compared exactly.
 
@@ -20,6 +26,7 @@ an empty table gives an empty table; other columns are ignored.
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -32,8 +39,10 @@ from .wordhash import Ranges, windows, word_hashes
 MIN_WORDS = 50
 #: Words of a suffix's start that are compared first.
 K = 8
-#: Documents with shared suffixes (about 150 bytes each) up to which their list is broadcast; else both sides are shuffled.
-BROADCAST_DOCS = 300_000
+#: Bytes of the list of documents with shared suffixes up to which it is broadcast; else both sides are shuffled.
+BROADCAST_BYTES = 64 << 20
+#: Suffixes of one extension that meet in one task, and extensions at most that are dealt to several.
+DEAL, DEALT = 5_000, 50_000
 #: Documents whose suffixes and windows a task holds at a time.
 ROWS = 400
 _WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -81,6 +90,61 @@ def _starts(rows: DataFrame, min_words: int, k: int) -> DataFrame:
     return mapped(rows.select("uid", "text"), run, "uid long, lo int, start long", ROWS)
 
 
+def neighbours(starts: DataFrame) -> DataFrame:
+    """uid, lo of the suffixes of which a neighbour in sorted order has the same start in another document."""
+    ordered = starts.repartitionByRange("start", "uid").sortWithinPartitions("start", "uid", "lo")
+    schema = pa.schema([("kind", pa.int32()), ("uid", pa.int64()), ("lo", pa.int32()), ("start", pa.int64()), ("other", pa.int64())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def rows(kind: int, uid, lo, start, other) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(np.full(len(uid), kind, np.int32)), *(pa.array(np.asarray(v)) for v in (uid, np.asarray(lo, np.int32), start, other))], schema=schema)
+
+        def closed(first: bool, last: bool) -> Iterator[pa.RecordBatch]:
+            """The run of one start that is held; at the range's edge its neighbours may lie in the next range."""
+            uid, lo = (np.concatenate(v) for v in zip(*held, strict=True))
+            start = np.full(len(uid), now, np.int64)
+            if low != high:
+                yield rows(0, uid, lo, start, uid)
+            elif first or last:
+                yield rows(1, uid, lo, start, uid)
+            if first or last:
+                yield rows(2, [low], [0], [now], [high])
+
+        now, first, held, low, high = None, True, [], 0, 0
+        for batch in batches:
+            uid, lo, start = (batch.column(c).to_numpy() for c in ("uid", "lo", "start"))
+            if not len(uid):
+                continue
+            edge = np.flatnonzero(np.concatenate([[True], start[1:] != start[:-1], [True]]))
+            a, b = edge[:-1], edge[1:]
+            inner = np.zeros(len(uid), bool)  # runs that neither begin nor end with the batch
+            if len(a) > 2:
+                keep = uid[a[1:-1]] != uid[b[1:-1] - 1]
+                inner[a[1] : b[-2]] = np.repeat(keep, b[1:-1] - a[1:-1])
+            for k in (0, len(a) - 1) if len(a) > 1 else (0,):
+                piece = slice(a[k], b[k])
+                if now is not None and start[a[k]] != now:
+                    yield from closed(first, False)
+                    first, held = False, []
+                if not held:
+                    now, low = start[a[k]], uid[a[k]]
+                high = uid[b[k] - 1]
+                held.append((uid[piece].copy(), lo[piece].copy()))
+                if low != high and not first:  # known to be shared: nothing need be held
+                    yield rows(0, *(np.concatenate(v) for v in zip(*held, strict=True)), np.full(sum(len(h[0]) for h in held), now, np.int64), np.full(sum(len(h[0]) for h in held), high, np.int64))
+                    held = [(uid[:0], lo[:0])]
+                if k == 0 and inner.any():
+                    yield rows(0, uid[inner], lo[inner], start[inner], uid[inner])
+        if now is not None:
+            yield from closed(first, True)
+
+    told = stored(ordered.mapInArrow(run, "kind int, uid long, lo int, start long, other long"), "suffix-neighbours")
+    # two edges a range at most
+    shared = told.where("kind = 2").groupBy("start").agg(F.min("uid").alias("a"), F.max("other").alias("b")).where("a != b").select("start")
+    edges = told.where("kind = 1").join(F.broadcast(shared), "start", "left_semi")
+    return told.where("kind = 0").select("uid", "lo").unionByName(edges.select("uid", "lo"))
+
+
 def _extensions(texts: DataFrame, min_words: int, k: int) -> DataFrame:
     """The retained suffixes that have a neighbour, with a hash of their whole extension."""
 
@@ -158,10 +222,9 @@ def repeated_passages(docs: DataFrame, min_words: int = MIN_WORDS, k: int = K) -
     run of windows that another document has too. ``first_doc_id`` is the smallest id that shares one."""
     rows = _keyed(docs)
     starts = stored(_starts(rows, min_words, k), "suffix-starts")
-    shared = starts.groupBy("start").agg(F.min("uid").alias("a"), F.max("uid").alias("b")).where("a != b").select("start")
-    chosen = stored(starts.join(shared, "start").groupBy("uid").agg(F.collect_set("lo").alias("los")), "suffix-chosen")
-    few = chosen.count() <= BROADCAST_DOCS
-    texts = stored(rows.join(F.broadcast(chosen) if few else chosen, "uid"), "suffix-texts")
+    chosen = stored(neighbours(starts).groupBy("uid").agg(F.collect_set("lo").alias("los")), "suffix-chosen")
+    size = chosen.agg(F.sum(F.size("los") * 4 + 32)).first()[0] or 0
+    texts = stored(rows.join(F.broadcast(chosen) if size <= BROADCAST_BYTES else chosen, "uid"), "suffix-texts")
     held = texts.agg(F.count("uid").alias("n"), F.count_distinct("uid").alias("different")).first()
     if held["n"] != held["different"]:
         texts = stored(texts.dropDuplicates(["uid"]), "suffix-texts-once")
@@ -169,7 +232,7 @@ def repeated_passages(docs: DataFrame, min_words: int = MIN_WORDS, k: int = K) -
 
     key = ["start", "c1", "c2"]
     owner = F.min(F.struct("uid", "lo", "hi")).alias("f")
-    whole = stored(ext.groupBy(*key).agg(owner, F.max("uid").alias("b"), F.min("doc_id").alias("first")).withColumn("ctx", F.xxhash64("c1", "c2")), "suffix-contexts")
+    whole = stored(ext.groupBy(*key).agg(owner, F.max("uid").alias("b"), F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("n")).withColumn("ctx", F.xxhash64("c1", "c2")), "suffix-contexts")
     several = whole.groupBy("start").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("start")
     # one suffix per different extension of a start that has several; its windows are compared with the others'
     owners = whole.join(several, "start").select("start", "ctx", F.col("f.uid").alias("a"), "b", "first", F.col("f.uid").alias("uid"), "f.lo", "f.hi")
@@ -179,7 +242,13 @@ def repeated_passages(docs: DataFrame, min_words: int = MIN_WORDS, k: int = K) -
     none = F.lit(None).cast("array<struct<offset:int,least:bigint>>")
     told = whole.where("f.uid != b").select("start", "ctx", "first", none.alias("offsets")).unionByName(partly.select("start", "ctx", F.lit(None).cast("long").alias("first"), "offsets"))
 
-    at = ext.select("uid", "lo", "hi", "start", F.xxhash64("c1", "c2").alias("ctx")).join(told, ["start", "ctx"])
+    # an extension that very many suffixes have is dealt to several tasks; those are at most DEALT
+    deal = max(DEAL, (whole.agg(F.sum("n")).first()[0] or 0) // DEALT)
+    hot = F.broadcast(whole.where(F.col("n") > deal).select("start", "ctx", F.ceil(F.col("n") / F.lit(deal)).cast("int").alias("deals")))
+    dealt = lambda df: df.join(hot, ["start", "ctx"], "left").withColumn("deals", F.coalesce("deals", F.lit(1)))
+    told = dealt(told).withColumn("deal", F.explode(F.sequence(F.lit(0), F.col("deals") - 1))).drop("deals")
+    at = ext.select("uid", "lo", "hi", "start", F.xxhash64("c1", "c2").alias("ctx"))
+    at = dealt(at).withColumn("deal", F.pmod(F.xxhash64("uid", "lo"), F.col("deals")).cast("int")).drop("deals").join(told, ["start", "ctx", "deal"])
     ranges = F.when(F.col("offsets").isNull(), F.array(F.struct("lo", "hi", "first"))).otherwise(F.transform("offsets", lambda o: F.struct((F.col("lo") + o["offset"]).cast("int").alias("lo"), (F.col("lo") + o["offset"]).cast("int").alias("hi"), o["least"].alias("first"))))
     runs = at.select("uid", F.explode(ranges).alias("r"))
     of_doc = runs.groupBy("uid").agg(F.collect_list("r").alias("runs"))

@@ -60,7 +60,8 @@ def passages(rows, n):
 @pytest.mark.parametrize("broadcast", [True, False])
 def test_suffix_dedup_equals_brute_force(docs, none, broadcast, monkeypatch):
     if not broadcast:
-        monkeypatch.setattr(suffix_dedup, "BROADCAST_DOCS", -1)
+        monkeypatch.setattr(suffix_dedup, "BROADCAST_BYTES", -1)
+        monkeypatch.setattr(suffix_dedup, "DEAL", 1)
     got = suffix_dedup.repeated_passages(docs).collect()
     assert {(r["doc_id"], r["start_word"], r["n_words"]) for r in got} == passages(ALL, 50) and len(got) == len(passages(ALL, 50))
     by = dict(ALL)
@@ -69,6 +70,26 @@ def test_suffix_dedup_equals_brute_force(docs, none, broadcast, monkeypatch):
     assert suffix_dedup.repeated_passages(none).count() == 0
 
 
+def test_neighbours_across_ranges_equal_brute_force(spark):
+    rng = np.random.default_rng(1)
+    rows = [(int(u), k, int(s)) for k, (u, s) in enumerate(zip(rng.integers(0, 40, 3000), rng.choice([1, 2, 3, *range(10, 1500)], 3000, p=[0.2, 0.1, 0.1, *[0.6 / 1490] * 1490]), strict=True))]
+    rows += [(7, 5000 + k, 9000) for k in range(400)] + [(99, 6000, 9001), (98, 6001, 9001)]
+    owners = collections.defaultdict(set)
+    for u, _, s in rows:
+        owners[s].add(u)
+    old = spark.conf.get("spark.sql.adaptive.coalescePartitions.enabled")
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "64")
+    spark.conf.set("spark.sql.shuffle.partitions", "13")
+    try:
+        got = suffix_dedup.neighbours(spark.createDataFrame(rows, "uid long, lo int, start long")).collect()
+    finally:
+        spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", old)
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+        spark.conf.set("spark.sql.shuffle.partitions", "4")
+    assert sorted((r["uid"], r["lo"]) for r in got) == sorted((u, k) for u, k, s in rows if len(owners[s]) > 1)
+
+
 def test_suffix_dedup_short_windows(docs):
     got = {(r["doc_id"], r["start_word"], r["n_words"]) for r in suffix_dedup.repeated_passages(docs, min_words=12, k=3).collect()}
     assert got == passages(ALL, 12)
