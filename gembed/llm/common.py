@@ -25,6 +25,8 @@ def shared_dir(spark: SparkSession) -> str:
     """The cluster's shared folder; sets one of its own only where the session names none (tests)."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         own = tempfile.mkdtemp(prefix="gembed-shared-")
         atexit.register(shutil.rmtree, own, True)
         spark.sparkContext.setCheckpointDir(f"file://{own}")
@@ -43,7 +45,16 @@ def stored(df: DataFrame, name: str, *parts: str) -> DataFrame:
     path = scratch(spark, name)
     writer = df.write.partitionBy(*parts) if parts else df.write
     writer.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._gembed_path = path
+    return out
+
+
+def forget(df: DataFrame) -> None:
+    """Deletes a table that ``stored`` wrote and nothing reads any more."""
+    path = getattr(df, "_gembed_path", None)
+    if path:
+        remove(df.sparkSession, path)
 
 
 def remove(spark: SparkSession, path: str) -> None:

@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import forget, stored
 
 
 def _toward_min(pairs: DataFrame, edges: DataFrame) -> DataFrame:
@@ -42,5 +42,8 @@ def components(edges: DataFrame, a: str, b: str, rounds: int = 60) -> DataFrame:
     for _ in range(rounds):
         if is_star(now):
             return now.select(F.col("u").alias("node"), F.col("v").alias("root"))
-        now = stored(_small(stored(_large(now), "large-star")), "small-star")
+        large = stored(_large(now), "large-star")
+        forget(now)
+        now = stored(_small(large), "small-star")
+        forget(large)
     raise RuntimeError(f"components did not settle in {rounds} rounds")

@@ -1,9 +1,11 @@
 """Operator 9: quality rules in a short-circuit cascade.
 
 Each rule looks at lazily computed features of one text and either rejects it or lets it pass. On a
-sample of documents every rule is timed and its share of rejections counted; the cascade then runs
-the rules by rejections per second, and a document meets no rule after the first that rejects it.
-A document is kept when no rule rejects it, so the order changes the cost and never the verdict.
+sample of documents the work of every rule is counted (bytes and words that its features look at, at the
+fixed price of each feature) and its share of rejections; the cascade then runs the rules by rejections
+per work, and a document meets no rule after the first that rejects it. A document is kept when no rule
+rejects it, so the order changes the cost and never the verdict; and as work is counted and not timed, the
+same table always gives the same order, and the same rule as the first that rejects.
 
 Words are runs of characters other than space and U+0009..U+000D. Defined results: null or empty
 text has no words, fails ``few_words`` and is not kept; repeated rows each give a row; an empty table
@@ -12,7 +14,6 @@ gives an empty table (the cascade then keeps the rules' given order); other colu
 
 from __future__ import annotations
 
-import time
 from collections import Counter
 from collections.abc import Callable
 from dataclasses import dataclass
@@ -31,12 +32,20 @@ _WS, _SYMBOLS = b" \t\n\x0b\x0c\r", b"#*$%&|<>"
 _PLACES = np.random.default_rng(8).integers(1, 2**63, WINDOW, dtype=np.uint64) | np.uint64(1)
 
 
+#: Price of the features, about nanoseconds: for each byte of the text, and for each word.
+PRICES = {"raw": (0.2, 0.0), "words": (4.0, 0.0), "solid": (1.0, 0.0), "n_symbols": (1.5, 0.0), "lines": (1.0, 0.0), "n_dup_lines": (0.5, 0.0), "n_repeat_words": (0.0, 250.0), "letters": (4.0, 0.0)}
+
+
 class Text:
     """Features of one text, each computed when a rule or a column first asks for it."""
 
     def __init__(self, text: str | None):
         self.text = text or ""
 
+    def work(self) -> float:
+        """The price of the features that have been asked for so far; a fixed one for the look itself."""
+        return 100.0 + sum(a * len(self.raw) + (b * self.n_words if b else 0.0) for k, (a, b) in PRICES.items() if k in self.__dict__)
+
     @cached_property
     def raw(self) -> bytes:
         return self.text.encode("utf-8", "surrogatepass")
@@ -139,25 +148,24 @@ RULES = (
 
 
 def measure_rules(docs: DataFrame, rules: tuple[Rule, ...] = RULES, sample_rows: int = 2000, one_in: int = 16) -> list[dict]:
-    """Seconds per document and share of rejections of each rule on a hash sample of documents."""
-    picked = id_and_text(docs).where(F.pmod(F.xxhash64("doc_id"), F.lit(one_in)) == 0).limit(sample_rows)
+    """Work per document and share of rejections of each rule on a hash sample of documents."""
+    picked = id_and_text(docs).where(F.pmod(F.xxhash64("doc_id"), F.lit(one_in)) == 0).orderBy(F.xxhash64("doc_id", F.lit(1)), "doc_id", F.xxhash64("text")).limit(sample_rows)
 
     def run(batch: pa.RecordBatch) -> dict:
-        took, hits, texts = [0.0] * len(rules), [0] * len(rules), batch.column("text").to_pylist()
+        took, hits, texts = [0] * len(rules), [0] * len(rules), batch.column("text").to_pylist()
         for text in texts:
             for k, rule in enumerate(rules):
                 fresh = Text(text)  # a rule is charged for all features that it needs
-                began = time.perf_counter()
                 hits[k] += bool(rule.rejects(fresh))
-                took[k] += time.perf_counter() - began
-        return {"rule": list(range(len(rules))), "docs": [len(texts)] * len(rules), "seconds": took, "rejected": hits}
+                took[k] += round(fresh.work())
+        return {"rule": list(range(len(rules))), "docs": [len(texts)] * len(rules), "work": took, "rejected": hits}
 
-    found = {r["rule"]: r for r in mapped(picked, run, "rule int, docs long, seconds double, rejected long").groupBy("rule").agg(F.sum("docs").alias("docs"), F.sum("seconds").alias("seconds"), F.sum("rejected").alias("rejected")).collect()}
+    found = {r["rule"]: r for r in mapped(picked, run, "rule int, docs long, work long, rejected long").groupBy("rule").agg(F.sum("docs").alias("docs"), F.sum("work").alias("work"), F.sum("rejected").alias("rejected")).collect()}
     out = []
     for k, rule in enumerate(rules):
         r = found.get(k)
         n = r["docs"] if r else 0
-        cost, share = (r["seconds"] / n, r["rejected"] / n) if n else (1.0, 0.0)
+        cost, share = (r["work"] / n, r["rejected"] / n) if n else (1.0, 0.0)
         out.append({"rule": rule.name, "docs": n, "cost": cost, "rejected": share, "rank": share / max(cost, 1e-9)})
     return out
 

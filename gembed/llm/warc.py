@@ -3,8 +3,9 @@
 Records are written one gzip member each, so a record can be read alone by offset and length. The
 index holds one line per record under its reversed-host URL key; lines are sorted over all shards and
 packed into compressed blocks, and a sparse directory holds each block's first key, file, offset and
-length. A look-up searches the directory, fetches one block, searches inside it, and fetches the
-record's byte range.
+length. The directory lies in one sorted file per index file; a look-up bisects those files' first keys
+(one per task that wrote the index, so a short list), reads one file, bisects its blocks, fetches one
+block, bisects its lines, and fetches the record's byte range.
 
 Records with equal payloads: that of the largest page id is a response, the others revisit it; payloads
 under ``min_bytes`` bytes are all responses. Which page that is comes from an aggregate on the digest
@@ -47,9 +48,10 @@ def url_key(url: str | None) -> str:
     """Reversed host, port, then path and query, lower case, without scheme and fragment."""
     m = re.match(r"(?:[A-Za-z][A-Za-z0-9+.-]*:)?//(?:[^/?#@]*@)?([^/?#:]*)(:[0-9]+)?([^#]*)", url or "")
     if not m:
-        return (url or "").split("#")[0].lower()
+        return (url or "").split("#")[0].lower().replace(" ", "%20").replace("\n", "%0A")
     host = re.sub(r"^www[0-9]*\.", "", m[1].lower())
-    return ",".join(reversed(host.split("."))) + (m[2] or "") + ")" + (m[3] or "/").lower()
+    key = ",".join(reversed(host.split("."))) + (m[2] or "") + ")" + (m[3] or "/").lower()
+    return key.replace(" ", "%20").replace("\n", "%0A")  # an index line ends its key with a space
 
 
 def payload_digest(payload: bytes) -> str:
@@ -158,7 +160,7 @@ def write_index(records: DataFrame, folder: str, block_lines: int = BLOCK_LINES)
 
         for batch in batches:
             for row in batch.to_pylist():
-                lines.append((row["key"].replace(" ", "%20").replace("\n", "%0A"), json.dumps({"id": row["page_id"], "url": row["url"], "file": row["file"], "offset": row["offset"], "length": row["length"]})))
+                lines.append((row["key"], json.dumps({"id": row["page_id"], "url": row["url"], "file": row["file"], "offset": row["offset"], "length": row["length"]})))
                 if len(lines) == block_lines:
                     pack()
         if lines:
@@ -181,19 +183,49 @@ def _block(fs, root: str, file: str, offset: int, length: int) -> list[tuple[str
     return [(k, json.loads(v)) for k, _, v in (line.partition(" ") for line in text.split("\n")[:-1])]
 
 
+class Directory:
+    """The sparse directory of an archive, opened for look-ups: its parts' key ranges, and parts as they are asked for."""
+
+    def __init__(self, archive: Archive):
+        self.folder, self.table = archive.folder, archive.directory
+        ranges = archive.directory.groupBy("file").agg(F.min("first_key").alias("first"), F.max("last_key").alias("last"))
+        self.parts = sorted((r["first"], r["last"], r["file"]) for r in ranges.toLocalIterator())
+        self.blocks: dict[str, list] = {}
+
+    def part(self, file: str) -> list[tuple]:
+        """A part's blocks (first key, last key, file, offset, length), in order."""
+        if file not in self.blocks:
+            rows = self.table.where(F.col("file") == file).select("first_key", "last_key", "file", "offset", "length").collect()
+            self.blocks[file] = sorted(map(tuple, rows), key=lambda b: b[3])
+        return self.blocks[file]
+
+    @staticmethod
+    def around(ranges: list, key: str) -> Iterator[tuple]:
+        """The ranges, sorted and at most touching, that may hold a key: bisected by their last keys."""
+        for k in range(bisect.bisect_left(ranges, key, key=lambda r: r[1]), len(ranges)):
+            if ranges[k][0] > key:
+                return
+            yield ranges[k]
+
+    def look_up(self, url: str) -> list[dict]:
+        """All records of a URL."""
+        key = url_key(url)
+        fs, root = file_system(self.folder)
+        out = []
+        for _, _, file in self.around(self.parts, key):
+            for _, _, file, offset, length in self.around(self.part(file), key):
+                lines = _block(fs, root, file, offset, length)
+                at = bisect.bisect_left(lines, key, key=lambda x: x[0])
+                while at < len(lines) and lines[at][0] == key:
+                    line = lines[at][1]
+                    out.append(line | parse_record(gzip.decompress(_range(fs, f"{root}/{line['file']}", line["offset"], line["length"]))))
+                    at += 1
+        return out
+
+
 def look_up(archive: Archive, url: str) -> list[dict]:
-    """All records of a URL: directory search, block fetch, search in the block, range reads."""
-    key = url_key(url).replace(" ", "%20").replace("\n", "%0A")
-    fs, root = file_system(archive.folder)
-    out = []
-    for b in archive.directory.where((F.col("first_key") <= key) & (F.col("last_key") >= key)).orderBy("first_key", "file", "offset").toLocalIterator():
-        lines = _block(fs, root, b["file"], b["offset"], b["length"])
-        at = bisect.bisect_left(lines, key, key=lambda x: x[0])
-        while at < len(lines) and lines[at][0] == key:
-            line = lines[at][1]
-            out.append(line | parse_record(gzip.decompress(_range(fs, f"{root}/{line['file']}", line["offset"], line["length"]))))
-            at += 1
-    return out
+    """All records of a URL, by a directory opened for this one."""
+    return Directory(archive).look_up(url)
 
 
 def read_archive(archive: Archive) -> DataFrame:

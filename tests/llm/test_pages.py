@@ -40,6 +40,11 @@ def test_look_up_through_both_levels(pages):
     assert sorted(f["id"] for f in found) == [1, 7, 9]
     assert next(f for f in found if f["id"] == 7)["payload"] == "<p>two é😀</p>\r\n\r\n".encode()
     assert warc.look_up(archive, "http://nowhere.example/") == []
+    opened = warc.Directory(archive)
+    for r in pages.collect():
+        if r["url"]:
+            same = [p["page_id"] for p in pages.collect() if warc.url_key(p["url"]) == warc.url_key(r["url"])]
+            assert sorted(f["id"] for f in opened.look_up(r["url"])) == sorted(same)
     assert [f["id"] for f in warc.look_up(archive, "http://b.example.com/ y")] == [5]
 
 
