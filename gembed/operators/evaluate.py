@@ -23,24 +23,36 @@ BLOCK_BYTES, BLOCK_EDGES = 32 << 20, 16384
 def candidate_keys(train: DataFrame, side: str, k: int, mode: str = "data", seed: int = 1, alpha: float = 0.5) -> DataFrame:
     """Up to k candidates per relation (rel, key): endpoints of random training edges (``data``, so by
     prevalence, repeats included), random distinct nodes (``uniform``), a mixture, or ``all`` nodes."""
-    from pyspark.sql import Window
-
-    by_h = lambda *key: Window.partitionBy("rel").orderBy("_h", *key)
     if mode == "data":
         rows = train.select("rel", F.col(side).alias("key"), h32(seed, "cand", side, F.col("rel"), F.col("src"), F.col("dst")).alias("_h"))
-        return rows.withColumn("_n", F.row_number().over(by_h("key"))).where(F.col("_n") <= k).select("rel", "key")
+        return first_by_hash(rows, k)
     nodes = train.select("rel", F.col(side).alias("key")).distinct()
     if mode == "all":
         return nodes
     if mode == "uniform":
-        rows = nodes.withColumn("_h", h32(seed, "cand", side, F.col("rel"), F.col("key")))
-        return rows.withColumn("_n", F.row_number().over(by_h("key"))).where(F.col("_n") <= k).select("rel", "key")
+        return first_by_hash(nodes.withColumn("_h", h32(seed, "cand", side, F.col("rel"), F.col("key"))), k)
     if mode == "mixed":
         a = round(alpha * k)
         return candidate_keys(train, side, a, "data", seed).union(candidate_keys(train, side, k - a, "uniform", seed))
     raise ValueError(mode)
 
 
+def first_by_hash(rows: DataFrame, k: int) -> DataFrame:
+    """rel, key of the k rows of each relation with the smallest hash ``_h`` (32 bits), ties by key.
+
+    A count per hash range, combined before its shuffle, tells where the k-th row lies; only rows up to
+    there are sorted, so a relation that holds all edges sends about k of them to its task.
+    """
+    from pyspark.sql import Window
+
+    at = F.shiftright("_h", 12)
+    ranges = rows.groupBy("rel", at.alias("at")).agg(F.count(F.lit(1)).alias("n"))
+    reached = ranges.withColumn("so_far", F.sum("n").over(Window.partitionBy("rel").orderBy("at")))
+    cut = reached.where(F.col("so_far") >= k).groupBy("rel").agg(F.min("at").alias("cut"))  # one row a relation
+    near = rows.join(F.broadcast(cut), "rel", "left").where(F.col("cut").isNull() | (at <= F.col("cut")))
+    return near.withColumn("_n", F.row_number().over(Window.partitionBy("rel").orderBy("_h", "key"))).where(F.col("_n") <= k).select("rel", "key")
+
+
 def _with_types(model: Model, keys: DataFrame, side: str) -> DataFrame:
     """rel, etype, key, times of the candidates."""
     spec = model.spec
@@ -56,7 +68,7 @@ def _pool(model: Model, rows: DataFrame) -> dict[str, tuple[np.ndarray, np.ndarr
     return {k: (np.array([x[0] for x in v], object), np.array([x[1] for x in v], np.float32)) for k, v in out.items()}
 
 
-def rank_all(model: Model, part: DataFrame, candidates: DataFrame, size: int, side: str) -> DataFrame:
+def rank_all(model: Model, part: DataFrame, candidates: DataFrame, size: int, side: str, exact: bool = False) -> DataFrame:
     """rel, src, dst, better, ties against any number of candidates: each block of edges meets each block
     of its relation's candidates in a task, and an edge's counts are summed over the blocks.
 
@@ -77,7 +89,7 @@ def rank_all(model: Model, part: DataFrame, candidates: DataFrame, size: int, si
         if y.num_rows:
             times = y.column("times").to_numpy()
             pool[y.column("of")[0].as_py()] = (np.repeat(np.array(y.column("key").to_pylist(), object), times), np.repeat(np.array(y.column("vec").to_pylist(), np.float32), times, axis=0))
-        ranked = [pa.Table.from_batches([b]).append_column("copies", pa.array(c.column("copies").to_pylist(), pa.int64())) for c in x.to_batches(max_chunksize=4096) for b in _ranker(spec, params, pool, side)([c])]
+        ranked = [pa.Table.from_batches([b]).append_column("copies", pa.array(c.column("copies").to_pylist(), pa.int64())) for c in x.to_batches(max_chunksize=4096) for b in _ranker(spec, params, pool, side, exact)([c])]
         schema = pa.schema([("rel", pa.string()), ("src", pa.string()), ("dst", pa.string()), ("better", pa.int64()), ("ties", pa.int64()), ("copies", pa.int64())])
         return pa.concat_tables(ranked).cast(schema) if ranked else schema.empty_table()
 
@@ -86,15 +98,16 @@ def rank_all(model: Model, part: DataFrame, candidates: DataFrame, size: int, si
     return summed.withColumn("copies", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).drop("copies")
 
 
-def rank_edges(model: Model, test: DataFrame, train: DataFrame, k: int = 500, mode: str = "data", sides: tuple[str, ...] = ("src", "dst"), filtered: bool = False, known: DataFrame | None = None, seed: int = 1) -> DataFrame:
+def rank_edges(model: Model, test: DataFrame, train: DataFrame, k: int = 500, mode: str = "data", sides: tuple[str, ...] = ("src", "dst"), filtered: bool = False, known: DataFrame | None = None, seed: int = 1, exact: bool = False, pool_bytes: int | None = None) -> DataFrame:
     """rel, src, dst, side, better, ties of every tested edge and side.
 
     A candidate equal to the true endpoint does not count; ``filtered`` also leaves out those that
     form an edge of ``known``. Vectors are joined to the edges by key; the pool of k candidates per
     relation goes to the tasks, or meets the edges by blocks (``rank_all``) above ``POOL_BYTES``. An edge with an endpoint that training has not seen is kept: the model
-    cannot tell its candidates apart, so all of them tie.
+    cannot tell its candidates apart, so all of them tie. ``exact`` scores in double precision.
     """
     spec = model.spec
+    pool_bytes = POOL_BYTES if pool_bytes is None else pool_bytes
     vec = model.vectors()
     types = [(r.name, i, spec.type_no(r.src_type), spec.type_no(r.dst_type)) for i, r in enumerate(spec.relations)]
     rel = test.sparkSession.createDataFrame(types, "rel string, rel_no int, _st int, _dt int")
@@ -115,24 +128,25 @@ def rank_edges(model: Model, test: DataFrame, train: DataFrame, k: int = 500, mo
             part = part.join(drop, ["rel", kept], "left")
         else:
             part = part.withColumn("drop", F.lit(None).cast("array<string>"))
-        if (size["all"] or 0) * spec.dim * 4 > POOL_BYTES:
-            ranked = rank_all(model, part, candidates, size["rows"], side)
+        if (size["all"] or 0) * spec.dim * 4 > pool_bytes:
+            ranked = rank_all(model, part, candidates, size["rows"], side, exact)
         else:
             pool = _pool(model, candidates)
-            ranked = part.select("rel", "rel_no", "src", "dst", "sv", "dv", "seen", "drop").mapInArrow(_ranker(spec, model.params, pool, side), "rel string, src string, dst string, better long, ties long")
+            ranked = part.select("rel", "rel_no", "src", "dst", "sv", "dv", "seen", "drop").mapInArrow(_ranker(spec, model.params, pool, side, exact), "rel string, src string, dst string, better long, ties long")
         ranked = ranked.withColumn("side", F.lit(side))
         out = ranked if out is None else out.unionByName(ranked)
     return out.select("rel", "src", "dst", "side", "better", "ties")
 
 
-def _ranker(spec: GraphSpec, params, pool, side: str):
+def _ranker(spec: GraphSpec, params, pool, side: str, exact: bool = False):
     arrow = pa.schema([("rel", pa.string()), ("src", pa.string()), ("dst", pa.string()), ("better", pa.int64()), ("ties", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ready: dict = {}
+        kind = np.float64 if exact else np.float32
         for b in batches:
             cols = {c: b.column(c).to_pylist() for c in ("rel", "rel_no", "src", "dst", "seen", "drop")}
-            sv, dv = (np.array(b.column(c).to_pylist(), np.float32).reshape(b.num_rows, -1) for c in ("sv", "dv"))
+            sv, dv = (b.column(c).flatten().to_numpy(zero_copy_only=False).astype(kind).reshape(b.num_rows, -1) for c in ("sv", "dv"))
             better, ties = np.zeros(b.num_rows, np.int64), np.zeros(b.num_rows, np.int64)
             for r in set(cols["rel"]):
                 if r not in pool:
@@ -143,13 +157,14 @@ def _ranker(spec: GraphSpec, params, pool, side: str):
                 which = side if rel.reciprocal else "both"
                 lhs, rhs = th.get((which, "lhs")), th.get((which, "rhs"))
                 keys, x = pool[r]
+                x = x.astype(kind)
                 keep_src = side == "dst"
                 kept, true = (sv[at], dv[at]) if keep_src else (dv[at], sv[at])
                 op_k, t_k = (rel.lhs_op, lhs) if keep_src else (rel.rhs_op, rhs)
                 op_c, t_c = ("identity", None) if rel.reciprocal else ((rel.rhs_op, rhs) if keep_src else (rel.lhs_op, lhs))
                 if r not in ready:
                     c = relops.forward(op_c, x, t_c)
-                    ready[r] = (relops.normalise(c)[0] if spec.sim == "cos" else c, {k: [] for k in ()})
+                    ready[r] = (relops.normalise(c)[0] if spec.sim == "cos" else c, {})
                     index: dict = {}
                     for j, key in enumerate(keys):
                         index.setdefault(key, []).append(j)
@@ -178,6 +193,32 @@ def _ranker(spec: GraphSpec, params, pool, side: str):
     return run
 
 
+def score_edges(model: Model, edges: DataFrame) -> DataFrame:
+    """rel, src, dst, score of given edges under a model; null where an endpoint has no vector."""
+    spec, params = model.spec, model.params
+    types = edges.sparkSession.createDataFrame([(r.name, i, spec.type_no(r.src_type), spec.type_no(r.dst_type)) for i, r in enumerate(spec.relations)], "rel string, rel_no int, _st int, _dt int")
+    vec = model.vectors()
+    rows = edges.select("rel", "src", "dst").join(F.broadcast(types), "rel")
+    rows = rows.join(vec.select(F.col("etype").alias("_st"), F.col("key").alias("src"), F.col("vec").alias("sv")), ["_st", "src"], "left").join(vec.select(F.col("etype").alias("_dt"), F.col("key").alias("dst"), F.col("vec").alias("dv")), ["_dt", "dst"], "left")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            no = b.column("rel_no").to_numpy()
+            held = b.column("sv").is_valid().to_numpy(zero_copy_only=False) & b.column("dv").is_valid().to_numpy(zero_copy_only=False)
+            score = np.zeros(b.num_rows)
+            for r in np.unique(no[held]):
+                at = np.flatnonzero(held & (no == r))
+                sv, dv = (b.column(c).take(pa.array(at)).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(len(at), -1) for c in ("sv", "dv"))
+                rel, th = spec.relations[r], params[r].theta
+                which = "dst" if rel.reciprocal else "both"
+                left = relops.forward(rel.lhs_op, sv, th.get((which, "lhs")))
+                right = dv if rel.reciprocal else relops.forward(rel.rhs_op, dv, th.get((which, "rhs")))
+                score[at] = relops.pair_scores(spec.sim, left, right)
+            yield pa.RecordBatch.from_arrays([b.column("rel"), b.column("src"), b.column("dst"), pa.array(score, mask=~held)], names=["rel", "src", "dst", "score"])
+
+    return rows.select("rel", "rel_no", "src", "dst", "sv", "dv").mapInArrow(run, "rel string, src string, dst string, score double")
+
+
 def with_rank(ranks: DataFrame, ties: str = "mean") -> DataFrame:
     extra = {"optimistic": F.lit(0.0), "pessimistic": F.col("ties").cast("double"), "mean": F.col("ties") / 2}[ties]
     return ranks.withColumn("rank", 1 + F.col("better") + extra)

@@ -51,6 +51,24 @@ def link_prediction(spark: SparkSession, edges: DataFrame, methods=("identity",
     return spark.createDataFrame(out, "method string, seconds double, rss_mb double, mrr double, mr double, hits10 double")
 
 
+def baselines(spark: SparkSession, edges: DataFrame, epochs: int = 2, dim: int = 32, k: int = 500) -> DataFrame:
+    """Own vectors, random walks and multi-level embedding of the same graph: candidates, edges and measure are the same."""
+    _, train, test = _halves(edges)
+    out = []
+    for name in ("own", "deepwalk", "multi_level_1", "multi_level_3"):
+        with Timer() as t:
+            if name == "own":
+                vec = fit(prepare(train, one_type_spec(train, dim=dim), 1), epochs=epochs).vectors().select("key", "vec")
+            elif name == "deepwalk":
+                vec = walks.deepwalk(train, walks=2, length=6, dim=dim, epochs=epochs)
+            else:
+                vec = coarsen.mile(train, int(name[-1]), dim, "block", epochs)
+            vec = stored(vec, "baseline-vectors")
+        m = evaluate.metrics(vector_ranks(vec, test, train, k)).first()
+        out.append((name, float(t.seconds), m["n"], *[float(m[x]) for x in ("mrr", "mr", "hits10")]))
+    return spark.createDataFrame(out, "method string, seconds double, n long, mrr double, mr double, hits10 double")
+
+
 def learning_curve(spark: SparkSession, edges: DataFrame, epochs: int = 5, parts: int = 2, machines: int = 1) -> DataFrame:
     _, train, test = _halves(edges)
     model = fit(prepare(train, one_type_spec(train), parts), epochs=epochs, machines=machines, after_epoch=lambda m: {"mrr": evaluate.evaluate(m, test, train)["mrr"]})
@@ -88,31 +106,31 @@ def parallel_sweep(spark: SparkSession, edges: DataFrame, machines=(1, 2, 4), ep
 
 
 def bucket_order(spark: SparkSession, edges: DataFrame, kinds=("inside_out", "row_major", "random", "outside_in"), parts: int = 4, epochs: int = 3) -> DataFrame:
-    from .schedule import aligned_by_part, order, simulate_swaps
+    from .schedule import aligned_by_part, order
 
     _, train, test = _halves(edges)
     out = []
     for kind in kinds:
         model = fit(prepare(train, one_type_spec(train), parts), epochs=epochs, bucket_order=kind)
         seq = order(kind, parts)
-        out.append((kind, simulate_swaps(seq)["loads"], aligned_by_part(seq) is None, float(evaluate.evaluate(model, test, train)["mrr"])))
+        out.append((kind, model.log[-1]["swaps"], aligned_by_part(seq) is None, float(evaluate.evaluate(model, test, train)["mrr"])))
     return spark.createDataFrame(out, "kind string, loads int, aligned boolean, mrr double")
 
 
-def negatives_speed(spark: SparkSession, negatives=(10, 20, 50, 100, 200, 500), dim: int = 100, edges: int = 4000, nodes: int = 20_000) -> DataFrame:
-    """Edges per second of the kernel, by negatives per edge, batched and unbatched."""
+def negatives_speed(spark: SparkSession, negatives=(10, 20, 50, 100, 200, 500), dim: int = 100, edges: int = 4000, nodes: int = 20_000, batch: int = 500) -> DataFrame:
+    """Edges per second of the kernel, by negatives per edge, batched and unbatched, in batches of equal size."""
     rng = np.random.default_rng(1)
     out = []
     for mode, n in itertools.product(("batched", "unbatched"), negatives):
         rel = RelationSpec("r", "n", "n")
         half = max(1, n // 2)
-        spec = GraphSpec((EntityType("n"),), (rel,), dim=dim, negatives=mode, chunk=half, uniform=half, batch=1000)
+        spec = GraphSpec((EntityType("n"),), (rel,), dim=dim, negatives=mode, chunk=half, uniform=half, batch=batch)
         m, params = kernels.start_matrix(spec, 0, 0, nodes), kernels.Params.start(rel, dim)
-        some = edges if mode == "batched" else max(200, edges * 10 // n)
+        some = edges if mode == "batched" else max(2 * batch, edges * 10 // n)
         s, d = rng.integers(0, nodes, some), rng.integers(0, nodes, some)
         count = kernels.Counters()
         with Timer() as t:
-            kernels.train_edges(spec.with_(batch=1000 if mode == "batched" else 100), rel, params, m, m, s, d, np.ones(some, np.float32), rng, count)
+            kernels.train_edges(spec, rel, params, m, m, s, d, np.ones(some, np.float32), rng, count)
         out.append((mode, n, some / t.seconds, count.rows_gathered / some, count.scores / some))
     return spark.createDataFrame(out, "mode string, negatives int, edges_per_second double, rows_per_edge double, scores_per_edge double")
 

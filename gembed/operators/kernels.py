@@ -158,19 +158,15 @@ def step(spec: GraphSpec, rel: RelationSpec, params: Params, src: Matrix, dst: M
         us = np.where(data, s[rng.integers(0, n, (chunks, k))], rng.integers(0, len(src.x), (chunks, k)))
         ud = np.where(data, d[rng.integers(0, n, (chunks, k))], rng.integers(0, len(dst.x), (chunks, k)))
     xs, xd, xus, xud = src.x[s2], dst.x[d2], src.x[us], dst.x[ud]
-    known = {(int(a), int(b)) for a, b in zip(s, d, strict=True)} if spec.mask_known else None
+    known = np.unique(s.astype(np.int64) * len(dst.x) + d) if spec.mask_known else None
 
     def alive(true, extra, kept, swap):
         pool = np.concatenate([true, extra], 1)
         ok = (pool[:, None, :] != true[:, :, None]) & full[:, :, None]
         ok[:, :, :size] &= full[:, None, :]
-        if known:
-            for c in range(chunks):
-                for i in range(size):
-                    for j in range(pool.shape[1]):
-                        pair = (int(pool[c, j]), int(kept[c, i])) if swap else (int(kept[c, i]), int(pool[c, j]))
-                        if pair in known:
-                            ok[c, i, j] = False
+        if known is not None:
+            a, b = (pool[:, None, :], kept[:, :, None]) if swap else (kept[:, :, None], pool[:, None, :])
+            ok &= ~np.isin(a.astype(np.int64) * len(dst.x) + b, known)
         return ok
 
     live_d, live_s = alive(d2, ud, s2, False), alive(s2, us, d2, True)

@@ -174,6 +174,30 @@ def rounds(p: int, m: int, policy: str = "affinity", first_epoch: bool = True) -
     return out
 
 
+def chains(p: int, m: int, policy: str = "affinity", first_epoch: bool = True) -> list[list[list[Unit]]]:
+    """Rounds of at most m chains on disjoint parts that cover all units once.
+
+    A chain is a pair of parts and the units of either part alone that are still to be trained: a worker
+    that holds both trains them without another load. Parts that no pair takes along come last.
+    """
+    own, out = set(range(p)), []
+    for units in rounds(p, m, policy, first_epoch):
+        now = []
+        for a, b in units:
+            if a == b:
+                continue
+            line = [(a, b)]
+            for part in (a, b):
+                if part in own:
+                    own.discard(part)
+                    line.append((part, part))
+            now.append(line)
+        if now:
+            out.append(now)
+    left = [[(a, a)] for a in sorted(own)]
+    return out + [left[i : i + m] for i in range(0, len(left), m)]
+
+
 def occupancy(plan: list[list[Unit]], m: int) -> float:
     return sum(map(len, plan)) / (m * len(plan)) if plan else 0.0
 

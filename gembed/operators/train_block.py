@@ -1,16 +1,23 @@
-"""Training by blocks: entity parts are split, edges fall in buckets, and a task trains a unit of them.
-
-A round is one Spark job: its units' blocks and edges meet in one task each (a shuffle by unit), the
-task loads the blocks into matrices, streams the edges batch by batch, and returns the updated blocks,
-the changes of the shared parameters, and counters. The driver adds up the shared changes (fewer than
-a million numbers) and starts the next round; blocks stay on the shared store as a new version. All
-randomness comes from (seed, epoch, round, unit), so a retried task returns the same bytes.
+"""Training by blocks: entity parts are split, edges fall in buckets, and a task trains a chain of units.
+
+A unit is the buckets between two parts. Edges are stored once, partitioned by unit, so a job reads the
+folders of its own units and nothing else, and an epoch reads every edge once. A job runs chains, one
+task each, on disjoint parts: a task holds two parts, trains its units one after another, and stores a
+part only when the next unit needs another in its place; a part that the next unit shares stays where it
+is. With one machine an epoch is one chain in the bucket order. With several, a round is a job, and the
+units of single parts ride along with the first pair that holds them.
+
+Parts are files on the shared store under a name of the attempt that wrote them, never changed, and only
+the rows that a finished job returns say which are valid; a retried task starts again from the versions
+of the job's beginning. All randomness comes from (seed, epoch, round, unit), so it returns the same
+bytes. The driver adds up the changes of the shared parameters (fewer than a million numbers).
 """
 
 from __future__ import annotations
 
 import json
 import time
+import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -21,21 +28,22 @@ from pyspark.sql import functions as F
 
 from ..session import remove, scratch, stored
 from . import kernels
+from .costs import RssSampler
 from .kernels import Counters, Matrix, Params
 from .partition import bucket_edges, partition_entities
-from .schedule import Unit, order, rounds, simulate_swaps, units_in_order
+from .schedule import Unit, chains, order, units_in_order
 from .spec import GraphSpec
 
-#: Nodes per block row; a block is well below the size of a binary value.
-BLOCK_ROWS = 65_536
+#: Values of a part that go through Arrow at a time when vectors are read.
+READ_VALUES = 4 << 20
 SHARED_LIMIT = 8_000_000
-_OUT = "kind int, etype int, part int, block_no int, first_offset int, n int, vec binary, acc binary, rel int, name string, stats array<double>"
-_STATS = ("edges", "loss", "rows_gathered", "scores", "negatives", "violations", "seconds", "rss_mb")
+_OUT = "kind int, etype int, part int, n int, path string, vec binary, acc binary, rel int, name string, stats array<double>"
+_STATS = ("edges", "loss", "rows_gathered", "scores", "negatives", "violations", "loads", "stores", "seconds", "rss_mb")
 
 
 @dataclass
 class Prepared:
-    """Edges with part offsets and entities with parts, both stored once."""
+    """Edges with part offsets, in a folder per unit, and entities with parts, both stored once."""
 
     spec: GraphSpec
     parts: int
@@ -43,54 +51,80 @@ class Prepared:
     edges: DataFrame
     sizes: dict[tuple[int, int], int]
 
+    def unit_no(self, unit: Unit) -> int:
+        return unit[0] * self.parts + unit[1]
+
 
 def prepare(edges: DataFrame, spec: GraphSpec, parts: int, portable: bool = False) -> Prepared:
     entities = stored(partition_entities(edges, spec, parts, portable), "entities")
-    bucketed = stored(bucket_edges(edges, entities, spec), "buckets")
+    unit = F.least("p_src", "p_dst") * F.lit(parts) + F.greatest("p_src", "p_dst")
+    # a unit's edges come in a few files, dealt by their hash, and not one from every task
+    bucketed = bucket_edges(edges, entities, spec).withColumn("unit", unit).repartition("unit", F.pmod("h", F.lit(4)))
+    bucketed = stored(bucketed, "buckets", "unit")
     sizes = {(r["etype"], r["part"]): r["n"] for r in entities.groupBy("etype", "part").agg(F.count(F.lit(1)).alias("n")).collect()}
     return Prepared(spec, parts, entities, bucketed, sizes)
 
 
+def _file_system(uri: str):
+    from pyarrow import fs
+
+    return fs.FileSystem.from_uri(uri)
+
+
+def store_part(folder: str, etype: int, part: int, m: Matrix) -> str:
+    """Writes a part's vectors and optimiser state to a new file; its address."""
+    fs, root = _file_system(folder)
+    fs.create_dir(root, recursive=True)
+    name = f"part-{etype}-{part}-{uuid.uuid4().hex[:12]}.f4"
+    with fs.open_output_stream(f"{root}/{name}") as f:
+        f.write(np.ascontiguousarray(m.x, "<f4"))
+        f.write(np.ascontiguousarray(m.acc, "<f4"))
+    return f"{folder}/{name}"
+
+
+def load_part(path: str, n: int, dim: int, acc: bool = True) -> Matrix:
+    fs, at = _file_system(path)
+    with fs.open_input_file(at) as f:
+        x = np.frombuffer(f.read(4 * n * dim), "<f4").reshape(n, dim).copy()
+        rest = np.frombuffer(f.read(), "<f4").copy() if acc else np.zeros(n, np.float32)
+    return Matrix(x, rest.reshape(n, dim) if acc and n and len(rest) == n * dim and dim > 1 else rest)
+
+
 @dataclass
 class Model:
+    """``where`` has the valid file of each (entity type, part); a part without one has not been trained."""
+
     prepared: Prepared
-    where: dict[int, str] = field(default_factory=dict)
+    where: dict[tuple[int, int], str] = field(default_factory=dict)
     params: list[Params] = field(default_factory=list)
     shared: dict[int, Matrix] = field(default_factory=dict)
     log: list[dict] = field(default_factory=list)
     epoch: int = 0
+    kept: set[str] = field(default_factory=set)
 
     @property
     def spec(self) -> GraphSpec:
         return self.prepared.spec
 
-    def blocks(self, parts: list[int] | None = None) -> DataFrame | None:
-        """Block rows of the partitioned types."""
-        spark = self.prepared.entities.sparkSession
-        out = None
-        for path in sorted(set(self.where.values())):
-            held = [p for p, at in self.where.items() if at == path and (parts is None or p in parts)]
-            if held:
-                df = spark.read.schema(_OUT).parquet(path).where((F.col("kind") == 0) & F.col("part").isin(held))
-                out = df if out is None else out.unionByName(df)
-        return out
-
     def vectors(self) -> DataFrame:
         """etype, key, vec of every node."""
-        spark, spec = self.prepared.entities.sparkSession, self.spec
-        rows = self.blocks()
+        spark, spec, sizes = self.prepared.entities.sparkSession, self.spec, self.prepared.sizes
         flat = None
-        if rows is not None:
+        if self.where:
             dim = spec.dim
+            step = max(1, READ_VALUES // dim)
+            files = spark.createDataFrame([(t, p, at, sizes.get((t, p), 0)) for (t, p), at in sorted(self.where.items())], "etype int, part int, path string, n int")
 
             def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 for b in batches:
-                    for etype, part, first, n, vec in zip(*(b.column(c).to_pylist() for c in ("etype", "part", "first_offset", "n", "vec")), strict=True):
-                        x = np.frombuffer(vec, "<f4")
-                        lists = pa.ListArray.from_arrays(pa.array(np.arange(0, (n + 1) * dim, dim, dtype=np.int32)), pa.array(x))
-                        yield pa.RecordBatch.from_arrays([pa.array(np.full(n, etype, np.int32)), pa.array(np.full(n, part, np.int32)), pa.array(np.arange(first, first + n, dtype=np.int32)), lists], names=["etype", "part", "offset", "vec"])
-
-            flat = rows.select("etype", "part", "first_offset", "n", "vec").mapInArrow(unpack, "etype int, part int, offset int, vec array<float>")
+                    for row in b.to_pylist():
+                        x = load_part(row["path"], row["n"], dim, acc=False).x
+                        for lo in range(0, row["n"], step):
+                            y = x[lo : lo + step]
+                            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, y.size + 1, dim, dtype=np.int32)), pa.array(y.ravel()))
+                            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(y), row["etype"], np.int32)), pa.array(np.full(len(y), row["part"], np.int32)), pa.array(np.arange(lo, lo + len(y), dtype=np.int32)), lists], names=["etype", "part", "offset", "vec"])
+
+            flat = files.repartition(len(self.where), "etype", "part").mapInArrow(unpack, "etype int, part int, offset int, vec array<float>")
         whole = [(t, 0, i, m.x[i].tolist()) for t, m in self.shared.items() for i in range(len(m.x))]
         if whole or flat is None:
             extra = spark.createDataFrame(whole, "etype int, part int, offset int, vec array<float>")
@@ -98,153 +132,191 @@ class Model:
         return self.prepared.entities.join(flat, ["etype", "part", "offset"]).select("etype", "key", "vec")
 
 
-def _rss_mb() -> float:
-    try:
-        with open("/proc/self/status") as f:
-            return next((int(line.split()[1]) / 1024 for line in f if line.startswith("VmHWM")), 0.0)
-    except OSError:
-        return 0.0
-
-
-def _block_rows(etype: int, part: int, m: Matrix) -> list[tuple]:
-    out = []
-    for no, lo in enumerate(range(0, len(m.x), BLOCK_ROWS)):
-        x, acc = m.x[lo : lo + BLOCK_ROWS], m.acc[lo : lo + BLOCK_ROWS]
-        out.append((0, etype, part, no, lo, len(x), x.astype("<f4").tobytes(), acc.astype("<f4").tobytes(), None, None, None))
-    return out
-
-
-def _trainer(spec: GraphSpec, sizes: dict, units: dict[int, Unit], known: set[int], params: list[Params], shared: dict[int, Matrix], stamp: tuple):
-    """The function that trains the units of one partition of the round's rows."""
-    arrow = pa.schema([("kind", pa.int32()), ("etype", pa.int32()), ("part", pa.int32()), ("block_no", pa.int32()), ("first_offset", pa.int32()), ("n", pa.int32()), ("vec", pa.binary()), ("acc", pa.binary()), ("rel", pa.int32()), ("name", pa.string()), ("stats", pa.list_(pa.float64()))])
-    cut = [i for i, t in enumerate(spec.types) if t.partitioned]
-    wide = spec.optimizer == "adagrad"
-
-    def open_unit(unit: int) -> dict:
-        a, b = units[unit]
-        held = {(t, p): kernels.start_matrix(spec, t, p, sizes.get((t, p), 0)) for t in cut for p in {a, b}}
-        return {
-            "unit": unit, "m": held, "shared": {t: Matrix(m.x.copy(), m.acc.copy()) for t, m in shared.items()}, "params": [p.copy() for p in params],
-            "rng": np.random.Generator(np.random.Philox(key=[spec.seed * 1_000_003 + stamp[0] * 10_007 + stamp[1], (a << 32) + b])), "count": Counters(), "pending": {}, "began": time.time(),
-        }
-
-    def flush(u: dict, key: tuple, last: bool) -> None:
-        """Trains all full batches that wait under a (bucket, relation)."""
-        s, d, w = (np.concatenate(x) for x in zip(*u["pending"][key], strict=True))
-        n = len(s) if last else len(s) // spec.batch * spec.batch
-        ps, pd, r = key
-        rel = spec.relations[r]
-        ts, td = spec.type_no(rel.src_type), spec.type_no(rel.dst_type)
-        src = u["shared"].get(ts) or u["m"][ts, ps]
-        dst = u["shared"].get(td) or u["m"][td, pd]
-        if n and len(src.x) and len(dst.x):
-            kernels.train_edges(spec, rel, u["params"][r], src, dst, s[:n], d[:n], w[:n], u["rng"], u["count"])
-        u["pending"][key] = [(s[n:], d[n:], w[n:])]
-        if last:
-            del u["pending"][key]
-
-    def close(u: dict) -> pa.RecordBatch:
-        for key in list(u["pending"]):
-            flush(u, key, True)
-        rows: list[tuple] = []
-        for (t, p), m in u["m"].items():
-            rows += _block_rows(t, p, m)
-        for r, (new, old) in enumerate(zip(u["params"], params, strict=True)):
-            for k, theta in new.theta.items():
-                rows.append((1, None, None, None, None, theta.size, (theta - old.theta[k]).astype("<f4").tobytes(), (new.acc[k] - old.acc[k]).astype("<f4").tobytes(), r, "/".join(k), None))
-        for t, m in u["shared"].items():
-            rows.append((2, t, 0, 0, 0, len(m.x), (m.x - shared[t].x).astype("<f4").tobytes(), (m.acc - shared[t].acc).astype("<f4").tobytes(), None, None, None))
-        c = u["count"]
-        rows.append((3, None, None, None, None, u["unit"], None, None, None, None, [float(getattr(c, k)) for k in _STATS[:6]] + [time.time() - u["began"], _rss_mb()]))
-        return pa.RecordBatch.from_arrays([pa.array(col, f.type) for col, f in zip(zip(*rows, strict=True), arrow, strict=True)], schema=arrow)
+class Holder:
+    """The parts that a task holds: at most two parts of every partitioned type, the longest unused leaves first."""
+
+    def __init__(self, spec: GraphSpec, sizes: dict, where: dict, folder: str):
+        self.spec, self.sizes, self.where, self.folder = spec, sizes, dict(where), folder
+        self.types = [i for i, t in enumerate(spec.types) if t.partitioned]
+        self.held: dict[int, dict[int, Matrix]] = {}
+        self.written: dict[tuple[int, int], str] = {}
+        self.loads = self.stores = 0
+
+    def need(self, unit: Unit) -> dict[tuple[int, int], Matrix]:
+        wanted = sorted(set(unit))
+        for part in wanted:
+            if part in self.held:
+                self.held[part] = self.held.pop(part)  # used last
+                continue
+            while len(self.held) >= 2:
+                self.leave(next(h for h in self.held if h not in wanted))
+            self.loads += 1
+            self.held[part] = {t: self.start(t, part) for t in self.types}
+        return {(t, p): m for p in wanted for t, m in self.held[p].items()}
+
+    def start(self, etype: int, part: int) -> Matrix:
+        n, path = self.sizes.get((etype, part), 0), self.written.get((etype, part)) or self.where.get((etype, part))
+        return load_part(path, n, self.spec.dim) if path else kernels.start_matrix(self.spec, etype, part, n)
+
+    def leave(self, part: int) -> None:
+        self.stores += 1
+        for t, m in self.held.pop(part).items():
+            self.written[t, part] = store_part(self.folder, t, part, m)
+
+
+def _trainer(spec: GraphSpec, sizes: dict, plan: list[list[Unit]], where: dict, folder: str, params: list[Params], shared: dict[int, Matrix], stamp: tuple):
+    """The function that trains the chains of one partition of the job's rows."""
+    arrow = pa.schema([("kind", pa.int32()), ("etype", pa.int32()), ("part", pa.int32()), ("n", pa.int32()), ("path", pa.string()), ("vec", pa.binary()), ("acc", pa.binary()), ("rel", pa.int32()), ("name", pa.string()), ("stats", pa.list_(pa.float64()))])
+
+    class Chain:
+        def __init__(self, no: int):
+            self.no, self.at, self.began = no, -1, time.time()
+            self.holder = Holder(spec, sizes, where, folder)
+            self.shared = {t: Matrix(m.x.copy(), m.acc.copy()) for t, m in shared.items()}
+            self.params = [p.copy() for p in params]
+            self.count, self.pending = Counters(), {}
+
+        def go_to(self, seq: int) -> None:
+            """Opens the unit of a place in the chain; units without edges on the way are passed through too."""
+            while self.at < seq:
+                self.finish()
+                self.at += 1
+                a, b = plan[self.no][self.at]
+                self.parts = self.holder.need((a, b))
+                self.rng = np.random.Generator(np.random.Philox(key=[spec.seed * 1_000_003 + stamp[0] * 10_007 + stamp[1], (a << 32) + b]))
+
+        def finish(self) -> None:
+            for key in list(self.pending):
+                self.flush(key, True)
+
+        def flush(self, key: tuple, last: bool) -> None:
+            """Trains all full batches that wait under a (bucket, relation)."""
+            s, d, w = (np.concatenate(x) for x in zip(*self.pending[key], strict=True))
+            n = len(s) if last else len(s) // spec.batch * spec.batch
+            ps, pd, r = key
+            rel = spec.relations[r]
+            ts, td = spec.type_no(rel.src_type), spec.type_no(rel.dst_type)
+            src = self.shared.get(ts) or self.parts[ts, ps]
+            dst = self.shared.get(td) or self.parts[td, pd]
+            if n and len(src.x) and len(dst.x):
+                kernels.train_edges(spec, rel, self.params[r], src, dst, s[:n], d[:n], w[:n], self.rng, self.count)
+            self.pending[key] = [(s[n:], d[n:], w[n:])]
+            if last:
+                del self.pending[key]
+
+        def close(self, rss: float) -> pa.RecordBatch:
+            self.go_to(len(plan[self.no]) - 1)
+            self.finish()
+            for part in list(self.holder.held):
+                self.holder.leave(part)
+            rows: list[tuple] = [(0, t, p, sizes.get((t, p), 0), path, None, None, None, None, None) for (t, p), path in self.holder.written.items()]
+            for r, (new, old) in enumerate(zip(self.params, params, strict=True)):
+                for k, theta in new.theta.items():
+                    rows.append((1, None, None, theta.size, None, (theta - old.theta[k]).astype("<f4").tobytes(), (new.acc[k] - old.acc[k]).astype("<f4").tobytes(), r, "/".join(k), None))
+            for t, m in self.shared.items():
+                rows.append((2, t, 0, len(m.x), None, (m.x - shared[t].x).astype("<f4").tobytes(), (m.acc - shared[t].acc).astype("<f4").tobytes(), None, None, None))
+            rows.append((3, None, None, self.no, None, None, None, None, None, [float(getattr(self.count, k)) for k in _STATS[:6]] + [float(self.holder.loads), float(self.holder.stores), time.time() - self.began, rss]))
+            return pa.RecordBatch.from_arrays([pa.array(col, f.type) for col, f in zip(zip(*rows, strict=True), arrow, strict=True)], schema=arrow)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now: dict | None = None
-        for batch in batches:
-            unit = batch.column("unit").to_numpy()
-            cuts = np.flatnonzero(np.concatenate([[True], unit[1:] != unit[:-1], [True]]))
-            for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
-                if now is None or now["unit"] != int(unit[lo]):
-                    if now is not None:
-                        yield close(now)
-                    now = open_unit(int(unit[lo]))
-                piece = batch.slice(lo, hi - lo)
-                kind = piece.column("kind").to_numpy()
-                n_blocks = int((kind == 0).sum())
-                for row in piece.slice(0, n_blocks).select(["etype", "part", "first_offset", "n", "vec", "acc"]).to_pylist():
-                    m = now["m"].get((row["etype"], row["part"]))
-                    if m is None or row["vec"] is None:
+        now: Chain | None = None
+        with RssSampler() as memory:
+            for batch in batches:
+                place = batch.column("chain").to_numpy().astype(np.int64) * 1_000_000 + batch.column("seq").to_numpy()
+                cuts = np.flatnonzero(np.concatenate([[True], place[1:] != place[:-1], [True]]))
+                for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
+                    chain, seq = divmod(int(place[lo]), 1_000_000)
+                    if now is None or now.no != chain:
+                        if now is not None:
+                            yield now.close(memory.peak)
+                        now = Chain(chain)
+                    now.go_to(seq)
+                    piece = batch.slice(lo, hi - lo)
+                    ps, pd, r, s, d, w = (piece.column(c).to_numpy(zero_copy_only=False) for c in ("p_src", "p_dst", "rel", "src_off", "dst_off", "weight"))
+                    first = int((ps < 0).sum())  # the row that only marks a unit
+                    if first == len(ps):
                         continue
-                    at = slice(row["first_offset"], row["first_offset"] + row["n"])
-                    m.x[at] = np.frombuffer(row["vec"], "<f4").reshape(-1, spec.dim)
-                    m.acc[at] = np.frombuffer(row["acc"], "<f4").reshape((-1, spec.dim) if wide else -1)
-                rest = piece.slice(n_blocks)
-                if not len(rest):
-                    continue
-                ps, pd, r, s, d, w = (rest.column(c).to_numpy(zero_copy_only=False) for c in ("p_src", "p_dst", "rel", "src_off", "dst_off", "weight"))
-                code = (ps.astype(np.int64) << 40) + (pd.astype(np.int64) << 20) + r
-                ends = np.flatnonzero(np.concatenate([[True], code[1:] != code[:-1], [True]]))
-                for a, b in zip(ends[:-1], ends[1:], strict=True):
-                    key = (int(ps[a]), int(pd[a]), int(r[a]))
-                    for other in [k for k in now["pending"] if k != key]:
-                        flush(now, other, True)
-                    now["pending"].setdefault(key, []).append((s[a:b].astype(np.int64), d[a:b].astype(np.int64), w[a:b]))
-                    flush(now, key, False)
-        if now is not None:
-            yield close(now)
+                    ps, pd, r, s, d, w = (x[first:] for x in (ps, pd, r, s, d, w))
+                    code = (ps.astype(np.int64) << 40) + (pd.astype(np.int64) << 20) + r
+                    ends = np.flatnonzero(np.concatenate([[True], code[1:] != code[:-1], [True]]))
+                    for a, b in zip(ends[:-1], ends[1:], strict=True):
+                        key = (int(ps[a]), int(pd[a]), int(r[a]))
+                        for other in [k for k in now.pending if k != key]:
+                            now.flush(other, True)
+                        now.pending.setdefault(key, []).append((s[a:b].astype(np.int64), d[a:b].astype(np.int64), w[a:b]))
+                        now.flush(key, False)
+            if now is not None:
+                yield now.close(memory.peak)
 
     return run
 
 
-def _round(model: Model, units: list[Unit], stamp: tuple[int, int], sub: tuple[int, int], merge: str) -> dict:
+def job_rows(prep: Prepared, plan: list[list[Unit]], sub: tuple[int, int] = (0, 1)) -> DataFrame:
+    """The edges of some chains of units, each chain in a partition, its units in order; reads their folders only."""
+    spark = prep.entities.sparkSession
+    places = [(prep.unit_no(u), c, s) for c, chain in enumerate(plan) for s, u in enumerate(chain)]
+    table = spark.createDataFrame(places, "unit int, chain int, seq int")
+    edges = prep.edges.where(F.col("unit").isin([p[0] for p in places]))
+    if sub[1] > 1:
+        edges = edges.where(F.pmod("h", F.lit(sub[1])) == sub[0])
+    rows = edges.join(F.broadcast(table), "unit").select("chain", "seq", "p_src", "p_dst", "rel", "h", "src_off", "dst_off", "weight")
+    # a row per unit, so that chains without edges still hand on their parts
+    none = [F.lit(-1).alias("p_src"), F.lit(-1).alias("p_dst"), F.lit(-1).alias("rel"), F.lit(-1).cast("long").alias("h"), F.lit(0).alias("src_off"), F.lit(0).alias("dst_off"), F.lit(0).cast("float").alias("weight")]
+    rows = rows.unionByName(table.select("chain", "seq", *none))
+    return rows.repartitionById(len(plan), F.col("chain")).sortWithinPartitions("chain", "seq", "p_src", "p_dst", "rel", "h")
+
+
+def _job(model: Model, plan: list[list[Unit]], stamp: tuple[int, int], sub: tuple[int, int], merge: str) -> dict:
+    """Trains chains on disjoint parts, one task each, and takes over what they return."""
     prep, spec = model.prepared, model.spec
     spark = prep.entities.sparkSession
-    named = dict(enumerate(units))
-    touched = sorted({p for u in units for p in u})
-    table = spark.createDataFrame([(i, a, b) for i, (a, b) in named.items()], "unit int, lo int, hi int")
-    of_part = spark.createDataFrame([(i, p) for i, u in named.items() for p in sorted(set(u))], "unit int, part int")
-    pair = [F.least("p_src", "p_dst").alias("lo"), F.greatest("p_src", "p_dst").alias("hi")]
-    edges = prep.edges.where(F.col("h") % sub[1] == sub[0]) if sub[1] > 1 else prep.edges
-    edges = edges.select("*", *pair).join(F.broadcast(table), ["lo", "hi"])
-    none = lambda kind: F.lit(None).cast(kind)
-    rows = edges.select("unit", F.lit(1).alias("kind"), "p_src", "p_dst", "rel", "h", "src_off", "dst_off", "weight", none("int").alias("etype"), none("int").alias("part"), none("int").alias("first_offset"), none("int").alias("n"), none("binary").alias("vec"), none("binary").alias("acc"))
-    blocks = model.blocks(touched)
-    if blocks is not None:
-        held = blocks.join(F.broadcast(of_part), "part").select("unit", F.lit(0).alias("kind"), F.lit(-1).alias("p_src"), F.lit(-1).alias("p_dst"), F.lit(-1).alias("rel"), F.lit(-1).cast("long").alias("h"), F.lit(0).alias("src_off"), F.lit(0).alias("dst_off"), F.lit(0).cast("float").alias("weight"), "etype", "part", "first_offset", "n", "vec", "acc")
-        rows = rows.unionByName(held)
-    # a row per unit, so that units without edges still hand on their blocks
-    marks = table.select("unit", F.lit(0).alias("kind"), F.lit(-2).alias("p_src"), F.lit(-2).alias("p_dst"), F.lit(-1).alias("rel"), F.lit(-2).cast("long").alias("h"), F.lit(0).alias("src_off"), F.lit(0).alias("dst_off"), F.lit(0).cast("float").alias("weight"), F.lit(-1).alias("etype"), F.lit(-1).alias("part"), F.lit(0).alias("first_offset"), F.lit(0).alias("n"), none("binary").alias("vec"), none("binary").alias("acc"))
-    rows = rows.unionByName(marks).repartitionById(len(units), F.col("unit")).sortWithinPartitions("unit", "kind", "p_src", "p_dst", "rel", "h")
-    path = scratch(spark, f"blocks-{stamp[0]}-{stamp[1]}")
+    folder = scratch(spark, f"parts-{stamp[0]}-{stamp[1]}")
     began = time.time()
-    rows.mapInArrow(_trainer(spec, prep.sizes, named, set(model.where), model.params, model.shared, stamp), _OUT).write.parquet(path)
-    seconds = time.time() - began
-    stats = dict.fromkeys(_STATS, 0.0)
+    found = job_rows(prep, plan, sub).mapInArrow(_trainer(spec, prep.sizes, plan, model.where, folder, model.params, model.shared, stamp), _OUT).collect()
+    stats = dict.fromkeys(_STATS, 0.0) | {"round_seconds": time.time() - began}
     changes: dict[tuple, list] = {}
-    for row in spark.read.schema(_OUT).parquet(path).where("kind > 0").toLocalIterator():
-        if row["kind"] == 3:
+    gone = []
+    for row in found:
+        if row["kind"] == 0:
+            gone.append(model.where.get((row["etype"], row["part"])))
+            model.where[row["etype"], row["part"]] = row["path"]
+        elif row["kind"] == 3:
             for k, v in zip(_STATS, row["stats"], strict=True):
                 stats[k] = max(stats[k], v) if k in ("rss_mb", "seconds") else stats[k] + v
         else:
             key = (1, row["rel"], tuple(row["name"].split("/"))) if row["kind"] == 1 else (2, row["etype"])
             changes.setdefault(key, []).append((np.frombuffer(row["vec"], "<f4"), np.frombuffer(row["acc"], "<f4")))
     for key, parts in sorted(changes.items(), key=str):
-        dx, da = (sum(p[i] for p in parts) for i in (0, 1))
-        if merge == "mean":
-            dx, da = dx / len(parts), da / len(parts)
-        if key[0] == 1:
-            p = model.params[key[1]]
-            p.theta[key[2]] += dx.reshape(p.theta[key[2]].shape)
-            p.acc[key[2]] += da.reshape(p.acc[key[2]].shape)
-        else:
-            m = model.shared[key[1]]
-            m.x += dx.reshape(m.x.shape)
-            m.acc += da.reshape(m.acc.shape)
-    old = set(model.where.values())
-    model.where |= dict.fromkeys(touched, path)
-    for gone in old - set(model.where.values()):
-        remove(spark, gone)
-    return stats | {"round_seconds": seconds}
+        dx, da = merged(parts, merge)
+        target = model.params[key[1]] if key[0] == 1 else model.shared[key[1]]
+        x, acc = (target.theta[key[2]], target.acc[key[2]]) if key[0] == 1 else (target.x, target.acc)
+        x += dx.reshape(x.shape)
+        acc += da.reshape(acc.shape)
+    for path in gone:
+        if path and path not in model.kept:
+            remove(spark, path)
+    return stats
+
+
+def merged(parts: list[tuple[np.ndarray, np.ndarray]], how: str) -> tuple[np.ndarray, np.ndarray]:
+    """One change out of the chains' changes (of values, of squared gradients).
+
+    ``sum`` adds them; ``mean`` takes their mean; ``adagrad`` adds the squared gradients and shrinks each
+    chain's step by the root of its own over all of them, as if all had shared one optimiser.
+    """
+    dx, da = (np.sum([p[i] for p in parts], axis=0) for i in (0, 1))
+    if how == "sum":
+        return dx, da
+    if how == "mean":
+        return dx / len(parts), da / len(parts)
+    if how == "adagrad":
+        if dx.size == da.size:
+            shrink = [np.sqrt(np.divide(p[1], da, out=np.zeros_like(da), where=da > 0)) for p in parts]
+        else:  # one number a row
+            width = dx.size // max(1, da.size)
+            shrink = [np.repeat(np.sqrt(np.divide(p[1], da, out=np.zeros_like(da), where=da > 0)), width) for p in parts]
+        return np.sum([p[0] * f for p, f in zip(parts, shrink, strict=True)], axis=0), da
+    raise ValueError(f"unknown merge {how!r}")
 
 
 def new_model(prepared: Prepared) -> Model:
@@ -258,32 +330,73 @@ def new_model(prepared: Prepared) -> Model:
     return model
 
 
-def fit(prepared: Prepared, epochs: int = 1, machines: int = 1, bucket_order: str = "inside_out", policy: str = "tournament", sub_epochs: int = 1, merge: str = "sum", model: Model | None = None, after_epoch=None, checkpoint: str | None = None, stop_after: int | None = None) -> Model:
-    """Trains; with one machine a round is one unit in the given bucket order, else up to ``machines`` units.
+def from_vectors(edges: DataFrame, spec: GraphSpec, vectors: DataFrame, parts: int = 1) -> Model:
+    """A model of given vectors (etype, key, vec) for the nodes of a graph; nodes without one keep their starting vector."""
+    prep = prepare(edges, spec, parts)
+    model = new_model(prep)
+    spark = prep.entities.sparkSession
+    folder = scratch(spark, "parts-given")
+    rows = prep.entities.join(vectors.select("etype", "key", F.col("vec").cast("array<float>").alias("vec")), ["etype", "key"]).select("etype", "part", "offset", "vec")
+    whole = [i for i, t in enumerate(spec.types) if not t.partitioned]
+    for r in rows.where(F.col("etype").isin(whole)).toLocalIterator() if whole else ():
+        model.shared[r["etype"]].x[r["offset"]] = r["vec"]
+    sizes, dim = prep.sizes, spec.dim
+
+    def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, m = None, None
+
+        def out() -> pa.RecordBatch:
+            return pa.RecordBatch.from_pydict({"etype": pa.array([now[0]], pa.int32()), "part": pa.array([now[1]], pa.int32()), "path": [store_part(folder, *now, m)]})
+
+        for b in batches:
+            etype, part, offset = (b.column(c).to_numpy() for c in ("etype", "part", "offset"))
+            x = b.column("vec").flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, dim)
+            edge = np.flatnonzero(np.concatenate([[True], (etype[1:] != etype[:-1]) | (part[1:] != part[:-1]), [True]])) if b.num_rows else []
+            for lo, hi in zip(edge[:-1], edge[1:], strict=True):
+                key = (int(etype[lo]), int(part[lo]))
+                if key != now:
+                    if now is not None:
+                        yield out()
+                    now, m = key, kernels.start_matrix(spec, *key, sizes[key])
+                m.x[offset[lo:hi]] = x[lo:hi]
+        if now is not None:
+            yield out()
+
+    cut = rows.where(~F.col("etype").isin(whole)) if whole else rows
+    written = cut.repartition("etype", "part").sortWithinPartitions("etype", "part", "offset").mapInArrow(write, "etype int, part int, path string")
+    model.where = {(r["etype"], r["part"]): r["path"] for r in written.collect()}
+    return model
+
+
+def fit(prepared: Prepared, epochs: int = 1, machines: int = 1, bucket_order: str = "inside_out", policy: str = "tournament", sub_epochs: int = 1, merge: str = "sum", model: Model | None = None, after_epoch=None, checkpoint: str | None = None, stop_after: int | None = None, sync_every: int | None = None) -> Model:
+    """Trains; with one machine an epoch is one chain in the given bucket order, else rounds of up to ``machines`` chains.
 
     ``after_epoch(model)`` may return measures for the log; ``checkpoint`` names a folder that gets a
-    manifest after every epoch; ``stop_after`` ends early after so many rounds (for tests of resuming).
+    manifest after every epoch; ``stop_after`` ends early after so many jobs (for tests of resuming);
+    ``sync_every`` cuts a single machine's chain into jobs of so many units, between which shared parameters are taken over.
     """
     model = model or new_model(prepared)
     p, done = prepared.parts, 0
     for epoch in range(model.epoch, epochs):
         began, total = time.time(), dict.fromkeys((*_STATS, "round_seconds"), 0.0)
+        jobs = 0
         for sub in range(sub_epochs):
             first = epoch == 0 and sub == 0
             if machines == 1:
-                plan = [[u] for u in units_in_order(order(bucket_order, p, prepared.spec.seed))]
+                line = units_in_order(order(bucket_order, p, prepared.spec.seed))
+                plan = [[line[i : i + (sync_every or len(line))]] for i in range(0, len(line), sync_every or len(line))]
             else:
-                plan = rounds(p, machines, policy, first)
-            for r, units in enumerate(plan):
-                stats = _round(model, units, (epoch, sub * 1000 + r), (sub, sub_epochs), merge)
+                plan = chains(p, machines, policy, first)
+            for r, lines in enumerate(plan):
+                stats = _job(model, lines, (epoch, sub * 1000 + r), (sub, sub_epochs), merge)
                 for k, v in stats.items():
                     total[k] = max(total[k], v) if k == "rss_mb" else total[k] + v
                 done += 1
                 if stop_after is not None and done >= stop_after:
                     return model
+            jobs += len(plan)
         model.epoch = epoch + 1
-        seq = order(bucket_order, p, prepared.spec.seed)
-        entry = {"epoch": epoch + 1, "seconds": time.time() - began, "rounds": len(plan) * sub_epochs, "swaps": simulate_swaps(seq)["loads"]} | {k: total[k] for k in total if k != "seconds"} | {"train_seconds": total["seconds"]}
+        entry = {"epoch": epoch + 1, "seconds": time.time() - began, "rounds": jobs, "swaps": int(total["loads"])} | {k: total[k] for k in total if k != "seconds"} | {"train_seconds": total["seconds"]}
         if after_epoch is not None:
             entry |= after_epoch(model) or {}
         model.log.append(entry)
@@ -293,25 +406,33 @@ def fit(prepared: Prepared, epochs: int = 1, machines: int = 1, bucket_order: st
 
 
 def save(model: Model, folder: str) -> None:
-    """Copies the blocks to the folder, then writes the manifest that makes the version valid."""
+    """Copies the parts to the folder, then writes the manifest that makes the version valid."""
     spark = model.prepared.entities.sparkSession
     version = f"{folder}/version={model.epoch}"
-    blocks = model.blocks()
-    if blocks is not None:
-        blocks.write.mode("overwrite").parquet(f"{version}/blocks")
+    sizes, spec, kept = model.prepared.sizes, model.spec, {}
+    if model.where:
+        files = spark.createDataFrame([(t, p, at, sizes.get((t, p), 0)) for (t, p), at in model.where.items()], "etype int, part int, path string, n int")
+
+        def copy(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                for row in b.to_pylist():
+                    at = store_part(f"{version}/parts", row["etype"], row["part"], load_part(row["path"], row["n"], spec.dim))
+                    yield pa.RecordBatch.from_pydict({"etype": pa.array([row["etype"]], pa.int32()), "part": pa.array([row["part"]], pa.int32()), "path": [at]})
+
+        kept = {(r["etype"], r["part"]): r["path"] for r in files.repartition(len(model.where), "etype", "part").mapInArrow(copy, "etype int, part int, path string").collect()}
     small = {
         "epoch": model.epoch,
         "params": [[["/".join(k), list(v.shape), v.ravel().tolist(), p.acc[k].ravel().tolist()] for k, v in p.theta.items()] for p in model.params],
         "shared": {str(t): [m.x.tolist(), m.acc.tolist()] for t, m in model.shared.items()},
-        "parts": sorted(model.where),
+        "parts": [[t, p, at] for (t, p), at in sorted(kept.items())],
     }
     spark.createDataFrame([(json.dumps(small),)], "value string").coalesce(1).write.mode("overwrite").text(f"{version}/manifest")
 
 
 def resume(prepared: Prepared, folder: str, epoch: int) -> Model:
+    """The model of a checkpoint; training goes on from its files and never changes them."""
     spark = prepared.entities.sparkSession
-    version = f"{folder}/version={epoch}"
-    small = json.loads(spark.read.text(f"{version}/manifest", wholetext=True).first()["value"])
+    small = json.loads(spark.read.text(f"{folder}/version={epoch}/manifest", wholetext=True).first()["value"])
     model = new_model(prepared)
     model.epoch = small["epoch"]
     for p, rows in zip(model.params, small["params"], strict=True):
@@ -321,8 +442,6 @@ def resume(prepared: Prepared, folder: str, epoch: int) -> Model:
             p.acc[key] = np.array(acc, np.float32).reshape(shape)
     for t, (x, acc) in small["shared"].items():
         model.shared[int(t)] = Matrix(np.array(x, np.float32), np.array(acc, np.float32))
-    path = scratch(spark, "blocks-resumed")  # training replaces its versions; the checkpoint stays
-    if small["parts"]:
-        spark.read.schema(_OUT).parquet(f"{version}/blocks").write.parquet(path)
-        model.where = dict.fromkeys(small["parts"], path)
+    model.where = {(t, p): at for t, p, at in small["parts"]}
+    model.kept = set(model.where.values())
     return model

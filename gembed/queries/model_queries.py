@@ -9,8 +9,8 @@ from pyspark.sql import functions as F
 from ..baselines import coarsen, walks
 from ..functions import vectors as V
 from ..functions.hashing import h32, sql_h32
-from ..operators import costs, downstream, evaluate, experiments, features, partition, relops, train_sql
-from ..operators.spec import PRESETS
+from ..operators import costs, downstream, evaluate, experiments, features, losses, partition, relops, schedule, train_block, train_sql  # noqa: F401
+from ..operators.spec import PRESETS, EntityType, preset
 from ..sources import graphs
 from ..sources.tables import table
 from .base import DOC_WORD, USER_EVENT, query, sql_dot, sql_vec, word_next_ctes
@@ -282,6 +282,55 @@ def metrics_rollup(spark, sf):
     return evaluate.metrics(r, ("grp", "side")).select("grp", "side", "n", F.round("mrr", 9).alias("mrr"))
 
 
+# -- the evaluator itself on given vectors: every vector's five nearest are the edges, all nodes the candidates
+
+
+def _given(spark, sf, **changes):
+    e = graphs.knn(spark, sf)
+    vec = table(spark, sf, "embeddings").select(F.lit(0).alias("etype"), F.col("vec_id").cast("string").alias("key"), F.col("embedding").alias("vec"))
+    dim = len(table(spark, sf, "embeddings").select("embedding").first()[0])
+    spec = preset("identity", [EntityType("node")], [("near", "node", "node")], dim=dim, **changes)
+    return e, train_block.from_vectors(e, spec, vec, 3)
+
+
+def _given_sql(side: str, filtered: bool) -> str:
+    kept = "src" if side == "dst" else "dst"
+    gone = "AND NOT EXISTS (SELECT 1 FROM e f WHERE f.src = t.src AND f.dst = c.key)" if side == "dst" else "AND NOT EXISTS (SELECT 1 FROM e f WHERE f.dst = t.dst AND f.src = c.key)"
+    return f"""SELECT '{side}' AS side, t.src, t.dst, count(*) FILTER (WHERE p.s > t.s AND abs(p.s - t.s) > 1e-6 * greatest(1, abs(t.s)))::BIGINT AS better, count(*) FILTER (WHERE abs(p.s - t.s) <= 1e-6 * greatest(1, abs(t.s)))::BIGINT AS ties
+    FROM t CROSS JOIN (SELECT DISTINCT {side} AS key FROM e) c JOIN every p ON p.a = t.{kept} AND p.b = c.key WHERE c.key <> t.{side} {gone if filtered else ''} GROUP BY ALL"""
+
+
+def _given_ctes() -> str:
+    return f"""WITH {KNN}, e AS (SELECT q::VARCHAR AS src, id::VARCHAR AS dst FROM best WHERE place <= 5),
+    every AS (SELECT a.vec_id::VARCHAR AS a, b.vec_id::VARCHAR AS b, list_inner_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) AS s FROM embeddings a, embeddings b),
+    t AS (SELECT e.src, e.dst, p.s FROM e JOIN every p ON p.a = e.src AND p.b = e.dst)"""
+
+
+def _given_ranks(spark, sf, **kind):
+    e, model = _given(spark, sf)
+    return evaluate.rank_edges(model, e, e, mode="all", exact=True, **kind).select("side", "src", "dst", "better", "ties")
+
+
+query("rank_edges_raw", f"{_given_ctes()} {_given_sql('dst', False)} UNION ALL {_given_sql('src', False)}")(lambda spark, sf: _given_ranks(spark, sf))
+query("rank_edges_filtered", f"{_given_ctes()} {_given_sql('dst', True)} UNION ALL {_given_sql('src', True)}")(lambda spark, sf: _given_ranks(spark, sf, filtered=True))
+query("rank_all_blocks", f"{_given_ctes()} {_given_sql('dst', False)} UNION ALL {_given_sql('src', False)}")(lambda spark, sf: _given_ranks(spark, sf, pool_bytes=0))
+
+
+@query(
+    "score_given_edges",
+    f"""WITH {KNN}, v AS (SELECT vec_id AS id, embedding::DOUBLE[] AS x FROM embeddings), y AS (SELECT id, list_transform(x, lambda z, i: z + i::DOUBLE / 128) AS y FROM v)
+    SELECT q::VARCHAR AS src, b.id::VARCHAR AS dst, round({sql_dot('v.x', 'y.y')} / sqrt({sql_dot('v.x', 'v.x')}) / sqrt({sql_dot('y.y', 'y.y')}), 9) AS score FROM best b JOIN v ON v.id = q JOIN y ON y.id = b.id WHERE place <= 5""",
+)
+def score_given_edges(spark, sf):
+    """Edges scored by a model with given vectors, a given translation and the cosine."""
+    e = graphs.knn(spark, sf)
+    vec = table(spark, sf, "embeddings").select(F.lit(0).alias("etype"), F.col("vec_id").cast("string").alias("key"), F.col("embedding").alias("vec"))
+    dim = len(table(spark, sf, "embeddings").select("embedding").first()[0])
+    model = train_block.from_vectors(e, preset("transe", [EntityType("node")], [("near", "node", "node")], dim=dim), vec, 2)
+    model.params[0].theta["both", "rhs"] = (np.arange(1, dim + 1) / 128).astype(np.float32)
+    return evaluate.score_edges(model, e).select("src", "dst", F.round("score", 9).alias("score"))
+
+
 def _split_word(spark, sf):
     e = partition.split_edges(graphs.word_next(spark, sf), dict(TWO))
     return e.where("split = 'train'"), e.where("split = 'test'")
@@ -356,7 +405,10 @@ _PAIRS = "und AS (SELECT least(src, dst) AS a, greatest(src, dst) AS b, sum(weig
 _MATCH = f"""best AS (SELECT key, other FROM (SELECT key, other, row_number() OVER (PARTITION BY key ORDER BY weight DESC, {sql_h32("'0'", "'match'", 'least(key, other)', 'greatest(key, other)')} DESC, other DESC) AS n FROM sym) WHERE n = 1)"""
 
 
-@query("coarsen_level", f"WITH {word_next_ctes()}, {_PAIRS}, {_MATCH} SELECT x.key, CASE WHEN y.key IS NULL THEN x.key ELSE least(x.key, x.other) END AS super FROM best x LEFT JOIN best y ON y.key = x.other AND y.other = x.key")
+_BEST = f"""best AS MATERIALIZED (SELECT key, arg_max(other, (weight, h, other)) AS other FROM (SELECT *, {sql_h32("'0'", "'match'", 'least(key, other)', 'greatest(key, other)')} AS h FROM sym) GROUP BY key)"""
+
+
+@query("coarsen_level", f"WITH {word_next_ctes().replace('edges AS (', 'edges AS MATERIALIZED (')}, {_PAIRS.replace('und AS (', 'und AS MATERIALIZED (')}, {_BEST} SELECT x.key, CASE WHEN y.key IS NULL THEN x.key ELSE least(x.key, x.other) END AS super FROM best x LEFT JOIN best y ON y.key = x.other AND y.other = x.key")
 def coarsen_level(spark, sf):
     return coarsen.matching(coarsen.undirected(graphs.word_next(spark, sf)), 0)
 
