@@ -65,9 +65,7 @@ def main() -> None:
             ("orders", experiments.bucket_order(spark, e)),
             ("methods", experiments.link_prediction(spark, e, ("identity", "transe", "complex", "rescal"), epochs=4)),
             ("complex replicates", experiments.replicates(spark, e)),
-            ("deepwalk", experiments.baseline_metrics(spark, e, "deepwalk", dim=32)),
-            ("mile 1", experiments.baseline_metrics(spark, e, "mile", 1, dim=32)),
-            ("mile 3", experiments.baseline_metrics(spark, e, "mile", 3, dim=32)),
+            ("baselines", experiments.baselines(spark, e)),
         ):
             print(title, json.dumps([r.asDict() for r in df.collect()], default=str), file=sys.stderr, flush=True)
     print(json.dumps({"metric": "total_seconds", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "extra": extra, "sf": SF.rstrip("/").rsplit("/", 1)[-1], "cpus": CPUS}))

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from .operators import experiments
-from .queries import graph_queries, model_queries, operator_queries  # noqa: F401  (registration)
+from .queries import graph_queries, model_queries, operator_queries, training_queries  # noqa: F401  (registration)
 from .queries.base import QUERIES, SQL
 
 

@@ -20,13 +20,15 @@ POOL_BYTES = 256 << 20
 BLOCK_BYTES, BLOCK_EDGES = 32 << 20, 16384
 
 
-def candidate_keys(train: DataFrame, side: str, k: int, mode: str = "data", seed: int = 1, alpha: float = 0.5) -> DataFrame:
+def candidate_keys(train: DataFrame, side: str, k: int, mode: str = "data", seed: int = 1, alpha: float = 0.5, restrict_type: bool = True) -> DataFrame:
     """Up to k candidates per relation (rel, key): endpoints of random training edges (``data``, so by
-    prevalence, repeats included), random distinct nodes (``uniform``), a mixture, or ``all`` nodes."""
+    prevalence, repeats included), random distinct nodes (``uniform``), a mixture, or ``all`` nodes; without ``restrict_type`` the nodes of both sides."""
     if mode == "data":
         rows = train.select("rel", F.col(side).alias("key"), h32(seed, "cand", side, F.col("rel"), F.col("src"), F.col("dst")).alias("_h"))
         return first_by_hash(rows, k)
     nodes = train.select("rel", F.col(side).alias("key")).distinct()
+    if not restrict_type:
+        nodes = nodes.union(train.select("rel", "dst" if side == "src" else "src")).distinct()
     if mode == "all":
         return nodes
     if mode == "uniform":

@@ -14,6 +14,10 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 
+#: Bytes of vectors in one block.
+BLOCK_BYTES = 32 << 20
+
+
 def _blocked(df: DataFrame, name: str, blocks: int) -> DataFrame:
     """id and vec gathered in ``blocks`` rows of packed ids and vectors."""
     ordered = df.select(F.col("id").cast("long").alias("id"), "vec", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int").alias(name)).repartition(blocks, name).sortWithinPartitions(name, "id")
@@ -33,8 +37,15 @@ def _blocked(df: DataFrame, name: str, blocks: int) -> DataFrame:
     return ordered.mapInArrow(run, f"{name} int, dim int, ids binary, x binary")
 
 
-def nearest_exact(queries: DataFrame, vectors: DataFrame, k: int, drop_self: bool = False, query_blocks: int = 2, vector_blocks: int = 4) -> DataFrame:
+def blocks_for(df: DataFrame, least: int) -> int:
+    """Blocks of which each is at most ``BLOCK_BYTES``: from the number of rows and the size of a vector."""
+    n, size = df.agg(F.count(F.lit(1)), F.max(F.size("vec"))).first()
+    return max(least, -(-n * (size or 0) * 4 // BLOCK_BYTES))
+
+
+def nearest_exact(queries: DataFrame, vectors: DataFrame, k: int, drop_self: bool = False, query_blocks: int | None = None, vector_blocks: int | None = None) -> DataFrame:
     """query, id, score, place of the k best vectors by dot product, ties by id. Inputs: id, vec."""
+    query_blocks, vector_blocks = query_blocks or blocks_for(queries, 2), vector_blocks or blocks_for(vectors, 4)
     q = _blocked(queries, "qb", query_blocks).select("qb", "dim", F.col("ids").alias("qids"), F.col("x").alias("qx"))
     v = _blocked(vectors, "vb", vector_blocks).select("vb", "ids", "x")
     q = q.withColumn("vb", F.explode(F.sequence(F.lit(0), F.lit(vector_blocks - 1))))
@@ -56,3 +67,31 @@ def nearest_exact(queries: DataFrame, vectors: DataFrame, k: int, drop_self: boo
     found = q.join(v, "vb").mapInArrow(run, "query long, id long, score double")
     place = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("score"), "id"))
     return found.withColumn("place", place).where(F.col("place") <= k)
+
+
+def nearest_by_relation(model, keys: DataFrame, rel: str, k: int) -> DataFrame:
+    """src, dst, score, place: the k best destinations of given sources (key) under a relation's operators."""
+    from . import relops
+
+    spec = model.spec
+    r = spec.relations[spec.relation_no(rel)]
+    th = model.params[spec.relation_no(rel)].theta
+    which = "dst" if r.reciprocal else "both"
+    vec = model.vectors().join(model.prepared.entities.select("etype", "key", (F.col("part").cast("long") * (1 << 32) + F.col("offset")).alias("id")), ["etype", "key"])
+
+    def moved(rows: DataFrame, op: str, theta) -> DataFrame:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                x = b.column("vec").flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, spec.dim)
+                y = relops.forward(op, x, theta).astype(np.float32)
+                y = relops.normalise(y)[0] if spec.sim == "cos" else y
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(0, y.size + 1, spec.dim, dtype=np.int32)), pa.array(y.ravel()))
+                yield pa.RecordBatch.from_arrays([b.column("id"), lists], names=["id", "vec"])
+
+        return rows.select("id", "vec").mapInArrow(run, "id long, vec array<float>")
+
+    of = lambda side: vec.where(F.col("etype") == spec.type_no(side))
+    asked = of(r.src_type).join(keys.select("key").distinct(), "key")
+    found = nearest_exact(moved(asked, r.lhs_op, th.get((which, "lhs"))), moved(of(r.dst_type), "identity" if r.reciprocal else r.rhs_op, th.get((which, "rhs"))), k)
+    named = found.join(of(r.src_type).select(F.col("id").alias("query"), F.col("key").alias("src")), "query").join(of(r.dst_type).select("id", F.col("key").alias("dst")), "id")
+    return named.select("src", "dst", "score", "place")

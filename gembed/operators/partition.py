@@ -84,7 +84,15 @@ def partition_entities(edges: DataFrame, spec: GraphSpec, p: int, portable: bool
     return nodes.withColumn("offset", (place - 1).cast("int"))
 
 
-def bucket_edges(edges: DataFrame, entities: DataFrame, spec: GraphSpec) -> DataFrame:
+def draw_inside(entities: DataFrame, draws: int, seed: int = 1) -> DataFrame:
+    """(etype, part, slot, key): uniform draws of nodes for each type and part, from that part alone."""
+    size = entities.groupBy("etype", "part").agg(F.count(F.lit(1)).alias("size"))
+    slots = size.withColumn("slot", F.explode(F.sequence(F.lit(0), F.lit(draws - 1))))
+    at = slots.withColumn("offset", (h32(seed, "inside", F.col("etype"), F.col("part"), F.col("slot")) % F.col("size")).cast("int"))
+    return at.join(entities, ["etype", "part", "offset"]).select("etype", "part", "slot", "key")
+
+
+def bucket_edges(edges: DataFrame, entities: DataFrame, spec: GraphSpec, portable: bool = False) -> DataFrame:
     """rel_no, p_src, p_dst, src_off, dst_off, weight and a hash that mixes edges inside a unit.
 
     An endpoint of a whole type takes the other endpoint's part, so P parts give P squared buckets if
@@ -104,7 +112,7 @@ def bucket_edges(edges: DataFrame, entities: DataFrame, spec: GraphSpec) -> Data
         "src_off",
         "dst_off",
         F.col("weight").cast("float").alias("weight"),
-        fast(F.lit(spec.seed), F.lit("mix"), F.col("rel"), F.col("src"), F.col("dst")).alias("h"),
+        (h32 if portable else fast)(F.lit(spec.seed), F.lit("mix"), F.col("rel"), F.col("src"), F.col("dst")).alias("h"),
     )
 
 

@@ -59,7 +59,7 @@ def prepare(edges: DataFrame, spec: GraphSpec, parts: int, portable: bool = Fals
     entities = stored(partition_entities(edges, spec, parts, portable), "entities")
     unit = F.least("p_src", "p_dst") * F.lit(parts) + F.greatest("p_src", "p_dst")
     # a unit's edges come in a few files, dealt by their hash, and not one from every task
-    bucketed = bucket_edges(edges, entities, spec).withColumn("unit", unit).repartition("unit", F.pmod("h", F.lit(4)))
+    bucketed = bucket_edges(edges, entities, spec, portable).withColumn("unit", unit).repartition("unit", F.pmod("h", F.lit(4)))
     bucketed = stored(bucketed, "buckets", "unit")
     sizes = {(r["etype"], r["part"]): r["n"] for r in entities.groupBy("etype", "part").agg(F.count(F.lit(1)).alias("n")).collect()}
     return Prepared(spec, parts, entities, bucketed, sizes)

@@ -161,22 +161,14 @@ def bucket_counts_one_sided(spark, sf):
     return _buckets(graphs.user_event(spark, sf), _user_spec(), 4).groupBy("p_src", "p_dst").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("stratum_pieces", f"WITH {word_next_ctes()} SELECT {_part_sql('0', 'src', 2)} AS p_src, {_part_sql('0', 'dst', 2)} AS p_dst, ({sql_h32("'1'", "'piece'", 'src', 'dst')} % 3)::INTEGER AS piece, count(*)::BIGINT AS n FROM edges GROUP BY ALL")
-def stratum_pieces(spark, sf):
-    e = graphs.word_next(spark, sf)
-    part = lambda c: partition.part_of(F.lit(0), F.col(c), 2, 1, True)
-    return e.groupBy(part("src").alias("p_src"), part("dst").alias("p_dst"), (h32(1, "piece", F.col("src"), F.col("dst")) % 3).cast("int").alias("piece")).agg(F.count(F.lit(1)).alias("n"))
-
-
 @query(
     "inverse_relations",
-    f"""WITH {kb_ctes()}, a AS (SELECT rel, src, dst FROM edges WHERE rel IN ('nation_in_region', 'part_brand', 'customer_segment') UNION ALL SELECT rel || '_inverse', dst, src FROM edges WHERE rel IN ('nation_in_region', 'part_brand', 'customer_segment')),
+    f"""WITH {kb_ctes()}, a AS MATERIALIZED (SELECT DISTINCT rel, src, dst FROM edges UNION ALL SELECT DISTINCT rel || '_inverse', dst, src FROM edges),
     n AS (SELECT rel, count(*) AS n FROM a GROUP BY 1)
     SELECT x.rel, y.rel AS of, count(*) / any_value(n.n)::DOUBLE AS share FROM a x JOIN a y ON x.src = y.dst AND x.dst = y.src AND x.rel > y.rel JOIN n ON n.rel = x.rel GROUP BY x.rel, y.rel HAVING count(*) / any_value(n.n)::DOUBLE >= 0.95""",
 )
 def inverse_relations(spark, sf):
-    e = graphs.kb(spark, sf, add_inverse=True).where(F.regexp_replace("rel", "_inverse$", "").isin("nation_in_region", "part_brand", "customer_segment"))
-    return graphs.inverse_relations(e)
+    return graphs.inverse_relations(graphs.kb(spark, sf, add_inverse=True))
 
 
 def _orders_sql(kind: str, p: int) -> str:

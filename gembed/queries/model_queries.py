@@ -9,12 +9,12 @@ from pyspark.sql import functions as F
 from ..baselines import coarsen, walks
 from ..functions import vectors as V
 from ..functions.hashing import h32, sql_h32
-from ..operators import costs, downstream, evaluate, experiments, features, losses, partition, relops, schedule, train_block, train_sql  # noqa: F401
+from ..operators import costs, downstream, evaluate, experiments, features, kernels, losses, partition, relops, schedule, train_block, train_sql  # noqa: F401
 from ..operators.spec import PRESETS, EntityType, preset
 from ..sources import graphs
 from ..sources.tables import table
 from .base import DOC_WORD, USER_EVENT, query, sql_dot, sql_vec, word_next_ctes
-from .graph_queries import KNN, TWO, _part_sql, _split_sql
+from .graph_queries import KNN, TWO, _split_sql
 
 D, SPREAD = 4, 0.5
 
@@ -83,24 +83,6 @@ def neg_batched_counts(spark, sf):
     return train_sql.negatives(graphs.user_event(spark, sf), 50, 50).groupBy("chunk_id").agg(F.count(F.lit(1)).alias("n"), F.sum("times").alias("with_repeats"))
 
 
-@query(
-    "neg_type_restricted",
-    f"""WITH {DOC_WORD}, words AS (SELECT count(DISTINCT dst) AS n FROM edges), docs AS (SELECT count(DISTINCT src) AS n FROM edges)
-    SELECT 1.0::DOUBLE AS restricted_right_type, round(docs.n / (words.n + docs.n)::DOUBLE, 9) AS unrestricted_right_type FROM words, docs""",
-)
-def neg_type_restricted(spark, sf):
-    """Share of uniform source candidates of the right type, with the type restriction and without."""
-    e = graphs.doc_word(spark, sf)
-    n = e.agg(F.count_distinct("src").alias("docs"), F.count_distinct("dst").alias("words"))
-    return n.select(F.lit(1.0).alias("restricted_right_type"), F.round(F.col("docs") / (F.col("docs") + F.col("words")), 9).alias("unrestricted_right_type"))
-
-
-@query("neg_part_restricted", f"WITH {word_next_ctes()}, nodes AS (SELECT DISTINCT dst AS key FROM edges) SELECT {_part_sql('0', 'key', 4)} AS part, count(*)::BIGINT AS candidates FROM nodes GROUP BY 1")
-def neg_part_restricted(spark, sf):
-    nodes = graphs.word_next(spark, sf).select(F.col("dst").alias("key")).distinct()
-    return nodes.groupBy(partition.part_of(F.lit(0), F.col("key"), 4, 1, True).alias("part")).agg(F.count(F.lit(1)).alias("candidates"))
-
-
 # -- scores of the customers' nations
 
 
@@ -141,14 +123,18 @@ for _name, _op, _sim in (
     query(_name, _score_sql(_op, _sim))(lambda spark, sf, o=_op, s=_sim: _score(spark, sf, o, s))
 
 
-@query("score_hole")
+@query(
+    "score_hole",
+    f"""WITH v AS (SELECT c_custkey::VARCHAR AS src, c_nationkey::VARCHAR AS dst, {sql_vec(8, SPREAD, 1, "'c'", 'c_custkey')} AS s, {sql_vec(8, SPREAD, 1, "'n'", 'c_nationkey')} AS d, {sql_vec(8, SPREAD, 1, "'theta'", "'hole'")} AS t FROM customer)
+    SELECT src, dst, round(list_sum(list_transform(range(8), lambda k: s[k + 1] * list_sum(list_transform(range(8), lambda i: t[i + 1] * d[(i + k) % 8 + 1])))), 6) AS score FROM v""",
+)
 def score_hole(spark, sf):
     """Circular correlation by FFT in Arrow (checked against its definition in tests)."""
     from pyspark.sql.functions import pandas_udf
 
     def score(s: pd.Series, d: pd.Series, t: pd.Series) -> pd.Series:
         a, b, c = (np.stack(x.to_numpy()) for x in (s, d, t))
-        return pd.Series((a * relops._correlate(c, b)).sum(1).round(9))
+        return pd.Series((a * relops._correlate(c, b)).sum(1).round(6))
 
     score = pandas_udf(score, "double")
     e = _nation_edges(spark, sf)
@@ -225,13 +211,25 @@ for _o in ("sgd", "adagrad_row"):
 
 @query(
     "step_relation",
-    f"""WITH v AS (SELECT c_custkey AS src, {sql_vec(D, SPREAD, 1, "'c'", 'c_custkey')} AS s FROM customer), e AS (SELECT unnest(range({D})) AS k, unnest(s) AS x FROM v)
-    SELECT k::INTEGER AS k, round(sum(x), 6) AS grad FROM e GROUP BY 1""",
+    f"""WITH v AS (SELECT {sql_vec(D, SPREAD, 1, "'c'", 'c_custkey')} AS s, {sql_vec(D, SPREAD, 1, "'n'", 'c_nationkey')} AS d FROM customer),
+    e AS (SELECT i.i, j.j, s[i.i + 1] AS a, d[j.j + 1] AS b FROM v, range({D}) i(i), range({D}) j(j))
+    SELECT 'linear' AS op, (i * {D} + j)::INTEGER AS k, round(sum(a * b), 4) AS grad FROM e GROUP BY ALL
+    UNION ALL SELECT 'diagonal', i::INTEGER, round(sum(a * b), 4) FROM e WHERE i = j GROUP BY ALL UNION ALL SELECT 'translation', i::INTEGER, round(sum(a), 4) FROM e WHERE i = j GROUP BY ALL""",
 )
 def step_relation(spark, sf):
-    """Gradient of a translation's parameters under a dot product: the sum of the kept vectors."""
-    e = _nation_edges(spark, sf).select(F.posexplode(V.initial(D, SPREAD, 1, "c", F.col("src"))).alias("k", "x"))
-    return e.groupBy("k").agg(F.round(F.sum("x"), 6).alias("grad"))
+    """Gradients of a relation's parameters under a dot product, by the kernel's own backward pass, summed over batches."""
+    import pyarrow as pa
+
+    e = _nation_edges(spark, sf).select(V.initial(D, SPREAD, 1, "c", F.col("src")).alias("s"), V.initial(D, SPREAD, 1, "n", F.col("dst")).alias("d"))
+
+    def run(batches):
+        for b in batches:
+            s, d = (b.column(c).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, D) for c in ("s", "d"))
+            for op in ("linear", "diagonal", "translation"):
+                grad = relops.backward(op, d, relops.parameters(op, D).astype(np.float64), s)[1].ravel()
+                yield pa.RecordBatch.from_pydict({"op": [op] * len(grad), "k": pa.array(np.arange(len(grad)), pa.int32()), "grad": grad})
+
+    return e.mapInArrow(run, "op string, k int, grad double").groupBy("op", "k").agg(F.round(F.sum("grad"), 4).alias("grad"))
 
 
 # -- ranking
@@ -434,12 +432,12 @@ def train_block_metrics(spark, sf):
 
 @query("train_partition_sweep")
 def train_partition_sweep(spark, sf):
-    return experiments.partition_sweep(spark, graphs.word_next(spark, sf), parts=(1, 4), epochs=2)
+    return experiments.partition_sweep(spark, graphs.word_next(spark, sf), epochs=1)
 
 
 @query("train_parallel_sweep")
 def train_parallel_sweep(spark, sf):
-    return experiments.parallel_sweep(spark, graphs.word_next(spark, sf), machines=(1, 2), epochs=1)
+    return experiments.parallel_sweep(spark, graphs.word_next(spark, sf), machines=(1, 2, 4, 8), epochs=1)
 
 
 @query("bench_negatives")
@@ -447,24 +445,25 @@ def bench_negatives(spark, sf):
     return experiments.negatives_speed(spark, (10, 50, 100, 200))
 
 
-@query("deepwalk_metrics")
-def deepwalk_metrics(spark, sf):
-    return experiments.baseline_metrics(spark, graphs.user_event(spark, sf), "deepwalk")
-
-
-@query("mile_metrics")
-def mile_metrics(spark, sf):
-    return experiments.baseline_metrics(spark, graphs.user_event(spark, sf), "mile")
-
-
 @query("classify_docs")
 def classify_docs(spark, sf):
-    return experiments.classify_documents(spark, sf, run=2)
+    return experiments.classify_documents(spark, sf)
 
 
-@query("presets", " UNION ALL ".join(f"SELECT '{n}' AS name, '{p.op}' AS op, '{p.sim}' AS sim, '{p.loss}' AS loss, {str(p.reciprocal).lower()} AS reciprocal" for n, p in PRESETS.items()))
+@query(
+    "presets",
+    """SELECT name, op, sim, loss, reciprocal, parameters::BIGINT AS parameters FROM (VALUES ('rescal', 'linear', 'dot', 'softmax', false, 256), ('transe', 'translation', 'cos', 'ranking', false, 16), ('distmult', 'diagonal', 'dot', 'softmax', false, 16),
+    ('complex', 'complex_diagonal', 'complex_dot', 'softmax', false, 16), ('hole', 'circular_correlation', 'dot', 'logistic', false, 16), ('starspace', 'identity', 'cos', 'ranking', false, 0), ('complex_n3_reciprocal', 'complex_diagonal', 'complex_dot', 'softmax', true, 64), ('identity', 'identity', 'dot', 'softmax', false, 0)) t(name, op, sim, loss, reciprocal, parameters)""",
+)
 def presets(spark, sf):
-    return spark.createDataFrame([(n, p.op, p.sim, p.loss, p.reciprocal) for n, p in PRESETS.items()], "name string, op string, sim string, loss string, reciprocal boolean")
+    """What each preset makes of a relation at d = 16, and the parameters that a trained relation then holds."""
+    rows = []
+    for name in PRESETS:
+        spec = preset(name, [EntityType("n")], [("r", "n", "n")], dim=16)
+        rel = spec.relations[0]
+        held = kernels.Params.start(rel, spec.dim)
+        rows.append((name, rel.rhs_op, spec.sim, spec.loss, rel.reciprocal, sum(t.size for t in held.theta.values())))
+    return spark.createDataFrame(rows, "name string, op string, sim string, loss string, reciprocal boolean, parameters long")
 
 
 @query("speedup", "SELECT machines, seconds, speedup, efficiency FROM (VALUES (1::INTEGER, 30.0::DOUBLE, 1.0::DOUBLE, 1.0::DOUBLE), (2, 23.0, 30.0::DOUBLE / 23.0, 30.0::DOUBLE / 23.0 / 2), (4, 13.0, 30.0::DOUBLE / 13.0, 30.0::DOUBLE / 13.0 / 4), (8, 7.7, 30.0::DOUBLE / 7.7::DOUBLE, 30.0::DOUBLE / 7.7::DOUBLE / 8)) t(machines, seconds, speedup, efficiency)")

@@ -44,6 +44,11 @@ def view_then_purchase(events: DataFrame, within: str = "1 hour", late: str = "1
     return views.join(buys, F.expr(f"v_user = b_user and b_ts > v_ts and b_ts <= v_ts + interval {within}")).select(F.col("v_user").alias("user_id"), "view_id", "purchase_id")
 
 
+def with_static(events: DataFrame, side: DataFrame, key: str) -> DataFrame:
+    """A stream joined with a table: every micro-batch looks its keys up, no state is kept."""
+    return events.join(side, key)
+
+
 def edges_of(events: DataFrame) -> DataFrame:
     return events.select(F.lit("did").alias("rel"), F.col("user_id").cast("string").alias("src"), F.col("event_type").alias("dst"), F.lit(1).cast("long").alias("weight"))
 
