@@ -44,7 +44,7 @@ def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [("quality_rules", quality_rules), ("exact_dedup", exact_dedup), ("near_dedup", near_dedup), ("mix_sources", mix_sources), ("encode", encode)]
 
-#: The stages count repeated windows, follow links and fit rates; SQL has no equivalent. tests/llm tests the operators, not run() by brute force.
+#: The stages count repeated windows, follow links and fit rates; SQL has no equivalent. tests/llm tests run() against plain Python.
 ORACLE_SQL = None
 
 
