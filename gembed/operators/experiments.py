@@ -72,6 +72,24 @@ def baselines(spark: SparkSession, edges: DataFrame, epochs: int = 2, dim: int =
     return spark.createDataFrame(out, "method string, seconds double, n long, mrr double, mr double, hits10 double")
 
 
+def featurised(spark: SparkSession, sf: str, epochs: int = 2, dim: int = 16) -> DataFrame:
+    """Orders and the parts in them, parts as bags of brand, type and size: measures beside those of plain part vectors."""
+    from .features import part_bags
+
+    edges = graphs.kb(spark, sf).where("rel = 'order_has_part'").select("rel", "src", "dst", "weight")
+    bags = part_bags(table(spark, sf, "part")).select(F.concat(F.lit("part:"), F.col("key").cast("string")).alias("key"), "feature")
+    _, train, test = _halves(edges)
+    out = []
+    for name, kind in (("bags", EntityType("part", featurised=True)), ("plain", EntityType("part"))):
+        spec = preset("starspace", [EntityType("order"), kind], [("order_has_part", "order", "part")], dim=dim, negatives="batched")
+        with Timer() as t:
+            model = fit(prepare(train, spec, 2, bags={"part": bags} if kind.featurised else None), epochs=epochs)
+        m = evaluate.evaluate(model, test, train, k=200, sides=("dst",))
+        vectors = len(model.prepared.bags[1][0]) if kind.featurised else sum(n for (e, _), n in model.prepared.sizes.items() if e == 1)
+        out.append((name, vectors, float(t.seconds), *[float(m[x]) for x in ("mrr", "mr", "hits10")]))
+    return spark.createDataFrame(out, "parts string, trained_vectors long, seconds double, mrr double, mr double, hits10 double")
+
+
 def learning_curve(spark: SparkSession, edges: DataFrame, epochs: int = 5, parts: int = 2, machines: int = 1) -> DataFrame:
     _, train, test = _halves(edges)
     model = fit(prepare(train, one_type_spec(train), parts), epochs=epochs, machines=machines, after_epoch=lambda m: {"mrr": evaluate.evaluate(m, test, train)["mrr"]})

@@ -27,6 +27,45 @@ class Matrix:
     acc: np.ndarray
 
 
+@dataclass
+class Bags:
+    """Nodes that are bags of features: node i has the features ids[ptr[i]:ptr[i + 1]], its vector is their mean."""
+
+    features: Matrix
+    ptr: np.ndarray
+    ids: np.ndarray
+
+    @property
+    def x(self) -> np.ndarray:
+        return _Means(self)
+
+    def spread(self, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """For each node one entry per feature: place of the node in ``nodes``, the feature, and one over the bag's size."""
+        size = self.ptr[nodes + 1] - self.ptr[nodes]
+        at = np.repeat(np.arange(len(nodes)), size)
+        first = np.repeat(self.ptr[nodes] - np.concatenate([[0], np.cumsum(size)[:-1]]), size) if len(nodes) else size
+        return at, self.ids[first + np.arange(len(at))], (1 / np.maximum(size, 1)).astype(np.float32)[at]
+
+
+class _Means:
+    """Reads a ``Bags`` like a matrix of vectors; a node without features has the zero vector."""
+
+    def __init__(self, bags: Bags):
+        self.bags, self.shape = bags, (len(bags.ptr) - 1, bags.features.x.shape[1])
+
+    def __len__(self) -> int:
+        return self.shape[0]
+
+    def __getitem__(self, nodes: np.ndarray) -> np.ndarray:
+        flat = np.asarray(nodes).ravel()
+        at, features, share = self.bags.spread(flat)
+        out = np.zeros((len(flat), self.shape[1]), self.bags.features.x.dtype)
+        if len(at):
+            first = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]]))
+            out[at[first]] = np.add.reduceat(self.bags.features.x[features] * share[:, None], first, axis=0)
+        return out.reshape(*np.shape(nodes), self.shape[1])
+
+
 @dataclass
 class Params:
     """A relation's parameters by (side, what): side is ``both``, ``src`` or ``dst``; what is lhs or rhs."""
@@ -71,7 +110,12 @@ def negatives_per_chunk(chunk: int, uniform: int, sides: int = 2) -> int:
 
 
 def _apply(m: Matrix, ids: np.ndarray, grads: np.ndarray, lr: float, optimizer: str) -> None:
-    """One update; rows that occur more than once in a batch are summed first."""
+    """One update; rows that occur more than once in a batch are summed first. A bag passes it on to its features."""
+    if isinstance(m, Bags):
+        at, features, share = m.spread(ids)
+        if len(at):
+            _apply(m.features, features, grads[at] * share[:, None], lr, optimizer)
+        return
     order = np.argsort(ids, kind="stable")
     sorted_ids = ids[order]
     first = np.flatnonzero(np.concatenate([[True], sorted_ids[1:] != sorted_ids[:-1]]))

@@ -12,10 +12,19 @@ LOSSES = ("ranking", "logistic", "softmax")
 
 @dataclass(frozen=True)
 class EntityType:
-    """partitioned: split in P parts; otherwise whole, and shared by all tasks."""
+    """partitioned: split in P parts; otherwise whole, and shared by all tasks.
+
+    featurised: a node is a bag of features, and the features' vectors are trained in its place; such a
+    type is whole.
+    """
 
     name: str
     partitioned: bool = True
+    featurised: bool = False
+
+    def __post_init__(self):
+        if self.featurised and self.partitioned:
+            object.__setattr__(self, "partitioned", False)
 
 
 @dataclass(frozen=True)

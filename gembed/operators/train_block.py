@@ -50,19 +50,36 @@ class Prepared:
     entities: DataFrame
     edges: DataFrame
     sizes: dict[tuple[int, int], int]
+    #: Of each featurised type: its features in order, and which of them each node has (as ``kernels.Bags``).
+    bags: dict[int, tuple[list, np.ndarray, np.ndarray]] = field(default_factory=dict)
 
     def unit_no(self, unit: Unit) -> int:
         return unit[0] * self.parts + unit[1]
 
 
-def prepare(edges: DataFrame, spec: GraphSpec, parts: int, portable: bool = False) -> Prepared:
+def _bags_of(entities: DataFrame, etype: int, n: int, bags: DataFrame) -> tuple[list, np.ndarray, np.ndarray]:
+    """The features of a type's nodes, on the driver: shared by all tasks, so of a checked size."""
+    held = stored(entities.where(F.col("etype") == etype).join(bags.select(F.col("key").cast("string"), F.col("feature").cast("string")).distinct(), "key").select("offset", "feature"), "bags")
+    if held.count() > SHARED_LIMIT:
+        raise ValueError("too many features of shared nodes")
+    rows = held.orderBy("offset", "feature").collect()
+    names = sorted({r["feature"] for r in rows})
+    place = {f: i for i, f in enumerate(names)}
+    ptr = np.zeros(n + 1, np.int64)
+    np.add.at(ptr, np.array([r["offset"] for r in rows], np.int64) + 1, 1)
+    return names, np.cumsum(ptr), np.array([place[r["feature"]] for r in rows], np.int64)
+
+
+def prepare(edges: DataFrame, spec: GraphSpec, parts: int, portable: bool = False, bags: dict[str, DataFrame] | None = None) -> Prepared:
+    """``bags`` has, for each featurised type, its nodes' features (key, feature)."""
     entities = stored(partition_entities(edges, spec, parts, portable), "entities")
     unit = F.least("p_src", "p_dst") * F.lit(parts) + F.greatest("p_src", "p_dst")
     # a unit's edges come in a few files, dealt by their hash, and not one from every task
     bucketed = bucket_edges(edges, entities, spec, portable).withColumn("unit", unit).repartition("unit", F.pmod("h", F.lit(4)))
     bucketed = stored(bucketed, "buckets", "unit")
     sizes = {(r["etype"], r["part"]): r["n"] for r in entities.groupBy("etype", "part").agg(F.count(F.lit(1)).alias("n")).collect()}
-    return Prepared(spec, parts, entities, bucketed, sizes)
+    held = {i: _bags_of(entities, i, sizes.get((i, 0), 0), (bags or {})[t.name]) for i, t in enumerate(spec.types) if t.featurised}
+    return Prepared(spec, parts, entities, bucketed, sizes, held)
 
 
 def _file_system(uri: str):
@@ -106,6 +123,12 @@ class Model:
     def spec(self) -> GraphSpec:
         return self.prepared.spec
 
+    def feature_vectors(self, name: str) -> DataFrame:
+        """feature, vec of a featurised type."""
+        t = self.spec.type_no(name)
+        rows = [(f, self.shared[t].x[i].tolist()) for i, f in enumerate(self.prepared.bags[t][0])]
+        return self.prepared.entities.sparkSession.createDataFrame(rows, "feature string, vec array<float>")
+
     def vectors(self) -> DataFrame:
         """etype, key, vec of every node."""
         spark, spec, sizes = self.prepared.entities.sparkSession, self.spec, self.prepared.sizes
@@ -125,7 +148,9 @@ class Model:
                             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(y), row["etype"], np.int32)), pa.array(np.full(len(y), row["part"], np.int32)), pa.array(np.arange(lo, lo + len(y), dtype=np.int32)), lists], names=["etype", "part", "offset", "vec"])
 
             flat = files.repartition(len(self.where), "etype", "part").mapInArrow(unpack, "etype int, part int, offset int, vec array<float>")
-        whole = [(t, 0, i, m.x[i].tolist()) for t, m in self.shared.items() for i in range(len(m.x))]
+        bags = self.prepared.bags
+        views = {t: kernels.Bags(m, *bags[t][1:]).x[np.arange(len(bags[t][1]) - 1)] if t in bags else m.x for t, m in self.shared.items()}
+        whole = [(t, 0, i, x[i].tolist()) for t, x in views.items() for i in range(len(x))]
         if whole or flat is None:
             extra = spark.createDataFrame(whole, "etype int, part int, offset int, vec array<float>")
             flat = extra if flat is None else flat.unionByName(extra)
@@ -164,7 +189,7 @@ class Holder:
             self.written[t, part] = store_part(self.folder, t, part, m)
 
 
-def _trainer(spec: GraphSpec, sizes: dict, plan: list[list[Unit]], where: dict, folder: str, params: list[Params], shared: dict[int, Matrix], stamp: tuple):
+def _trainer(spec: GraphSpec, sizes: dict, plan: list[list[Unit]], where: dict, folder: str, params: list[Params], shared: dict[int, Matrix], stamp: tuple, bags: dict | None = None):
     """The function that trains the chains of one partition of the job's rows."""
     arrow = pa.schema([("kind", pa.int32()), ("etype", pa.int32()), ("part", pa.int32()), ("n", pa.int32()), ("path", pa.string()), ("vec", pa.binary()), ("acc", pa.binary()), ("rel", pa.int32()), ("name", pa.string()), ("stats", pa.list_(pa.float64()))])
 
@@ -196,14 +221,19 @@ def _trainer(spec: GraphSpec, sizes: dict, plan: list[list[Unit]], where: dict,
             ps, pd, r = key
             rel = spec.relations[r]
             ts, td = spec.type_no(rel.src_type), spec.type_no(rel.dst_type)
-            src = self.shared.get(ts) or self.parts[ts, ps]
-            dst = self.shared.get(td) or self.parts[td, pd]
+            src, dst = self.nodes(ts, ps), self.nodes(td, pd)
             if n and len(src.x) and len(dst.x):
                 kernels.train_edges(spec, rel, self.params[r], src, dst, s[:n], d[:n], w[:n], self.rng, self.count)
             self.pending[key] = [(s[n:], d[n:], w[n:])]
             if last:
                 del self.pending[key]
 
+        def nodes(self, etype: int, part: int):
+            own = self.shared.get(etype)
+            if own is None:
+                return self.parts[etype, part]
+            return kernels.Bags(own, *bags[etype][1:]) if bags and etype in bags else own
+
         def close(self, rss: float) -> pa.RecordBatch:
             self.go_to(len(plan[self.no]) - 1)
             self.finish()
@@ -272,7 +302,7 @@ def _job(model: Model, plan: list[list[Unit]], stamp: tuple[int, int], sub: tupl
     spark = prep.entities.sparkSession
     folder = scratch(spark, f"parts-{stamp[0]}-{stamp[1]}")
     began = time.time()
-    found = job_rows(prep, plan, sub).mapInArrow(_trainer(spec, prep.sizes, plan, model.where, folder, model.params, model.shared, stamp), _OUT).collect()
+    found = job_rows(prep, plan, sub).mapInArrow(_trainer(spec, prep.sizes, plan, model.where, folder, model.params, model.shared, stamp, prep.bags), _OUT).collect()
     stats = dict.fromkeys(_STATS, 0.0) | {"round_seconds": time.time() - began}
     changes: dict[tuple, list] = {}
     gone = []
@@ -324,7 +354,8 @@ def new_model(prepared: Prepared) -> Model:
     model = Model(prepared, params=[Params.start(r, spec.dim, spec.seed + i) for i, r in enumerate(spec.relations)])
     for i, t in enumerate(spec.types):
         if not t.partitioned:
-            model.shared[i] = kernels.start_matrix(spec, i, 0, prepared.sizes.get((i, 0), 0))
+            n = len(prepared.bags[i][0]) if t.featurised else prepared.sizes.get((i, 0), 0)
+            model.shared[i] = kernels.start_matrix(spec, i, 0, n)
     if sum(m.x.size for m in model.shared.values()) + spec.n_shared() > SHARED_LIMIT:
         raise ValueError("too many shared parameters; partition the large types")
     return model

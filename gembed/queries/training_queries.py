@@ -218,3 +218,8 @@ def replicates_complex(spark, sf):
 @query("large_graph_preparation", f"WITH {kb_ctes()}, nodes AS (SELECT key FROM (SELECT src AS key FROM edges UNION ALL SELECT dst FROM edges) GROUP BY 1 HAVING count(*) >= 5), rels AS (SELECT rel FROM edges GROUP BY 1 HAVING count(*) >= 5), kept AS (SELECT * FROM edges WHERE src IN (SELECT key FROM nodes) AND dst IN (SELECT key FROM nodes) AND rel IN (SELECT rel FROM rels)), s AS (SELECT rel, {sql_h32("'1'", "'split'", 'rel', 'src', 'dst')} / 4294967296.0::DOUBLE AS h FROM kept) SELECT CASE WHEN h < 0.9 THEN 'train' WHEN h < 0.9 + 0.05 THEN 'valid' ELSE 'test' END AS split, count(*)::BIGINT AS edges, count(DISTINCT rel)::BIGINT AS relations FROM s GROUP BY 1")
 def large_graph_preparation(spark, sf):
     return experiments.large_graph_preparation(spark, _graph(spark, sf, "kb"))
+
+
+@query("featurised_parts")
+def featurised_parts(spark, sf):
+    return experiments.featurised(spark, sf)

@@ -194,3 +194,65 @@ def test_ranks_by_blocks_equal_those_of_a_pool(spark, community, monkeypatch):
         monkeypatch.setattr(evaluate, "BLOCK_BYTES", 4 * 8 * 16)
         monkeypatch.setattr(evaluate, "BLOCK_EDGES", 50)
         assert sorted(map(tuple, evaluate.rank_edges(model, test, community, **kind).collect())) == pool
+
+
+def test_one_machine_loads_as_few_parts_as_the_order_allows(spark, community):
+    from gembed.operators.schedule import inside_out, simulate_swaps
+
+    for p in (1, 2, 4):
+        log = train_block.fit(train_block.prepare(community, spec_of(), p), epochs=1).log[0]
+        assert (log["rounds"], log["swaps"]) == (1, simulate_swaps(inside_out(p))["loads"]) and log["edges"] == community.count()
+
+
+def test_a_job_reads_the_folders_of_its_units_only(spark, community):
+    prep = train_block.prepare(community, spec_of(), 4)
+    rows = train_block.job_rows(prep, [[(0, 1)], [(2, 3), (2, 2)]])
+    plan = rows._jdf.queryExecution().executedPlan().toString()
+    assert "unit#" in plan.split("PartitionFilters:")[1].split("]")[0]
+    want = prep.edges.where("unit in (1, 11, 10)").count()
+    assert rows.where("p_src >= 0").count() == want
+
+
+def test_merges_of_changes():
+    dx, da = np.ones(6, np.float32), np.full(6, 4.0, np.float32)
+    parts = [(dx, da), (3 * dx, 0 * da)]
+    assert (train_block.merged(parts, "sum")[0] == 4).all() and (train_block.merged(parts, "mean")[0] == 2).all()
+    x, acc = train_block.merged(parts, "adagrad")
+    assert (x == 1).all() and (acc == 4).all()  # a chain without gradients changes nothing
+    rows = [(np.ones(6, np.float32), np.array([9.0, 0.0, 1.0], np.float32)), (np.ones(6, np.float32), np.array([7.0, 4.0, 0.0], np.float32))]
+    x, acc = train_block.merged(rows, "adagrad")
+    assert np.allclose(x, [0.75 + 7**0.5 / 4, 0.75 + 7**0.5 / 4, 1, 1, 1, 1]) and acc.tolist() == [16, 4, 1]
+    with pytest.raises(ValueError):
+        train_block.merged(parts, "other")
+
+
+def test_shared_parameters_are_taken_over_as_often_as_asked(spark, community):
+    spec = preset("transe", [EntityType("n")], [("r", "n", "n")], dim=8)
+    log = train_block.fit(train_block.prepare(community, spec, 4), epochs=1, sync_every=3, merge="adagrad").log[0]
+    assert log["rounds"] == 4 and log["edges"] == community.count()
+
+
+def test_bags_equal_a_plain_matrix_of_means():
+    rng = np.random.default_rng(3)
+    features = kernels.Matrix(rng.normal(size=(7, 4)).astype(np.float32), np.zeros(7, np.float32))
+    bags = kernels.Bags(features, np.array([0, 2, 2, 5]), np.array([1, 6, 0, 1, 3]))
+    want = np.stack([features.x[[1, 6]].mean(0), np.zeros(4), features.x[[0, 1, 3]].mean(0)])
+    assert np.allclose(bags.x[np.arange(3)], want) and np.allclose(bags.x[np.array([[2, 0], [1, 1]])], want[[[2, 0], [1, 1]]])
+    before = features.x.copy()
+    kernels._apply(bags, np.array([0, 2, 2]), np.ones((3, 4), np.float32), 1.0, "sgd")
+    assert np.allclose(before - features.x, np.array([2 / 3, 0.5 + 2 / 3, 0, 2 / 3, 0, 0, 0.5])[:, None].repeat(4, 1), atol=1e-6)
+
+
+def test_featurised_types_train_their_features(spark):
+    rng = np.random.default_rng(1)
+    rows = sorted({(f"u{u}", f"i{u % 3}_{k}") for u, k in rng.integers(0, 60, (900, 2))})
+    edges = spark.createDataFrame([("r", u, i, 1) for u, i in rows], "rel string, src string, dst string, weight long")
+    bags = spark.createDataFrame([(i, f) for i in {i for _, i in rows} for f in (f"group{i[1]}", f"size{i[3:]}")], "key string, feature string")
+    spec = preset("identity", [EntityType("user"), EntityType("item", featurised=True)], [("r", "user", "item")], dim=8, lr=0.1, chunk=20, uniform=20, batch=100)
+    model = train_block.fit(train_block.prepare(edges, spec, 2, bags={"item": bags}), epochs=6)
+    feature = {r["feature"]: np.array(r["vec"]) for r in model.feature_vectors("item").collect()}
+    vec = {r["key"]: np.array(r["vec"]) for r in model.vectors().collect()}
+    assert all(np.allclose(vec[i], (feature[f"group{i[1]}"] + feature[f"size{i[3:]}"]) / 2, atol=1e-6) for _, i in rows)
+    own = np.mean([vec[u] @ feature[f"group{int(u[1:]) % 3}"] for u, _ in rows])
+    other = np.mean([vec[u] @ feature[f"group{(int(u[1:]) + 1) % 3}"] for u, _ in rows])
+    assert own > other
