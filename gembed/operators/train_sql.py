@@ -107,3 +107,18 @@ def step(edges: DataFrame, vectors: DataFrame, chunk: int = 50, draws: int = 50,
         part = gradients(loss_terms(scores(negatives(edges, draws, chunk, side, seed), vectors, side), loss, margin), side)
         g = part if g is None else g.unionByName(part)
     return update(vectors, g.groupBy("key", "k").agg(F.sum("g").alias("g")), lr, optimizer)
+
+
+def fit(edges: DataFrame, vectors: DataFrame, epochs: int = 1, batches: int = 4, seed: int = 1, **kind) -> DataFrame:
+    """The parameter-server baseline: every batch pulls its rows by joins and pushes summed gradients back.
+
+    Batches are dealt by a hash of the edge; the store of vectors is written anew after each, so a batch
+    sees all that came before, and a lost executor costs its tasks.
+    """
+    from ..session import stored
+
+    place = h32(seed, "batch", F.col("rel"), F.col("src"), F.col("dst")) % batches
+    for epoch in range(epochs):
+        for b in range(batches):
+            vectors = stored(step(edges.where(place == b), vectors, seed=seed + epoch, **kind), "server-vectors")
+    return vectors

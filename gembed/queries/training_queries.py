@@ -223,3 +223,16 @@ def large_graph_preparation(spark, sf):
 @query("featurised_parts")
 def featurised_parts(spark, sf):
     return experiments.featurised(spark, sf)
+
+
+@query("parameter_server_epoch")
+def parameter_server_epoch(spark, sf):
+    """An epoch of batches through a store of vectors: loss of all edges before and after."""
+    from ..functions import vectors as V
+    from ..operators import train_sql
+
+    e = graphs.user_event(spark, sf)
+    start = e.select(F.col("src").alias("key")).union(e.select("dst")).distinct().select("key", V.initial(8, 0.5, 1, "init", F.col("key")).alias("vec"), F.lit(0.0).alias("acc"))
+    loss = lambda v: train_sql.loss_terms(train_sql.scores(train_sql.negatives(e, 20, 50), v), "softmax").agg(F.sum("loss")).first()[0]
+    after = train_sql.fit(e, start, epochs=1, batches=3, draws=20, chunk=50)
+    return spark.createDataFrame([("start", loss(start)), ("after", loss(after))], "at string, loss double")

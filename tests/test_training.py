@@ -256,3 +256,29 @@ def test_featurised_types_train_their_features(spark):
     own = np.mean([vec[u] @ feature[f"group{int(u[1:]) % 3}"] for u, _ in rows])
     other = np.mean([vec[u] @ feature[f"group{(int(u[1:]) + 1) % 3}"] for u, _ in rows])
     assert own > other
+
+
+def test_refinement_learns_its_matrix(spark, community):
+    nodes = [r["key"] for r in community.select(F.col("src").alias("key")).union(community.select("dst")).distinct().orderBy("key").collect()]
+    rng = np.random.default_rng(2)
+    v = spark.createDataFrame([(k, rng.normal(size=3).tolist()) for k in nodes], "key string, vec array<double>")
+    held = coarsen.around(community, v).collect()
+    x, y = (np.array([r[c] for r in held]) for c in ("around", "vec"))
+    w = coarsen.learn_matrix(community, v, 3)
+    gram = x.T @ x
+    assert np.allclose(w, np.linalg.solve(gram + 1e-3 * np.trace(gram) / 3 * np.eye(3), x.T @ y))
+    got = {r["key"]: np.array(r["vec"]) for r in coarsen.refine(community, v, matrix=w).collect()}
+    assert all(np.allclose(got[r["key"]], 0.5 * np.array(r["vec"]) + 0.5 * np.array(r["around"]) @ w) for r in held)
+    alone = spark.createDataFrame([("far", [1.0, 2.0, 3.0])], "key string, vec array<double>")
+    assert {r["key"]: r["vec"] for r in coarsen.refine(community, v.union(alone), matrix=w).collect()}["far"] == [1.0, 2.0, 3.0]
+
+
+def test_the_parameter_server_goes_on_batch_by_batch(spark):
+    from gembed.functions import vectors as V
+    from gembed.operators import train_sql
+
+    e = graphs.user_event(spark, SF)
+    start = e.select(F.col("src").alias("key")).union(e.select("dst")).distinct().select("key", V.initial(4, 0.5, 1, "init", F.col("key")).alias("vec"), F.lit(0.0).alias("acc"))
+    one = {r["key"]: r["vec"] for r in train_sql.fit(e, start, batches=1, draws=5, chunk=10).collect()}
+    assert one == {r["key"]: r["vec"] for r in train_sql.step(e, start, draws=5, chunk=10).collect()}
+    assert len(train_sql.fit(e, start, batches=2, draws=5, chunk=10).collect()) == len(one)
