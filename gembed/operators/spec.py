@@ -103,7 +103,8 @@ class GraphSpec:
         return rel + sum((nodes or {}).get(t.name, 0) * self.dim for t in self.types if not t.partitioned)
 
     def scale(self) -> float:
-        return self.init_scale if self.init_scale is not None else self.dim**-0.5
+        """Starting vectors are small: what training has not touched then scores near nothing."""
+        return self.init_scale if self.init_scale is not None else 0.01
 
     def lint(self, edges: dict[str, int]) -> list[str]:
         """Relations whose operator has more parameters than the relation has edges."""

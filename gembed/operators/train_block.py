@@ -281,19 +281,22 @@ def _trainer(spec: GraphSpec, sizes: dict, plan: list[list[Unit]], where: dict,
     return run
 
 
-def job_rows(prep: Prepared, plan: list[list[Unit]], sub: tuple[int, int] = (0, 1)) -> DataFrame:
-    """The edges of some chains of units, each chain in a partition, its units in order; reads their folders only."""
+def job_rows(prep: Prepared, plan: list[list[Unit]], sub: tuple[int, int] = (0, 1), epoch: int = 0) -> DataFrame:
+    """The edges of some chains of units, each chain in a partition, its units in order; reads their folders only.
+
+    Inside a bucket and relation every epoch has an order of its own, so an edge meets other negatives each time.
+    """
     spark = prep.entities.sparkSession
     places = [(prep.unit_no(u), c, s) for c, chain in enumerate(plan) for s, u in enumerate(chain)]
     table = spark.createDataFrame(places, "unit int, chain int, seq int")
     edges = prep.edges.where(F.col("unit").isin([p[0] for p in places]))
     if sub[1] > 1:
         edges = edges.where(F.pmod("h", F.lit(sub[1])) == sub[0])
-    rows = edges.join(F.broadcast(table), "unit").select("chain", "seq", "p_src", "p_dst", "rel", "h", "src_off", "dst_off", "weight")
+    rows = edges.join(F.broadcast(table), "unit").select("chain", "seq", "p_src", "p_dst", "rel", (F.xxhash64("h", F.lit(epoch)) if epoch else F.col("h")).alias("h"), "src_off", "dst_off", "weight")
     # a row per unit, so that chains without edges still hand on their parts
     none = [F.lit(-1).alias("p_src"), F.lit(-1).alias("p_dst"), F.lit(-1).alias("rel"), F.lit(-1).cast("long").alias("h"), F.lit(0).alias("src_off"), F.lit(0).alias("dst_off"), F.lit(0).cast("float").alias("weight")]
     rows = rows.unionByName(table.select("chain", "seq", *none))
-    return rows.repartitionById(len(plan), F.col("chain")).sortWithinPartitions("chain", "seq", "p_src", "p_dst", "rel", "h")
+    return rows.repartitionById(len(plan), F.col("chain")).sortWithinPartitions("chain", "seq", "p_src", "p_dst", "rel", "h", "src_off", "dst_off")
 
 
 def _job(model: Model, plan: list[list[Unit]], stamp: tuple[int, int], sub: tuple[int, int], merge: str) -> dict:
@@ -302,7 +305,7 @@ def _job(model: Model, plan: list[list[Unit]], stamp: tuple[int, int], sub: tupl
     spark = prep.entities.sparkSession
     folder = scratch(spark, f"parts-{stamp[0]}-{stamp[1]}")
     began = time.time()
-    found = job_rows(prep, plan, sub).mapInArrow(_trainer(spec, prep.sizes, plan, model.where, folder, model.params, model.shared, stamp, prep.bags), _OUT).collect()
+    found = job_rows(prep, plan, sub, stamp[0]).mapInArrow(_trainer(spec, prep.sizes, plan, model.where, folder, model.params, model.shared, stamp, prep.bags), _OUT).collect()
     stats = dict.fromkeys(_STATS, 0.0) | {"round_seconds": time.time() - began}
     changes: dict[tuple, list] = {}
     gone = []
