@@ -42,3 +42,15 @@ def test_query_equals_sql(spark, duck, name):
 def test_queries_without_sql_return_rows(spark):
     for name in ("occupancy", "schedule_rows", "score_hole", "approx_distinct"):
         assert catalog.queries()[name](spark, SF).count() > 0
+
+
+def test_range_frame_on_parts_of_seconds(spark, tmp_path):
+    """Frames begin and end on rounded seconds: an hour less a part of a second, halves, and times before 1970."""
+    c = duckdb.connect()
+    c.execute("set timezone='UTC'")
+    at = [0.4, 0.5, 1.5, 2.5, 3600.4, 3600.6, 3601.4, 3601.5, 3602.5, 7200.9, -0.5, -3600.5, -1.6]
+    c.execute("create table events as select * from (values " + ", ".join(f"({i}, {i % 2}, make_timestamp({round(x * 1e6)}::bigint), 'view')" for i, x in enumerate(at)) + ") t(event_id, user_id, ts, event_type)")
+    c.execute(f"copy events to '{tmp_path}/events.parquet' (format parquet)")
+    want = c.execute(catalog.oracle_sql()["range_frame"]).fetchall()
+    got = catalog.queries()["range_frame"](spark, str(tmp_path)).select("event_id", "last_hour", "first_event").collect()
+    assert sorted(map(tuple, got)) == sorted(want)
