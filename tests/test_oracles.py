@@ -54,3 +54,28 @@ def test_range_frame_on_parts_of_seconds(spark, tmp_path):
     want = c.execute(catalog.oracle_sql()["range_frame"]).fetchall()
     got = catalog.queries()["range_frame"](spark, str(tmp_path)).select("event_id", "last_hour", "first_event").collect()
     assert sorted(map(tuple, got)) == sorted(want)
+
+
+ON_ORDERS = "alignment_check model_size negative_cost order_column_major order_inside_out order_outside_in order_row_major partition_io partition_plan".split()
+
+
+def test_plans_and_costs_follow_the_orders_table(spark, tmp_path):
+    """With a few orders some buckets are empty and all counts differ; the SQL reads the same table."""
+    import pyarrow as pa
+    import pyarrow.parquet as pq
+
+    pq.write_table(pa.table({"o_orderkey": pa.array(range(9), pa.int64()), "o_custkey": pa.array([k % 3 for k in range(9)], pa.int64())}), f"{tmp_path}/orders.parquet")
+    c = duckdb.connect()
+    c.execute(f"create view orders as select * from '{tmp_path}/orders.parquet'")
+    for name in ON_ORDERS:
+        df = catalog.queries()[name](spark, str(tmp_path))
+        cols = sorted(df.columns)
+        got = sorted(tuple(plain(r[c]) for c in cols) for r in df.collect())
+        run = c.execute(catalog.oracle_sql()[name])
+        names = [d[0] for d in run.description]
+        assert got == sorted(tuple(plain(row[names.index(x)]) for x in cols) for row in run.fetchall()), name
+        assert got != sorted(tuple(plain(r[c]) for c in cols) for r in catalog.queries()[name](spark, SF).collect()), name
+    few = {(r["machines"], r["parts"]): r for r in catalog.queries()["occupancy"](spark, str(tmp_path)).collect()}
+    all_of_them = {(r["machines"], r["parts"]): r for r in catalog.queries()["occupancy"](spark, SF).collect()}
+    assert few[8, 32]["later_epochs"] < all_of_them[8, 32]["later_epochs"] and few[1, 2]["later_epochs_by_edges"] == 1
+    assert catalog.queries()["bench_negatives"](spark, str(tmp_path)).count() == 8
