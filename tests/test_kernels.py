@@ -122,3 +122,13 @@ def test_unbatched_negatives_cost_more_rows():
         K.train_edges(spec, rel, K.Params.start(rel, 4), m, m, rng.integers(0, 500, 100), rng.integers(0, 500, 100), np.ones(100, np.float32), rng, count)
         rows[mode] = count.rows_gathered
     assert rows["unbatched"] > 8 * rows["batched"]
+
+
+def test_correlation_by_a_circulant_equals_that_by_transforms(monkeypatch):
+    rng = np.random.default_rng(2)
+    x, dy, theta = rng.normal(size=(3, 5, 7)), rng.normal(size=(3, 5, 7)), rng.normal(size=7)
+    one = relops.forward("circular_correlation", x, theta), *relops.backward("circular_correlation", x, theta, dy)
+    monkeypatch.setattr(relops, "CIRCULANT", 0)
+    two = relops.forward("circular_correlation", x, theta), *relops.backward("circular_correlation", x, theta, dy)
+    for a, b in zip(one, two, strict=True):
+        np.testing.assert_allclose(a, b, atol=1e-12)
