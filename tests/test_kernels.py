@@ -132,3 +132,34 @@ def test_correlation_by_a_circulant_equals_that_by_transforms(monkeypatch):
     two = relops.forward("circular_correlation", x, theta), *relops.backward("circular_correlation", x, theta, dy)
     for a, b in zip(one, two, strict=True):
         np.testing.assert_allclose(a, b, atol=1e-12)
+
+
+def test_a_pool_is_transformed_once_for_both_sides(monkeypatch):
+    spec, rel, p, a, b, (s, d, w), draws, rng = setting("linear", "cos", "ranking", False)
+    rows, forward = [], relops.forward
+    monkeypatch.setattr(relops, "forward", lambda op, x, theta: rows.append(x.shape[:2]) or forward(op, x, theta))
+    K.step(spec, rel, p, a, b, s, d, w, rng, None, False, draws)
+    assert rows == [(2, 7), (2, 7)]
+
+
+@pytest.mark.parametrize("kind,dim", ((np.float32, 6), (np.float32, 5), (np.float64, 4)))
+def test_rows_of_an_id_are_summed(kind, dim):
+    rng = np.random.default_rng(3)
+    ids, grads = rng.integers(0, 40, 300), rng.integers(-9, 9, (300, dim)).astype(kind)
+    want = np.zeros((40, dim), kind)
+    np.add.at(want, ids, grads)
+    rows, sums = K._summed(ids, grads)
+    assert rows.tolist() == sorted(set(ids.tolist())) and np.array_equal(sums, want[rows])
+
+
+@pytest.mark.parametrize("loss", S.LOSSES)
+def test_scores_that_do_not_count_leave_no_trace(loss):
+    rng = np.random.default_rng(4)
+    pos, neg, w = rng.normal(size=(2, 3)), rng.normal(size=(2, 3, 5)), rng.random((2, 3))
+    live = rng.random(neg.shape) < 0.6
+    live[0, 0] = False
+    kept = neg.copy()
+    value, gp, gn = losses.LOSSES[loss](pos, neg, live, w, 0.1)
+    other = losses.LOSSES[loss](pos, np.where(live, neg, 50.0), live, w, 0.1)
+    assert np.array_equal(neg, kept) and np.isfinite(value) and not gn[~live].any()
+    assert value == other[0] and np.array_equal(gp, other[1]) and np.array_equal(gn, other[2])
